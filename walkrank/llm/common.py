@@ -35,7 +35,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 def arrow_schema(ddl: str) -> tuple[StructType, pa.Schema]:
     kind = _parse_datatype_string(ddl)
-    return kind, to_arrow_schema(kind, timezone="UTC", prefers_large_types=False)
+    return kind, to_arrow_schema(kind)
 
 
 def map_rows(df: DataFrame, setup: Callable[[], Callable], ddl: str) -> DataFrame:
