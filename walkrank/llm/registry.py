@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import byte_bpe, toxicity
+from . import byte_bpe, language_crf, toxicity
 
-MODULES = (byte_bpe, toxicity)
+MODULES = (byte_bpe, language_crf, toxicity)
 
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in MODULES for k, v in m.ORACLES.items()}
