@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import byte_bpe, language_crf, toxicity
+from . import byte_bpe, language_crf, toxicity, webp
 
-MODULES = (byte_bpe, language_crf, toxicity)
+MODULES = (byte_bpe, language_crf, toxicity, webp)
 
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in MODULES for k, v in m.ORACLES.items()}
