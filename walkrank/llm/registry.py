@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import byte_bpe, chat_rotation, language_crf, line_dedup, simhash, toxicity, webp
+from . import byte_bpe, chat_rotation, language_crf, line_dedup, main_text, simhash, toxicity, webp
 
-MODULES = (line_dedup, webp, byte_bpe, toxicity, language_crf, chat_rotation, simhash)
+MODULES = (line_dedup, webp, main_text, byte_bpe, toxicity, language_crf, chat_rotation, simhash)
 
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in MODULES for k, v in m.ORACLES.items()}
