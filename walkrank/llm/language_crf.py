@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from . import common
 
-SAMPLE = 300
+SAMPLE, SHARES = 300, 64
 #: Rows of the two hashed weight tables, and most words of the lexicon for each label.
 GRAMS, WORDS, LEXICON = 1 << 15, 1 << 16, 3000
 BLOCK = 32
@@ -257,8 +257,11 @@ def word_labels(model: Model, text: str) -> list[tuple[str, str, float]]:
 def learn(docs: DataFrame, sample: int = SAMPLE) -> Model | None:
     """docs: doc_id, text and lang of rows to learn from only."""
     keys = docs.where("doc_id is not null and lang is not null").select("doc_id", "lang")
-    first = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    chosen = keys.withColumn("_place", first).where(F.col("_place") <= sample).select("doc_id", "lang").distinct()
+    order = [F.xxhash64("doc_id"), F.col("doc_id")]
+    # first within shares of a label, so no task sorts a label's rows alone
+    for by in (["lang", F.pmod(F.xxhash64("doc_id", "lang"), F.lit(SHARES))], ["lang"]):
+        keys = keys.withColumn("_place", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).where(F.col("_place") <= sample)
+    chosen = keys.select("doc_id", "lang").distinct()
     rows = docs.where("lang is not null").select("doc_id", "lang", common.text_of().alias("text")).join(F.broadcast(chosen), ["doc_id", "lang"]).select("text", "lang")
     return fit([(r.text, r.lang) for r in rows.toLocalIterator()])
 
