@@ -175,11 +175,11 @@ def codec(path: str, pattern: str) -> Codec:
     return Codec(path, pattern)
 
 
-FIELDS = {"n_tokens": "long", "token_ids": "array<int>", "decoded": "binary", "ids_sha256": "string", "decoded_sha256": "string"}
+FIELDS = {"n_tokens": "long", "token_ids": "array<int>", "decoded": "binary", "text": "string", "ids_sha256": "string", "decoded_sha256": "string"}
 
 
-def encode_texts(docs: DataFrame, outputs: list[str], id_col: str = "doc_id", text_col: str = "text", path: str | None = None, pattern: str | None = None) -> DataFrame:
-    """id_col and, of FIELDS, the outputs asked for: ids, the bytes they decode to, or digests of both."""
+def encode_texts(docs: DataFrame, outputs: list[str], keep: tuple[str, ...] = (), text_col: str = "text", path: str | None = None, pattern: str | None = None) -> DataFrame:
+    """doc_id, the columns to keep and, of FIELDS, the outputs asked for: ids, the bytes they decode to, or digests of both."""
     import hashlib
 
     path, pattern = path or default_path(), pattern or default_pattern()
@@ -187,7 +187,7 @@ def encode_texts(docs: DataFrame, outputs: list[str], id_col: str = "doc_id", te
     def setup():
         tool = codec(path, pattern)
 
-        def one(key, text):
+        def one(key, text, *others):
             packed = tool.encode(text)
             ids = np.frombuffer(packed, "<u4")
             out = {"n_tokens": len(ids)}
@@ -195,14 +195,17 @@ def encode_texts(docs: DataFrame, outputs: list[str], id_col: str = "doc_id", te
                 out["token_ids"] = ids.astype("i4")
             if "ids_sha256" in outputs:
                 out["ids_sha256"] = hashlib.sha256(packed).hexdigest()
-            if "decoded" in outputs or "decoded_sha256" in outputs:
+            if {"decoded", "text", "decoded_sha256"} & set(outputs):
                 out["decoded"] = tool.decode(ids.tolist())
+                out["text"] = out["decoded"].decode()
                 out["decoded_sha256"] = hashlib.sha256(out["decoded"]).hexdigest()
-            return key, *(out[k] for k in outputs)
+            return key, *others, *(out[k] for k in outputs)
 
         return one
 
-    return common.map_rows(docs.select(F.col(id_col).alias("doc_id"), common.text_of(text_col).alias("text")), setup, "doc_id long, " + ", ".join(f"{k} {FIELDS[k]}" for k in outputs))
+    kept = "".join(f", `{k}` {docs.schema[k].dataType.simpleString()}" for k in keep)
+    rows = docs.select("doc_id", common.text_of(text_col).alias("_text"), *keep)
+    return common.map_rows(rows, setup, f"doc_id long{kept}, " + ", ".join(f"{k} {FIELDS[k]}" for k in outputs))
 
 
 def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -28,6 +28,7 @@ from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -178,9 +179,9 @@ class Index:
         return shingles(passage, n)
 
 
-def contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, overlap: float = OVERLAP, index_bytes: int = INDEX_BYTES) -> DataFrame:
-    """A row for each document and item that a passage of it gives away: doc_id, item_id, the passage's first word and
-    number of words, score, question and answer (shares of their shingles)."""
+def indexes(items: DataFrame, index_bytes: int = INDEX_BYTES) -> list:
+    """Broadcast indexes of the waves of items (item_id, text)."""
+    spark = items.sparkSession
     known = items.select("item_id", common.text_of().alias("text"))
     sizes = known.agg(F.sum(F.octet_length("text")).alias("b")).first()
     waves = max(1, math.ceil((sizes.b or 0) / index_bytes))
@@ -198,11 +199,19 @@ def contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD
     terms_of = common.flat_map_rows(known.select("wave", "text"), terms, "wave long, word string, n long")
     total = terms_of.where("word = ''").agg(F.count("*").alias("n"), F.avg("n").alias("mean")).first()
     df = terms_of.where("word <> ''").groupBy("word").agg(F.count("*").alias("df"))
-    texts, out = docs.select("doc_id", common.text_of().alias("text")), []
+    out = []
     for wave in range(waves):
         rows = known.where(F.col("wave") == wave).select("item_id", "text").orderBy("item_id", "text").collect()
         counts = {r.word: r.df for r in df.join(terms_of.where((F.col("wave") == wave) & (F.col("word") != "")).select("word").distinct(), "word").collect()}
-        shared = docs.sparkSession.sparkContext.broadcast(Index([(r.item_id, r.text) for r in rows], counts, total.n, total.mean or 1.0))
+        out.append(spark.sparkContext.broadcast(Index([(r.item_id, r.text) for r in rows], counts, total.n, total.mean or 1.0)))
+    return out
+
+
+def contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, overlap: float = OVERLAP, index_bytes: int = INDEX_BYTES) -> DataFrame:
+    """A row for each document and item that a passage of it gives away: doc_id, item_id, the passage's first word and
+    number of words, score, question and answer (shares of their shingles)."""
+    texts, out = docs.select("doc_id", common.text_of().alias("text")), []
+    for shared in indexes(items, index_bytes):
 
         def setup(shared=shared):
             index = shared.value
@@ -217,6 +226,21 @@ def contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD
     return reduce(DataFrame.unionByName, out)
 
 
+def clean(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, overlap: float = OVERLAP, index_bytes: int = INDEX_BYTES) -> DataFrame:
+    """The rows of docs, whole, that give no item away. Nothing is shuffled."""
+    for shared in indexes(items, index_bytes):
+        docs = docs.where(quotes_nothing(shared, threshold, overlap)(common.text_of()))
+    return docs
+
+
+def quotes_nothing(shared, threshold: float, overlap: float):
+    @F.pandas_udf("boolean")
+    def free(texts: pd.Series) -> pd.Series:
+        return texts.map(lambda t: not shared.value.hits(t, threshold, overlap)).astype(bool)
+
+    return free
+
+
 def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The benchmark items that documents quote."""
     return contaminated(common.documents(spark, sf_dir), common.documents(spark, sf_dir, "benchmark"))

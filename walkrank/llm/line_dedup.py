@@ -224,14 +224,14 @@ class LineIndex:
         lost = self.passing().join(exact, ["h1", "h2"]).where("doc_id <> last_doc")
         return lost.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("lost"))
 
-    def deduped(self, docs: DataFrame, outputs: tuple[str, ...] = ("text",)) -> DataFrame:
-        """doc_id, n_lines, n_dropped and, of text and kept_sha256, the outputs asked for, of each row of docs."""
+    def deduped(self, docs: DataFrame, outputs: tuple[str, ...] = ("text",), keep: tuple[str, ...] = ()) -> DataFrame:
+        """Of each row of docs doc_id, n_lines, n_dropped, of text and kept_sha256 the outputs asked for, and the columns to keep."""
         import hashlib
 
         kinds, shortest = {"text": "string", "kept_sha256": "string"}, self.shortest
 
         def setup():
-            def one(key, text, lost):
+            def one(key, text, lost, *others):
                 lines = text.split("\n")
                 n, kept = len(lines), text
                 if lost:
@@ -239,13 +239,15 @@ class LineIndex:
                     lines = [line for line, k in zip(lines, line_keys(text, shortest), strict=True) if k not in gone]
                     kept = "\n".join(lines)
                 out = {"text": kept, "kept_sha256": hashlib.sha256(kept.encode()).hexdigest() if "kept_sha256" in outputs else None}
-                return key, n, n - len(lines), *(out[k] for k in outputs)
+                return key, n, n - len(lines), *(out[k] for k in outputs), *others
 
             return one
 
         lost = self.dropped().withColumnRenamed("doc_id", "_id")
-        rows = docs.select("doc_id", common.text_of().alias("text")).join(lost, F.col("doc_id") == F.col("_id"), "left").select("doc_id", "text", "lost")
-        return common.map_rows(rows, setup, "doc_id long, n_lines long, n_dropped long" + "".join(f", {k} {kinds[k]}" for k in outputs))
+        rows = docs.select("doc_id", common.text_of().alias("text"), *(F.col(k).alias(f"_{k}") for k in keep))
+        rows = rows.join(lost, F.col("doc_id") == F.col("_id"), "left").select("doc_id", "text", "lost", *(f"_{k}" for k in keep))
+        ddl = "doc_id long, n_lines long, n_dropped long" + "".join(f", {k} {kinds[k]}" for k in outputs)
+        return common.map_rows(rows, setup, ddl + "".join(f", `{k}` {docs.schema[k].dataType.simpleString()}" for k in keep))
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -23,6 +23,7 @@ from dataclasses import dataclass, field
 from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -194,6 +195,16 @@ def score_texts(docs: DataFrame, lexicon: Lexicon, outputs: tuple[str, ...] = ("
     return common.map_rows(docs.select("doc_id", common.text_of().alias("text")), setup, "doc_id long, " + ", ".join(f"{k} {FIELDS[k]}" for k in outputs))
 
 
+def accepted(docs: DataFrame, lexicon: Lexicon, threshold: float = THRESHOLD) -> DataFrame:
+    """The rows of docs, whole, that score less than the threshold. Nothing is shuffled."""
+
+    @F.pandas_udf("double")
+    def score(texts: pd.Series) -> pd.Series:
+        return texts.map(lexicon.score).astype("float64")
+
+    return docs.where(score(common.text_of()) < threshold)
+
+
 def fold_of(modulus: int) -> Column:
     return F.crc32(F.col("doc_id").cast("string")) % modulus
 
