@@ -1,0 +1 @@
+"""Certified ranking of graph nodes by attenuated walk counts, on Spark DataFrames."""
