@@ -10,15 +10,13 @@ from pyspark.sql import functions as F
 from ..config import DRIVER_ROWS
 from ..plans import ordered
 
-DESCENDING = (F.desc, ("floor", "ceiling"))
-
 
 @dataclass
 class Verdict:
     done: bool
     live: int
-    #: nodes whose ceiling less eps is below this floor leave the live set
-    bar: float | None = None
+    #: floor and id of the k-th node: those behind it whose ceiling less eps is below this floor leave the live set
+    bar: tuple[float, int] | None = None
     winner: tuple[int, int] | None = None
 
 
@@ -56,35 +54,40 @@ class TopKCriterion:
         live = frame.where("live")
         if k > DRIVER_ROWS:
             return self.check_large(live, n, k)
-        top = live.orderBy(F.desc("floor"), "id").limit(k).select("floor", "ceiling").collect()
-        bar = top[-1].floor
+        top = live.orderBy(F.desc("floor"), "id").limit(k).select("id", "floor", "ceiling").collect()
+        bar = top[-1].floor, top[-1].id
         count = live.where(stays(bar, eps)).count()
         apart = all(a.floor > b.ceiling - eps for a, b in zip(top[:-1], top[1:], strict=True))
         return Verdict(count <= k and apart, count, bar)
 
     def check_large(self, live: DataFrame, n: int, k: int) -> Verdict:
         """The same for a k beyond what the driver takes: the k-th floor by ranges, neighbours by ranges."""
-        bar = kth_largest(live, "floor", k, n)
+        floor, ahead = kth_largest(live, "floor", k, n)
+        ties = live.where(F.col("floor") == floor).orderBy("id").limit(k - ahead)
+        bar = floor, ties.agg(F.max("id")).first()[0]
         kept = live.where(stays(bar, self.eps))
         count = kept.count()
         return Verdict(count <= k and ordered.adjacent_failures(kept, self.eps, count) == 0, count, bar)
 
 
-def kth_largest(frame: DataFrame, value: str, k: int, n: int) -> float:
-    cuts = ordered.boundaries(frame, value, n)
-    part = ordered.range_of(value, cuts)
+def kth_largest(frame: DataFrame, value: str, k: int, n: int) -> tuple[float, int]:
+    """The k-th largest value and how many are larger."""
+    part = ordered.range_of(value, ordered.boundaries(frame, value, n))
     left = k
     for r in frame.groupBy(part.alias("part")).count().orderBy("part").collect():
         if r["count"] >= left:
-            inside = frame.where(part == r.part).orderBy(F.desc(value)).select(value).limit(left)
-            return inside.agg(F.min(value)).first()[0]
+            inside = frame.where(part == r.part)
+            bar = inside.orderBy(F.desc(value)).select(value).limit(left).agg(F.min(value)).first()[0]
+            return bar, k - left + inside.where(F.col(value) > bar).count()
         left -= r["count"]
     raise ValueError("fewer than k rows")
 
 
-def stays(bar: float, eps: float) -> Column:
-    """A node may still belong to the top: it is not behind the k-th floor by more than eps."""
-    return F.col("ceiling") - eps >= F.lit(bar)
+def stays(bar: tuple[float, int], eps: float) -> Column:
+    """A node is of the k first, or not behind the k-th by more than eps."""
+    floor, last = bar
+    first = (F.col("floor") > floor) | ((F.col("floor") == floor) & (F.col("id") <= last))
+    return first | (F.col("ceiling") - eps >= floor)
 
 
 @dataclass(frozen=True)

@@ -74,19 +74,22 @@ def ranked(frame: DataFrame, value: str = "floor", per_range: int | None = None)
     return dealt.select((own + shift).cast("long").alias("rank"), *frame.columns)
 
 
-def bounded(state: DataFrame, level: int, undirected: bool, alpha: float, gamma: float, numeric: str, kind: str = "standard", ratio: tuple[float, float] | None = None) -> DataFrame:
-    """id, floor, ceiling and live of a state."""
-    partial, term = F.col("k"), L.term_of(numeric, alpha, level)
-    floor = B.floor_undirected(partial, term, alpha) if undirected else B.floor_directed(partial, term)
-    ceiling = B.ceiling(partial, term, alpha, gamma)
+def with_bounds(state: DataFrame, level: int, undirected: bool, alpha: float, gamma: float, numeric: str, kind: str = "standard", ratio: tuple[float, float] | None = None) -> DataFrame:
+    """A state with floor and ceiling."""
+    part, term = F.col("k"), L.term_of(numeric, alpha, level)
+    floor = B.floor_undirected(part, term, alpha) if undirected else B.floor_directed(part, term)
+    ceiling = B.ceiling(part, term, alpha, gamma)
     if kind == "tight" and undirected:
-        floor = B.floor_geometric(partial, term, alpha)
-    if kind == "ratio" and ratio:
-        low, high = B.ratio_bounds(partial, term, alpha, *ratio)
+        floor = B.floor_geometric(part, term, alpha)
+    if kind == "ratio" and ratio and alpha * ratio[1] < 1:
+        low, high = B.ratio_bounds(part, term, alpha, *ratio)
         floor, ceiling = F.greatest(floor, low), F.least(ceiling, high)
-    if level == 0:
-        floor = partial
-    return state.select("id", floor.alias("floor"), ceiling.alias("ceiling"), "live")
+    return state.withColumns({"floor": floor if level else part, "ceiling": ceiling})
+
+
+def bounded(state: DataFrame, *args, **kw) -> DataFrame:
+    """id, floor, ceiling and live of a state."""
+    return with_bounds(state, *args, **kw).select("id", "floor", "ceiling", "live")
 
 
 def growth(before: DataFrame, now: DataFrame, numeric: str, alpha: float) -> tuple[float, float]:
@@ -100,25 +103,21 @@ def growth(before: DataFrame, now: DataFrame, numeric: str, alpha: float) -> tup
 def run(placed: layout.Placed, state: DataFrame, level: int, criterion, alpha: float, gamma: float, numeric: str, kind: str, max_levels: int, history: list[DataFrame] | None, report: Report) -> tuple[DataFrame, DataFrame]:
     """Goes on from a state until the criterion holds or max_levels are done."""
     last = criterion.levels if isinstance(criterion, FixedLevels) else max_levels
-    frame = bounded(state, level, placed.undirected, alpha, gamma, numeric, kind)
-    verdict = Verdict(False, placed.stats.n)
-    if level:
-        verdict = criterion.check(frame, placed.stats.n)
+    known, ratio = (placed.undirected, alpha, gamma, numeric, kind), None
+    frame = bounded(state, level, *known)
+    verdict = criterion.check(frame, placed.stats.n) if level else Verdict(False, placed.stats.n)
     while level < last and not verdict.done:
         if numeric != "scaled":
             L.check_room(numeric, state.agg(F.max("w")).first()[0], placed.stats.d_max)
-        level += 1
         before = state
-        state = L.advance_level(placed, state, numeric, alpha, level)
         if verdict.bar is not None:
-            # floors only rise: what is below the last bar now would be below the next one
-            top = B.ceiling(F.col("k"), L.term_of(numeric, alpha, level), alpha, gamma)
-            state = state.withColumn("live", F.col("live") & (top - criterion.eps >= verdict.bar))
-        state = layout.kept(state, placed.parts, level)
+            state = with_bounds(state, level, *known, ratio).withColumn("live", F.col("live") & stays(verdict.bar, criterion.eps)).select("id", "w", "k", "live")
+        level += 1
+        state = layout.kept(L.advance_level(placed, state, numeric, alpha, level), placed.parts, level)
         if history is not None:
             history.append(state.select("id", "w"))
-        ratio = growth(before, state, numeric, alpha) if kind == "ratio" and level > 0 else None
-        frame = bounded(state, level, placed.undirected, alpha, gamma, numeric, kind, ratio if ratio and alpha * ratio[1] < 1 else None)
+        ratio = growth(before, state, numeric, alpha) if kind == "ratio" else None
+        frame = bounded(state, level, *known, ratio)
         verdict = criterion.check(frame, placed.stats.n)
         report.live.append(verdict.live)
     report.levels, report.winner = level, verdict.winner
@@ -142,6 +141,18 @@ def rank_nodes(graph: Graph, criterion, alpha: Attenuation | float | None = None
     return RankResult(state, frame, report, history or [])
 
 
+def ladder(graph: Graph, criteria: list, alpha: Attenuation | float | None = None, numeric: str = "scaled", bounds: str = "standard", max_levels: int = MAX_LEVELS):
+    """Results for criteria of growing strictness, each going on from the one before. Not for top-k of different k."""
+    placed = graph.placed
+    factor = (alpha if isinstance(alpha, Attenuation) else Attenuation.fixed(alpha) if alpha is not None else Attenuation.default()).of(placed.stats.d_max)
+    gamma, state, level = B.tail_factor(factor, placed.stats.d_max), L.init_state(placed, numeric), 0
+    for criterion in criteria:
+        begun, report = time.monotonic(), Report(criterion.name, criterion.eps, factor, gamma, placed.stats.d_max)
+        state, frame = run(placed, state, level, criterion, factor, gamma, numeric, bounds, max_levels, None, report)
+        level, report.seconds = report.levels, time.monotonic() - begun
+        yield RankResult(state, frame, report)
+
+
 def top_k(graph: Graph, k: int, eps: float, **kw) -> RankResult:
     return rank_nodes(graph, TopKCriterion(k, eps), **kw)
 
