@@ -87,7 +87,7 @@ def features(words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
     three = lambda i, j, k, tag: hashed((c[i] * np.uint64(0x1F35B2C9D) + c[j] * np.uint64(0x5851F42D) + c[k]) ^ (np.uint64(tag) << np.uint64(60)), GRAMS)
     ends = np.stack([three(s, np.minimum(s + 1, e - 1), np.minimum(s + 2, e - 1), 2), three(e - 1, np.maximum(e - 2, s), np.maximum(e - 3, s), 3)], 1)
     power = np.full(len(at), 0x100000001B3, np.uint64)
-    head = np.concatenate([[0], np.cumsum(n)[:-1]])
+    head = np.cumsum(n) - n
     inside = np.arange(len(at)) - np.repeat(head, n)
     spread = c[at] * (inside.astype(np.uint64) * np.uint64(2) + np.uint64(1)) * power ^ (c[at] << (inside.astype(np.uint64) % np.uint64(40)))
     word = hashed(np.add.reduceat(spread, head) + n.astype(np.uint64) if len(n) else np.zeros(0, np.uint64), WORDS)

@@ -2,8 +2,8 @@
 
 Folding maps letters with marks, full-width letters and look-alikes of other scripts to plain lower-case letters, one
 character for one. A second folding also replaces digits and signs that stand for letters; both are searched, as a
-sign may also just follow a word. A term counts where it is a whole word. A term inside an exception phrase doesn't
-count. The total weight, normalised by length in two ways, goes through a logistic curve.
+sign may also just follow a word. A term counts where it is a whole word, or the start of one if it ends in a star. A
+term inside an exception phrase doesn't count. The total weight, normalised by length in two ways, goes through a logistic curve.
 
 The lexicon's weights and the curve are fitted on a bounded sample of labelled rows: `sample` rows of each class (all
 where there are fewer), the same for the same rows, chosen by a hash of doc_id. Everything else covers all rows.
@@ -32,9 +32,11 @@ from . import common
 #: Labelled rows of each class that the lexicon is learned from.
 SAMPLE = 3000
 #: A term is in this share of the toxic sample at least, and in so many texts.
-LEAST_SHARE, LEAST_TEXTS = 0.004, 3
+LEAST_SHARE, LEAST_TEXTS = 0.01, 3
 #: Least log odds ratio of a term, and most terms.
 LEAST_WEIGHT, MOST_TERMS = 3.0, 2000
+#: Letters of the word starts that may be terms.
+STEMS = (4, 5, 6)
 THRESHOLD = 0.7
 
 # Look-alikes of Latin letters, and digits and signs that stand for letters.
@@ -58,15 +60,19 @@ def folding() -> tuple[dict[int, str], dict[int, str]]:
     return plain, plain | {ord(a): b for a, b in SUBSTITUTES.items()}
 
 
-STANDS_IN = re.compile("[" + re.escape("".join(SUBSTITUTES)) + "]")
+SIGNS = re.escape("".join(SUBSTITUTES))
+STANDS_IN = re.compile(f"[{SIGNS}]")
+#: the same inside a word only: a word character follows, or more of them do and then one
+INSIDE = re.compile(rf"[0-9]|[{SIGNS}](?=[{SIGNS}]{{0,8}}\w)")
 
 
 def folded(text: str) -> list[str]:
-    """Text in one or two foldings, all as long as the text."""
+    """Text in one to three foldings, all as long as the text."""
     plain, full = folding()
     out = [text.translate(plain)]
     if STANDS_IN.search(text):
-        out.append(text.translate(full))
+        inner = INSIDE.sub(lambda m: SUBSTITUTES.get(m[0], m[0]), text).translate(plain)
+        out += [x for x in dict.fromkeys((inner, text.translate(full))) if x != out[0]]
     return out
 
 
@@ -83,11 +89,15 @@ class Lexicon:
 
         if self._machine is None:
             found = ahocorasick.Automaton()
+            terms: dict[str, list] = {}
             for term, w in self.weights.items():
-                found.add_word(term, (len(term), w))
+                text = term.removesuffix("*")
+                terms.setdefault(text, []).append((len(text), w, text != term))
             for phrase in self.exceptions:
                 text = phrase.translate(folding()[0])
-                found.add_word(text, (len(text), None))
+                terms.setdefault(text, []).append((len(text), None, False))
+            for text, kinds in terms.items():
+                found.add_word(text, kinds)
             found.make_automaton()
             self._machine = found
         return self._machine
@@ -102,11 +112,13 @@ class Lexicon:
         found: dict[tuple[int, int], float] = {}
         for view in folded(text):
             terms, excused = [], []
-            for last, (n, w) in self.machine().iter(view):
-                start, end = last + 1 - n, last + 1
-                if (start and view[start - 1].isalnum()) or (end < len(view) and view[end].isalnum()):
-                    continue
-                (excused if w is None else terms).append((start, end, w))
+            for last, kinds in self.machine().iter(view):
+                for n, w, stem in kinds:
+                    start, end = last + 1 - n, last + 1
+                    inside = end < len(view) and view[end].isalnum()
+                    if (start and view[start - 1].isalnum()) or inside != stem:
+                        continue
+                    (excused if w is None else terms).append((start, end, w))
             for start, end, w in terms:
                 if not any(a <= start and end <= b for a, b, _ in excused):
                     found[start, end] = w
@@ -155,9 +167,9 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, exceptions:
         def many(text, toxic):
             if (text, toxic) not in seen:
                 seen.add((text, toxic))
-                for w in {w for view in folded(text) for w in WORD.findall(view)}:
-                    if 2 < len(w) < 40 and not w.isdigit():
-                        yield w, toxic
+                words = {w for view in folded(text) for w in WORD.findall(view) if 2 < len(w) < 40 and not w.isdigit()}
+                for w in words | {w[:n] + "*" for w in words for n in STEMS if len(w) > n}:
+                    yield w, toxic
 
         return many
 
