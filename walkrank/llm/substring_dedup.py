@@ -229,7 +229,8 @@ def repeats(contexts: list[bytes], before: np.ndarray, ids: np.ndarray, places:
 
 def marks(docs: DataFrame, length: int, block_contexts: int, hot: int) -> DataFrame:
     """docs: doc_id, text. Occurrences of anchors with repeated windows: doc_id, at, and which windows (null: all)."""
-    repeated = found_anchors(docs, False, length).groupBy("anchor").count().where("count > 1").select("anchor")
+    # as a table, so that the join sees two plain exchanges and large partitions of it can be split
+    repeated = common.written(found_anchors(docs, False, length).groupBy("anchor").count().where("count > 1").select("anchor"), "substring-repeated")
     held = common.written(found_anchors(docs, True, length).join(repeated.hint("shuffle_hash"), "anchor"), "substring-anchors")
     first = held.groupBy("anchor", "context").agg(F.min(F.struct("doc_id", "at")).alias("first"))
     first = common.written(first.select("anchor", "context", "first.doc_id", "first.at"), "substring-first")
