@@ -234,7 +234,7 @@ def marks(docs: DataFrame, length: int, block_contexts: int, hot: int) -> DataFr
     held = common.written(found_anchors(docs, True, length).join(repeated.hint("shuffle_hash"), "anchor"), "substring-anchors")
     first = held.groupBy("anchor", "context").agg(F.min(F.struct("doc_id", "at")).alias("first"))
     first = common.written(first.select("anchor", "context", "first.doc_id", "first.at"), "substring-first")
-    sizes = first.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1")
+    sizes = common.written(first.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1"), "substring-sizes")
     several = first.join(sizes, "anchor").select("anchor", "doc_id", "at", "n")
     asked = several.groupBy("doc_id").agg(F.collect_list(F.struct("anchor", "at", "n")).alias("asked"))
     kind, schema = common.arrow_schema("anchor long, doc_id long, at long, n long, bytes binary")
