@@ -10,6 +10,7 @@ from walkrank.operators import levels as L
 from walkrank.operators.criteria import FixedLevels
 from walkrank.operators.engine import rank_nodes, top_k
 from walkrank.operators.graph import Graph
+from walkrank.plans import layout
 from walkrank.sources import store, tables
 from walkrank.workloads.graphs import build, part_supplier_heavy
 
@@ -32,7 +33,8 @@ def test_a_level_shuffles_only_sums(spark, sf):
         g = part_supplier_heavy(spark, sf)
         g.parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
         state = rank_nodes(g, FixedLevels(2)).state
-        names = operators(L.advance_level(g.placed, state, "scaled", 0.01, 3))
+        with layout.fixed(spark, g.parts):
+            names = operators(L.advance_level(g.placed, state, "scaled", 0.01, 3))
         assert names.count("Exchange") == 1 and names.count("HashAggregate") == 2
         assert not re.search("Python|Pandas|Arrow", " ".join(names))
     finally:
@@ -48,6 +50,19 @@ def test_partitions_change_nothing(spark, sf):
     assert [x.id for x in one.ranking(10).collect()] == [x.id for x in many.ranking(10).collect()]
 
 
+def test_hubs_are_split(spark):
+    from walkrank.operators.baselines import dense_exact
+
+    pairs = [(0, x) for x in range(1, 90)] + [(x, x + 1) for x in range(1, 60)]
+    g = Graph.from_edges(spark.createDataFrame(pairs, "src long, dst long"), undirected=True)
+    exact = dense_exact(g)
+    g.parts = 4
+    assert [r.id for r in g.placed.hubs.collect()] == [0] and g.placed.hub_edges.count() == 89
+    assert g.placed.edges.where("dst = 0").isEmpty() and g.placed.edges.count() + 89 == g.stats.m
+    frame = rank_nodes(g, FixedLevels(60)).frame
+    assert all(abs(r.floor - exact[r.id]) < 1e-6 for r in frame.collect())
+
+
 def test_scans_are_pruned(spark, sf):
     plan = build("part_supplier_heavy", spark, sf).edges._jdf.queryExecution().executedPlan().toString()
     assert "ReadSchema: struct<l_partkey:bigint,l_suppkey:bigint,l_quantity:double>" in plan

@@ -8,8 +8,8 @@ from pyspark.sql import SparkSession
 
 #: Levels after which a run gives up and says so.
 MAX_LEVELS = 200
-#: Edges of one partition of the edge table.
-EDGES_PER_PARTITION = 2_000_000
+#: Edges (or nodes) up to which a graph is small, and those of one of its partitions.
+SMALL_ROWS, PARTITION_ROWS = 4_000_000, 250_000
 #: Rows of a change that are sent to all executors rather than shuffled.
 BROADCAST_ROWS = 100_000
 #: Rows of the top of a ranking that the driver looks at.

@@ -41,10 +41,10 @@ def sigma_max(graph: Graph, tol: float = 1e-6, max_iter: int = 200) -> float:
 
     Two steps at a time converge also where the largest eigenvalues come as a pair of opposite signs."""
     placed = graph.placed
-    turned = placed.edges if graph.undirected else placed.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
+    turned = placed if graph.undirected else placed.arcs.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
     vector, before = placed.nodes.select("id", F.lit(1.0).alias("w")), 0.0
     for step in range(max_iter):
-        away = layout.kept(spread(turned, spread(placed.edges, vector)), placed.parts, step)
+        away = layout.kept(spread(turned, spread(placed, vector)), placed, step)
         norm, old = away.agg(F.sqrt(F.sum(F.col("w") * F.col("w")))).first()[0], vector.agg(F.sqrt(F.sum(F.col("w") * F.col("w")))).first()[0]
         if not norm:
             return 0.0

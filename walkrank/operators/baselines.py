@@ -45,7 +45,7 @@ def tolerance_partial_sum(graph: Graph, tol: float = 1e-9, alpha: Attenuation |
     level, done = 0, False
     while level < max_levels and not done:
         level += 1
-        state = layout.kept(L.advance_level(placed, state, "scaled", a, level), placed.parts, level)
+        state = layout.kept(L.advance_level(placed, state, "scaled", a, level), placed, level)
         done = (state.agg(size("w")).first()[0] or 0.0) < tol
     return Solved(state.select("id", F.col("k").alias("score")), level, done, a, time.monotonic() - begun)
 
@@ -64,9 +64,9 @@ def solve_cg(graph: Graph, tol: float = 1e-15, alpha: Attenuation | float | None
     best, since, steps = rs, 0, 0
     while rhs and (rs / rhs) ** 0.5 >= tol and steps < max_iter and since < patience:
         steps += 1
-        moved = L.spread(placed.edges, state, "dir")
+        moved = L.spread(placed, state, "dir")
         q = state.alias("s").join(moved.alias("m"), F.col("s.id") == F.col("m.id"), "left").select("s.*", (F.col("dir") - a * F.coalesce("m.w", F.lit(0.0))).alias("q"))
-        q = layout.kept(q, placed.parts, steps)
+        q = layout.kept(q, placed, steps)
         step = rs / q.agg(F.sum(F.col("dir") * F.col("q"))).first()[0]
         res = F.col("res") - step * F.col("q")
         now = q.agg(F.sum(res * res)).first()[0]
@@ -75,9 +75,9 @@ def solve_cg(graph: Graph, tol: float = 1e-15, alpha: Attenuation | float | None
         best, since = (rs, 0) if rs < best else (best, since + 1)
         if not rs:
             break
-    scores = L.spread(placed.edges, state, "x")
+    scores = L.spread(placed, state, "x")
     scores = placed.nodes.join(scores, "id", "left").select("id", (a * F.coalesce("w", F.lit(0.0))).alias("score"))
-    return Solved(layout.kept(scores, placed.parts, steps + 1), steps, not rhs or (rs / rhs) ** 0.5 < tol, a, time.monotonic() - begun)
+    return Solved(layout.kept(scores, placed, steps + 1), steps, not rhs or (rs / rhs) ** 0.5 < tol, a, time.monotonic() - begun)
 
 
 def solve_fixed_point(graph: Graph, tol: float = 1e-12, alpha: Attenuation | float | None = None, max_iter: int = 2000) -> Solved:
@@ -86,9 +86,9 @@ def solve_fixed_point(graph: Graph, tol: float = 1e-12, alpha: Attenuation | flo
     state, steps, moved = placed.nodes.select("id", F.lit(1.0).alias("w")), 0, float("inf")
     while moved >= tol and steps < max_iter:
         steps += 1
-        sums = L.spread(placed.edges, state)
+        sums = L.spread(placed, state)
         both = state.alias("s").join(sums.alias("n"), F.col("s.id") == F.col("n.id"), "left").select("s.id", (1.0 + a * F.coalesce("n.w", F.lit(0.0))).alias("w"), F.col("s.w").alias("old"))
-        state = layout.kept(both, placed.parts, steps)
+        state = layout.kept(both, placed, steps)
         moved = state.agg(F.max(F.abs(F.col("w") - F.col("old")))).first()[0] or 0.0
         state = state.select("id", "w")
     return Solved(state.select("id", (F.col("w") - 1.0).alias("score")), steps, moved < tol, a, time.monotonic() - begun)

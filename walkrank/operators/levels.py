@@ -23,15 +23,23 @@ def init_state(placed: Placed, numeric: str = "scaled") -> DataFrame:
     return placed.nodes.select("id", one(numeric).alias("w"), F.lit(0.0).alias("k"), F.lit(True).alias("live"))
 
 
-def spread(edges: DataFrame, values: DataFrame, value: str = "w") -> DataFrame:
-    """For each source the sum over its targets: id, w. Only sources with a target in values have a row."""
+def spread(edges: Placed | DataFrame, values: DataFrame, value: str = "w") -> DataFrame:
+    """For each source the sum over its targets: id, w. Only sources with a target in values have a row.
+
+    The values of a placed graph's hubs are sent to their edges, which lie by source, so no partition holds all of them."""
     side = values.select(F.col("id").alias("dst"), F.col(value).alias("_w"))
-    return edges.join(side, "dst").groupBy(F.col("src").alias("id")).agg(F.sum("_w").alias("w"))
+    if not isinstance(edges, Placed):
+        return edges.join(side, "dst").groupBy(F.col("src").alias("id")).agg(F.sum("_w").alias("w"))
+    brought = edges.edges.join(side, "dst").select("src", "_w")
+    if edges.hubs is not None:
+        known = side.join(F.broadcast(edges.hubs.select(F.col("id").alias("dst"))), "dst", "left_semi")
+        brought = brought.unionByName(edges.hub_edges.join(F.broadcast(known), "dst").select("src", "_w"))
+    return brought.groupBy(F.col("src").alias("id")).agg(F.sum("_w").alias("w"))
 
 
 def advance_level(placed: Placed, state: DataFrame, numeric: str, alpha: float, level: int) -> DataFrame:
     """The state of the next level, all nodes; ruled-out ones go on feeding others."""
-    sums = spread(placed.edges, state)
+    sums = spread(placed, state)
     if numeric == "scaled":
         count, term = F.coalesce("n.w", F.lit(0.0)) * alpha, F.coalesce("n.w", F.lit(0.0)) * alpha
     else:

@@ -1,34 +1,53 @@
 """Where rows lie: edges by target, states by node, both in the same number of partitions.
 
-The join of a level then needs no exchange, and the only rows shuffled are partial sums by source. Partitions are as many
-as the session's shuffles have, so that what a sum is dealt by fits what it is joined with; states are persisted, which
-keeps their partitioning, and every CHECKPOINT_EVERY levels one goes to the shared folder, which ends its lineage, so a
-lost executor costs a few levels. A graph that fits one partition is kept in one and checkpointed at each level, as
-planning then takes longer than exchanges."""
+The join of a level then needs no exchange, and the only rows shuffled are partial sums by source. Each state goes to
+the shared folder, which ends its lineage, so a lost executor costs one level at most. Levels of large graphs are planned
+without adaptive changes: their partitions are fixed, and a checkpoint keeps the partitioning of such a plan. It is persisted
+as well, as a level reads it twice and the second reading of a bare checkpoint loses its partitioning. The states of small
+graphs are sent to the edges rather than shuffled, so there the planner has a free hand."""
 
 from __future__ import annotations
 
 import uuid
+from contextlib import contextmanager
 from dataclasses import dataclass
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..config import EDGES_PER_PARTITION, shared_folder
+from ..config import PARTITION_ROWS, SMALL_ROWS, shared_folder
 
 
-#: Levels between two checkpoints.
-CHECKPOINT_EVERY = 6
+@contextmanager
+def fixed(spark: SparkSession, parts: int):
+    """Plans made meanwhile have so many shuffle partitions and keep them."""
+    want = {"spark.sql.adaptive.enabled": "false", "spark.sql.shuffle.partitions": str(parts)}
+    before = {k: spark.conf.get(k) for k in want}
+    try:
+        for k, v in want.items():
+            spark.conf.set(k, v)
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
 
 
-def kept(df: DataFrame, parts: int, level: int) -> DataFrame:
+def kept(df: DataFrame, placed: Placed, level: int) -> DataFrame:
     """A state as its level leaves it."""
-    if parts == 1:
+    if not placed.large:
         return commit(df)
-    if level and level % CHECKPOINT_EVERY == 0:
-        df = commit(df).repartition(parts, "id")
-    return df.persist(StorageLevel.MEMORY_AND_DISK)
+    with fixed(df.sparkSession, placed.parts):
+        df = commit(df)
+    return settled(df, placed.parts)
+
+
+def settled(df: DataFrame, parts: int) -> DataFrame:
+    """df persisted and computed, with its partitions as planned."""
+    with fixed(df.sparkSession, parts):
+        df = df.persist(StorageLevel.MEMORY_AND_DISK)
+        df.count()
+    return df
 
 
 def commit(df: DataFrame) -> DataFrame:
@@ -60,14 +79,17 @@ class Placed:
     stats: Stats
     parts: int
     undirected: bool
+    large: bool
+    #: all edges, as the table they were written to
+    arcs: DataFrame
+    #: edges to hubs, dealt by source, and the hubs' ids; edges has the others
+    hub_edges: DataFrame | None = None
+    hubs: DataFrame | None = None
 
     def release(self) -> None:
-        self.edges.unpersist()
-        self.nodes.unpersist()
-
-
-def partitions(df: DataFrame, rows: int, per: int = EDGES_PER_PARTITION) -> int:
-    return 1 if rows <= per else int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        for kept_ in (self.edges, self.nodes, self.hub_edges, self.hubs):
+            if kept_ is not None:
+                kept_.unpersist()
 
 
 def placed(edges: DataFrame, nodes: DataFrame, undirected: bool, parts: int | None = None) -> Placed:
@@ -76,9 +98,19 @@ def placed(edges: DataFrame, nodes: DataFrame, undirected: bool, parts: int | No
     by_source = arcs.groupBy("src").count()
     m, d_max = by_source.agg(F.coalesce(F.sum("count"), F.lit(0)), F.coalesce(F.max("count"), F.lit(0))).first()
     stats = Stats(ids.count(), m, d_max)
-    parts = parts or partitions(arcs, max(m, stats.n))
+    rows = max(m, stats.n)
+    large = parts is not None or rows > SMALL_ROWS
+    parts = parts or (int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions")) if large else -(-rows // PARTITION_ROWS) or 1)
+    others, hub_edges, hubs = arcs, None, None
+    if large:
+        # nodes with half a partition of edges that arrive at them: at most two for each partition, so they can be sent
+        hubs = settled(arcs.groupBy(F.col("dst").alias("id")).count().where(F.col("count") > max(1, m // (2 * parts))).select("id"), parts)
+        known = F.broadcast(hubs.select(F.col("id").alias("dst")))
+        hub_edges, others = settled(arcs.join(known, "dst", "left_semi").select("src", "dst").repartition(parts, "src"), parts), arcs.join(known, "dst", "left_anti").select("src", "dst")
+        if hubs.isEmpty():
+            hub_edges = hubs = None
     return Placed(
-        arcs.repartition(parts, "dst").sortWithinPartitions("dst").persist(StorageLevel.MEMORY_AND_DISK),
-        ids.repartition(parts, "id").sortWithinPartitions("id").persist(StorageLevel.MEMORY_AND_DISK),
-        stats, parts, undirected,
+        settled(others.repartition(parts, "dst").sortWithinPartitions("dst"), parts),
+        settled(ids.repartition(parts, "id").sortWithinPartitions("id"), parts),
+        stats, parts, undirected, large, arcs, hub_edges, hubs,
     )

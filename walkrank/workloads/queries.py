@@ -534,7 +534,7 @@ def q_delta_level2(spark, sf_dir):
     graph = build(HEAVY, spark, sf_dir)
     state = dynamic.start(graph, FixedLevels(1))
     inserts, deletes = dynamic.normalise(graph.edges, dynamic.EdgeBatch.of(deletes=dynamic.chosen_edges(graph.edges, 10, True)), True)
-    kept = graph.placed.edges.join(F.broadcast(deletes), ["src", "dst"], "left_anti")
+    kept = graph.placed.arcs.join(F.broadcast(deletes), ["src", "dst"], "left_anti")
     none = graph.nodes.limit(0).select("id", F.lit(0).cast("decimal(38,0)").alias("d"))
     one = dynamic.propagate(kept, inserts, deletes, state.levels[0], none, 0)
     return dynamic.propagate(kept, inserts, deletes, state.levels[1], one, 1).select("id", F.col("d").cast("long").alias("d"))
