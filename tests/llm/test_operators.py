@@ -512,3 +512,11 @@ def test_components(spark):
 
 def test_shared_folder(spark):
     assert common.work_dir(spark).startswith(spark.sparkContext.getConf().get("spark.checkpoint.dir"))
+
+
+def test_shared_folder_is_cleared(spark):
+    kept = common.written(spark.range(3), "something")
+    assert kept.count() == 3
+    common.clear(spark)
+    with pytest.raises(Exception, match="(?i)not.?exist|not.?found"):
+        spark.read.parquet(common.work_dir(spark)).count()

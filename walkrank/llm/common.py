@@ -33,6 +33,12 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def clear(spark: SparkSession) -> None:
+    """Deletes all tables that operators have written to the shared folder; results not yet read are lost."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(work_dir(spark))
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def arrow_schema(ddl: str) -> tuple[StructType, pa.Schema]:
     kind = _parse_datatype_string(ddl)
     return kind, to_arrow_schema(kind)

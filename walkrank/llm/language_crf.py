@@ -8,8 +8,8 @@ matrix. Forward-backward gives the marginals of each word; the label of a text i
 Forward-backward runs on blocks of BLOCK words at once: the transfer matrix of each block, then a scan over the blocks
 of each text, then both passes inside all blocks. That is exact and its memory is bounded by the batch of texts.
 
-Fitting sees a bounded sample of whole texts: `sample` texts of each label, those of least hash of doc_id. All words
-of such a text carry its label. Everything else covers all rows.
+Fitting sees a bounded sample of whole texts: `sample` texts of each label (of the LABELS commonest), those of least hash
+of doc_id. All words of such a text carry its label. Everything else covers all rows.
 
 Texts that are null or have no letter get `und` and score 0; so do all where nothing could be learned. Ties between
 labels go to the first in order of name. Repeated rows give repeated results; other columns are left out; empty tables
@@ -28,7 +28,9 @@ from pyspark.sql import functions as F
 
 from . import common
 
-SAMPLE, SHARES = 300, 64
+SAMPLE = 300
+#: Most labels that are learned: the commonest.
+LABELS = 200
 #: Rows of the two hashed weight tables, and most words of the lexicon for each label.
 GRAMS, WORDS, LEXICON = 1 << 15, 1 << 16, 3000
 BLOCK = 32
@@ -257,10 +259,15 @@ def word_labels(model: Model, text: str) -> list[tuple[str, str, float]]:
 def learn(docs: DataFrame, sample: int = SAMPLE) -> Model | None:
     """docs: doc_id, text and lang of rows to learn from only."""
     keys = docs.where("doc_id is not null and lang is not null").select("doc_id", "lang")
-    order = [F.xxhash64("doc_id"), F.col("doc_id")]
-    # first within shares of a label, so no task sorts a label's rows alone
-    for by in (["lang", F.pmod(F.xxhash64("doc_id", "lang"), F.lit(SHARES))], ["lang"]):
-        keys = keys.withColumn("_place", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).where(F.col("_place") <= sample)
+    counts = {r.lang: r.n for r in keys.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(LABELS).collect()}
+    if not counts:
+        return None
+    # a hash below a bound keeps about four times the sample of each label, and no task sorts more
+    n = F.element_at(F.create_map(*[F.lit(x) for kv in counts.items() for x in kv]), F.col("lang"))
+    spread = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 31))
+    keys = keys.where(n.isNotNull() & (spread / (1 << 31) * n <= 4 * sample))
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(spread, "doc_id"))
+    keys = keys.withColumn("_place", place).where(F.col("_place") <= sample)
     chosen = keys.select("doc_id", "lang").distinct()
     rows = docs.where("lang is not null").select("doc_id", "lang", common.text_of().alias("text")).join(F.broadcast(chosen), ["doc_id", "lang"]).select("text", "lang")
     return fit([(r.text, r.lang) for r in rows.toLocalIterator()])
