@@ -58,7 +58,7 @@ def commit(df: DataFrame) -> DataFrame:
 
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a Parquet table in the shared folder."""
-    path = f"{shared_folder(df.sparkSession)}/walkrank/{name}-{uuid.uuid4().hex}"
+    path = f"{shared_folder(df.sparkSession)}/walkrank-graphs/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

@@ -40,6 +40,9 @@ HEAVY = "part_supplier_heavy"
 # graphs: arcs of each
 
 
+_GRAPH_NAMES = {"document_line": "q_document_line_graph", "embedding_sim": "q_embedding_sim_graph", "part_copurchase": "q_graph_copurchase", "page_link": "q_page_links", "user_follow": "q_user_follow_graph", "user_hour_event": "q_user_hour_graph"}
+
+
 def register_graph(graph: str) -> None:
     def q(spark: SparkSession, sf_dir: str) -> DataFrame:
         return build(graph, spark, sf_dir).edges
@@ -47,7 +50,7 @@ def register_graph(graph: str) -> None:
     def nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
         return build(graph, spark, sf_dir).nodes
 
-    query(EDGES_SQL[graph], f"q_graph_{graph}")(q)
+    query(EDGES_SQL[graph], _GRAPH_NAMES.get(graph, f"q_graph_{graph}"))(q)
     if graph in ("document_line", "page_link", "benchmark_doc_token"):
         query(f"with e as ({EDGES_SQL[graph]}) select distinct id from ({NODES_SQL[graph]})", f"q_nodes_{graph}")(nodes)
 
@@ -486,6 +489,14 @@ def q_score_cube(spark, sf_dir):
     return rows_.cube("r_name", "top").agg(F.count("*").alias("suppliers"), F.round(F.min("score"), 8).alias("least"))
 
 
+@query(f"{O.frames('customer_supplier', 4)} select c_mktsegment as segment, n_name as nation, count(*)::bigint as customers, round(max(floor), 8) as best from f join customer on {sql_pack('customer', 'c_custkey')} = f.id join nation on c_nationkey = n_nationkey where i = 4 group by cube (c_mktsegment, n_name)")
+def q_score_cube_segment(spark, sf_dir):
+    frame = level_bounds(build("customer_supplier", spark, sf_dir), 4).frame
+    customers, nations = table(spark, sf_dir, "customer", ["c_custkey", "c_nationkey", "c_mktsegment"]), table(spark, sf_dir, "nation", ["n_nationkey", "n_name"])
+    named = customers.join(nations, F.col("c_nationkey") == F.col("n_nationkey")).select(pack("customer", "c_custkey").alias("id"), F.col("c_mktsegment").alias("segment"), F.col("n_name").alias("nation"))
+    return named.join(frame, "id").cube("segment", "nation").agg(F.count("*").alias("customers"), F.round(F.max("floor"), 8).alias("best"))
+
+
 @query(f"{_SUPPLIERS} select n_name, rank, id from (select *, (row_number() over (partition by n_name order by score desc, id))::bigint as rank from su) where rank <= 2")
 def q_topk_per_nation(spark, sf_dir):
     rank = F.row_number().over(Window.partitionBy("n_name").orderBy(F.desc("score"), "id")).cast("long")
@@ -645,6 +656,23 @@ def w7_directed_as_undirected(spark, sf_dir):
     return both.select("id", F.round("undirected", 6).alias("undirected"), F.round("directed", 6).alias("directed"))
 
 
+@query("""with m as (select event_id, ts, user_id as src, next_user as dst, event_type from (select *, lead(user_id) over (order by ts, event_id) as next_user from events) where user_id <> next_user)
+select src, dst from (select *, row_number() over (partition by src, dst order by ts desc, event_id desc) as rn from m) where rn = 1 and event_type <> 'error'""")
+def w9_event_replay(spark, sf_dir):
+    """The edges after the events of the second half come as a batch on the graph of the first half."""
+    from ..streaming.events import event_changes, standing
+
+    changes = event_changes(table(spark, sf_dir, "events", ["event_id", "ts", "user_id", "event_type"]))
+    middle = changes.agg(F.percentile_approx("ts", 0.5)).first()[0]
+    early, later = changes.where(F.col("ts") < F.lit(middle)), changes.where(F.col("ts") >= F.lit(middle))
+    users = table(spark, sf_dir, "events", ["user_id"]).select(F.col("user_id").alias("id")).distinct()
+    state = dynamic.start(Graph.from_edges(standing(early), users), FixedLevels(2))
+    ordered_later = later.select("src", "dst", "op", F.unix_micros("ts").alias("at"), "seq")
+    order = F.struct("at", "seq")
+    last = ordered_later.groupBy("src", "dst").agg(F.max_by("op", order).alias("op")).withColumn("seq", F.lit(0).cast("long"))
+    return dynamic.apply_batch(state, dynamic.EdgeBatch(last)).graph.edges.select("src", "dst")
+
+
 @query()
 def w8_inbound_pages(spark, sf_dir):
     from . import experiments
