@@ -104,26 +104,27 @@ def run(placed: layout.Placed, state: DataFrame, level: int, criterion, alpha: f
     """Goes on from a state until the criterion holds or max_levels are done."""
     last = criterion.levels if isinstance(criterion, FixedLevels) else max_levels
     known, ratio, persisted = (placed.undirected, alpha, gamma, numeric, kind), None, []
-    frame = bounded(state, level, *known)
-    verdict = criterion.check(frame, placed.stats.n) if level else Verdict(False, placed.stats.n)
-    while level < last and not verdict.done:
-        if numeric != "scaled":
-            L.check_room(numeric, state.agg(F.max("w")).first()[0], placed.stats.d_max)
-        before = state
-        if verdict.bar is not None:
-            state = with_bounds(state, level, *known, ratio).withColumn("live", F.col("live") & stays(verdict.bar, criterion.eps)).select("id", "w", "k", "live")
-        level += 1
-        state = layout.kept(L.advance_level(placed, state, numeric, alpha, level), placed, level)
-        if history is not None:
-            history.append(state.select("id", "w"))
-        elif placed.large:
-            persisted.append(state)
-            if len(persisted) > 2:
-                persisted.pop(0).unpersist()
-        ratio = growth(before, state, numeric, alpha) if kind == "ratio" else None
-        frame = bounded(state, level, *known, ratio)
-        verdict = criterion.check(frame, placed.stats.n)
-        report.live.append(verdict.live)
+    with layout.fixed(placed.edges.sparkSession, placed.parts):
+        frame = bounded(state, level, *known)
+        verdict = criterion.check(frame, placed.stats.n) if level else Verdict(False, placed.stats.n)
+        while level < last and not verdict.done:
+            if numeric != "scaled":
+                L.check_room(numeric, state.agg(F.max("w")).first()[0], placed.stats.d_max)
+            before = state
+            if verdict.bar is not None:
+                state = with_bounds(state, level, *known, ratio).withColumn("live", F.col("live") & stays(verdict.bar, criterion.eps)).select("id", "w", "k", "live")
+            level += 1
+            state = layout.kept(L.advance_level(placed, state, numeric, alpha, level), placed, level)
+            if history is not None:
+                history.append(state.select("id", "w"))
+            elif placed.large:
+                persisted.append(state)
+                if len(persisted) > 2:
+                    persisted.pop(0).unpersist()
+            ratio = growth(before, state, numeric, alpha) if kind == "ratio" else None
+            frame = bounded(state, level, *known, ratio)
+            verdict = criterion.check(frame, placed.stats.n)
+            report.live.append(verdict.live)
     report.levels, report.winner = level, verdict.winner
     report.converged = verdict.done or isinstance(criterion, FixedLevels)
     if verdict.bar is not None:

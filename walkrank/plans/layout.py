@@ -1,10 +1,10 @@
 """Where rows lie: edges by target, states by node, both in the same number of partitions.
 
 The join of a level then needs no exchange, and the only rows shuffled are partial sums by source. Each state goes to
-the shared folder, which ends its lineage, so a lost executor costs one level at most. Levels of large graphs are planned
-without adaptive changes: their partitions are fixed, and a checkpoint keeps the partitioning of such a plan. It is persisted
-as well, as a level reads it twice and the second reading of a bare checkpoint loses its partitioning. The states of small
-graphs are sent to the edges rather than shuffled, so there the planner has a free hand."""
+the shared folder, which ends its lineage, so a lost executor costs one level at most. Levels are planned without adaptive
+changes: their partitions are fixed, and a checkpoint keeps the partitioning of such a plan. The states of large graphs are
+persisted as well, as a level reads them twice and the second reading of a bare checkpoint loses its partitioning; those of
+small graphs are sent to the edges."""
 
 from __future__ import annotations
 
@@ -35,11 +35,9 @@ def fixed(spark: SparkSession, parts: int):
 
 def kept(df: DataFrame, placed: Placed, level: int) -> DataFrame:
     """A state as its level leaves it."""
-    if not placed.large:
-        return commit(df)
     with fixed(df.sparkSession, placed.parts):
         df = commit(df)
-    return settled(df, placed.parts)
+    return settled(df, placed.parts) if placed.large else df
 
 
 def settled(df: DataFrame, parts: int) -> DataFrame:
