@@ -578,10 +578,14 @@ def write_code(out: Out, lengths: np.ndarray) -> None:
     out.put(len(runs) - 2, n)
     if sum(n > 0 for n in sizes) == 1:
         sizes = [0] * 19
+    value = n = 0
     for s, extra in runs:
-        out.put(words[s], sizes[s])
+        value |= words[s] << n
+        n += sizes[s]
         if s > 16:
-            out.put(extra, 3 if s == 17 else 7)
+            value |= extra << n
+            n += 3 if s == 17 else 7
+    out.put(value, n)
 
 
 def extra_of(value: int) -> tuple[int, int, int]:
@@ -663,7 +667,10 @@ def encode(samples: np.ndarray, transforms: tuple[int, ...] | None = None, cache
     out.put(1, 1)
     out.put(0, 3)
     if transforms is None:
-        transforms = (PALETTE,) if len(np.unique(image.view("<u4"))) <= 256 else ()
+        colours = image.view("<u4").ravel()
+        # the first pixels mostly tell already that there are too many colours
+        few = len(set(colours[:400].tolist())) <= 256 and len(np.unique(colours)) <= 256
+        transforms = (PALETTE,) if few else ()
     for kind in transforms:
         out.put(1, 1)
         out.put(kind, 2)
