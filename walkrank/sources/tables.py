@@ -6,12 +6,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType, TimestampType
 
+from ..config import importable
+
 EDGE = StructType([StructField("src", LongType()), StructField("dst", LongType())])
 MUTATION = StructType([StructField("src", LongType()), StructField("dst", LongType()), StructField("op", StringType()), StructField("ts", TimestampType()), StructField("seq", LongType())])
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None = None) -> DataFrame:
-    rows = spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    rows = importable(spark).read.parquet(f"{sf_dir}/{name}.parquet")
     return rows.select(*columns) if columns else rows
 
 
