@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StructType, _parse_datatype_string
 
+from ..config import importable
+
 #: Rows handled at once inside an Arrow batch; it bounds the Python objects alive in a worker.
 SLICE_ROWS = 256
 
@@ -28,7 +30,7 @@ def work_dir(spark: SparkSession) -> str:
 
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a table written to the shared folder and read again: lineage ends, and a lost executor costs nothing."""
-    path = f"{work_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    path = f"{work_dir(importable(df.sparkSession))}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
@@ -84,7 +86,7 @@ def flat_map_rows(df: DataFrame, setup: Callable[[], Callable], ddl: str, most:
 
 
 def documents(spark: SparkSession, sf_dir: str, table: str = "documents") -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+    return importable(spark).read.parquet(f"{sf_dir}/{table}.parquet")
 
 
 def text_of(column: str = "text") -> Column:
