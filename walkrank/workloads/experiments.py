@@ -79,7 +79,7 @@ def summary(table: DataFrame) -> DataFrame:
 
 
 def scaling(spark: SparkSession, sf_dir: str, graph: str = "part_supplier", k: int = 10000, eps: float = 1e-6) -> float:
-    """Seconds of one top-k run on the session's cores; bench.py calls it for several sessions."""
+    """Seconds of one top-k run on the session's cores. Nothing calls it: the table by cores is left out."""
     g = build(graph, spark, sf_dir).as_undirected()
     g.stats  # noqa: B018  the graph is laid out before the clock starts
     return rank_nodes(g, TopKCriterion(k, eps)).report.seconds
