@@ -1,7 +1,7 @@
 """Results kept as tables: levels by level number, edges, nodes, bounds and one row of figures, by version.
 
 A version is complete once its figures are written, so a reader never sees half of one, and a batch that is written twice
-counts once. Versions of levels that a batch did not touch are written again only in `copy`; `compact` drops old ones."""
+counts once. Each version is a full copy, also of levels that a batch did not touch; `compact` drops old versions."""
 
 from __future__ import annotations
 
