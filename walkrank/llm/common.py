@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Callable
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -19,26 +20,57 @@ SLICE_ROWS = 256
 
 
 def work_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
+    """The folder that all executors share: spark.checkpoint.dir, or a temporary one where it is unset and all run here (tests)."""
     conf = spark.sparkContext.getConf()
     top = spark.conf.get("spark.checkpoint.dir", None) or conf.get("spark.checkpoint.dir", None)
     if not top:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         top = getattr(spark.sparkContext, "_walkrank_tmp", None) or "file://" + tempfile.mkdtemp(prefix="walkrank-")
         spark.sparkContext._walkrank_tmp = top
     return f"{top}/walkrank"
 
 
+#: Paths of the tables written inside each open `scratch`.
+_open: list[list[str]] = []
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a table written to the shared folder and read again: lineage ends, and a lost executor costs nothing."""
     path = f"{work_dir(importable(df.sparkSession))}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    if _open:
+        _open[-1].append(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._walkrank_path = path
+    return out
+
+
+def deleted(spark: SparkSession, path: str) -> None:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables made by `written` that nothing will read again."""
+    for df in tables:
+        deleted(df.sparkSession, df._walkrank_path)
+
+
+@contextmanager
+def scratch(spark: SparkSession):
+    """Deletes at its end what operators have written inside: for results that have been computed by then."""
+    _open.append([])
+    try:
+        yield
+    finally:
+        for path in _open.pop():
+            deleted(spark, path)
 
 
 def clear(spark: SparkSession) -> None:
     """Deletes all tables that operators have written to the shared folder; results not yet read are lost."""
-    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(work_dir(spark))
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    deleted(spark, work_dir(spark))
 
 
 def arrow_schema(ddl: str) -> tuple[StructType, pa.Schema]:
@@ -48,6 +80,7 @@ def arrow_schema(ddl: str) -> tuple[StructType, pa.Schema]:
 
 def map_rows(df: DataFrame, setup: Callable[[], Callable], ddl: str) -> DataFrame:
     """One output row (a tuple in the order of ddl) for each row of df. setup runs once in each task."""
+    importable(df.sparkSession)
     kind, schema = arrow_schema(ddl)
 
     def run(batches):
@@ -63,6 +96,7 @@ def map_rows(df: DataFrame, setup: Callable[[], Callable], ddl: str) -> DataFram
 
 def flat_map_rows(df: DataFrame, setup: Callable[[], Callable], ddl: str, most: int = 20_000) -> DataFrame:
     """Any number of output rows for each row of df: what setup() returns yields tuples. Batches hold about `most` rows."""
+    importable(df.sparkSession)
     kind, schema = arrow_schema(ddl)
 
     def pack(out):
