@@ -7,10 +7,15 @@ it meets is then tested on all bits.
 A tree's inner node has a vantage point and a radius; a fingerprint is at home on its side of the radius. By the
 triangle inequality a partner differs in distance from the vantage point by at most the query radius: so a fingerprint
 near the boundary on the inner side also visits the outer side, and visitors go wherever that bound lets a partner be.
-Each pair so meets in the leaf where one of them is at home. The upper levels are fitted to a bounded sample of
-fingerprints (SAMPLE, those of least hash) and deal all fingerprints to leaves of about LEAF; inside a leaf the tree
-goes on with the leaf's own rows until BRUTE are left. A leaf puts out a spanning forest of its links, so a dense group
-costs no square of rows.
+Each pair so meets in the leaf where one of them is at home.
+
+The upper levels are fitted to a bounded sample of fingerprints (SAMPLE, those of least hash) and deal all of them. A
+leaf where more than half of FULL times LEAF rows are at home is dealt again, in chunks, by a tree fitted to a sample of
+its own, until none is; where visitors are too many they meet those at home chunk by chunk. So no task gets an unbounded
+leaf, however many there are. Inside a leaf the tree goes on with the
+leaf's own rows until BRUTE are left. Where all points of a node agree in the half, it is split by all bits, with the
+full radius. A leaf puts out a spanning forest of its links, so a dense group costs no square of rows. Visitors are the
+price of the method: about 1.2 copies of a row for each doubling of the leaves.
 
 Equal fingerprints are one before the search, whatever number of documents has them.
 
@@ -21,7 +26,9 @@ columns are left out, and an empty table gives an empty table.
 
 from __future__ import annotations
 
+import pickle
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +39,10 @@ from . import common
 from .components import components
 
 WORDS, SEED, MOST = 3, 42, 3
-SAMPLE, LEAF, BRUTE, DEEPEST = 8192, 4096, 512, 24
+SAMPLE, LEAF, BRUTE = 8192, 4096, 512
+#: A leaf of more than FULL * leaf rows is dealt again, by chunks of so many rows, or its visitors by chunks of its own. Paths of leaves are numbers, so there is a deepest.
+FULL, CHUNK, DEEPEST = 16, 1 << 17, 60
+HALVES = (0xFFFFFFFF, 0xFFFFFFFF << 32)
 #: Shingles hashed at once, and pairs tested at once.
 BLOCK, PAIRS = 1 << 16, 1 << 21
 
@@ -79,55 +89,68 @@ def apart(a: np.ndarray, b) -> np.ndarray:
 
 @dataclass
 class Split:
-    """Vantage point and radius of an inner node; the metric counts the bits of mask."""
+    """Vantage point and radius of an inner node; the metric counts the bits of mask, in which partners differ by `reach` at most."""
 
     point: int
     radius: int
+    mask: int
+    reach: int
 
     @staticmethod
-    def of(points: np.ndarray, mask: int) -> Split | None:
-        """The best of some vantage points: near halves, few at the boundary. None if all are far from halves."""
-        best = None
-        for k in range(0, len(points), max(1, len(points) // 6)):
-            d = apart(points & np.uint64(mask), points[k] & np.uint64(mask))
-            counts = np.bincount(d, minlength=2)
-            inner = np.cumsum(counts)
-            for radius in {int(np.searchsorted(inner, len(points) / 2)), int(np.searchsorted(inner, len(points) / 2)) - 1}:
-                if radius < 0:
-                    continue
-                larger = max(inner[radius], len(points) - inner[radius]) / len(points)
-                cost = larger + counts[radius] / len(points)
-                if larger < 0.95 and (best is None or cost < best[0]):
-                    best = cost, Split(int(points[k]), radius)
-        return best and best[1]
-
-    def sides(self, points: np.ndarray, home: np.ndarray, mask: int, reach: int) -> tuple[tuple[np.ndarray, np.ndarray], ...]:
+    def of(points: np.ndarray, metrics: list[tuple[int, int]]) -> Split | None:
+        """By the first metric (mask and reach) that parts the points the best of some vantage points: near halves, few at
+        the boundary. None if all are far from halves in every metric."""
+        for mask, reach in metrics:
+            best = None
+            for k in range(0, len(points), max(1, len(points) // 6)):
+                d = apart(points & np.uint64(mask), points[k] & np.uint64(mask))
+                counts = np.bincount(d, minlength=2)
+                inner = np.cumsum(counts)
+                for radius in {int(np.searchsorted(inner, len(points) / 2)), int(np.searchsorted(inner, len(points) / 2)) - 1}:
+                    if radius < 0:
+                        continue
+                    larger = max(inner[radius], len(points) - inner[radius]) / len(points)
+                    cost = larger + counts[radius] / len(points)
+                    if larger < 0.95 and (best is None or cost < best[0]):
+                        best = cost, Split(int(points[k]), radius, mask, reach)
+            if best:
+                return best[1]
+        return None
+
+    def inside(self, points: np.ndarray) -> np.ndarray:
+        return apart(points & np.uint64(self.mask), np.uint64(self.point & self.mask)) <= self.radius
+
+    def sides(self, points: np.ndarray, home: np.ndarray) -> tuple[tuple[np.ndarray, np.ndarray], ...]:
         """For the inner and the outer side: which points go there, and which of those are at home."""
-        d = apart(points & np.uint64(mask), np.uint64(self.point & mask))
+        d = apart(points & np.uint64(self.mask), np.uint64(self.point & self.mask))
         inner, outer = d <= self.radius, d > self.radius
-        to_inner = np.where(home, inner, d - reach <= self.radius)
-        to_outer = np.where(home, d + reach > self.radius, d + reach > self.radius)
-        return (to_inner, home & inner), (to_outer, home & outer)
+        to_inner = np.where(home, inner, d - self.reach <= self.radius)
+        return (to_inner, home & inner), (d + self.reach > self.radius, home & outer)
+
 
+def metrics_of(tree: int, most: int) -> list[tuple[int, int]]:
+    """How a tree's nodes are split: by its half, or by all bits where that doesn't part them."""
+    return [(HALVES[tree], most // 2), ((1 << 64) - 1, most)]
 
-def grown(points: np.ndarray, mask: int, depth: int) -> list:
+
+def grown(points: np.ndarray, metrics: list[tuple[int, int]], depth: int) -> list:
     """The upper levels of a tree: nested [split, inner, outer]; an empty list is a leaf."""
-    split = Split.of(points, mask) if depth and len(points) > 8 else None
+    split = Split.of(points, metrics) if depth and len(points) > 8 else None
     if not split:
         return []
-    inner = apart(points & np.uint64(mask), np.uint64(split.point & mask)) <= split.radius
-    return [split, grown(points[inner], mask, depth - 1), grown(points[~inner], mask, depth - 1)]
+    inner = split.inside(points)
+    return [split, grown(points[inner], metrics, depth - 1), grown(points[~inner], metrics, depth - 1)]
 
 
-def dealt(tree: list, points: np.ndarray, home: np.ndarray, mask: int, reach: int, leaf: int = 1):
+def dealt(tree: list, points: np.ndarray, home: np.ndarray, leaf: int = 1):
     """Leaves with the points that go there and whether they are at home."""
     if not len(points):
         return
     if not tree:
         yield leaf, points, home
         return
-    for k, (goes, stays) in enumerate(tree[0].sides(points, home, mask, reach)):
-        yield from dealt(tree[1 + k], points[goes], stays[goes], mask, reach, 2 * leaf + k)
+    for k, (goes, stays) in enumerate(tree[0].sides(points, home)):
+        yield from dealt(tree[1 + k], points[goes], stays[goes], 2 * leaf + k)
 
 
 class Forest:
@@ -151,19 +174,15 @@ class Forest:
             np.minimum.at(self.up, np.maximum(a, b), np.minimum(a, b))
 
 
-def search(points: np.ndarray, home: np.ndarray, masks: list[tuple[int, int]], most: int, forest: Forest, names: np.ndarray) -> None:
-    """Unites all pairs of at most `most` bits that have one at home. masks: metrics to split by, with their query radius."""
+def search(points: np.ndarray, home: np.ndarray, metrics: list[tuple[int, int]], most: int, forest: Forest, names: np.ndarray) -> None:
+    """Unites all pairs of at most `most` bits that have one at home."""
     n = int(home.sum())
     if not n:
         return
-    split, used = None, None
-    if n > BRUTE:
-        for used in masks:
-            if split := Split.of(points[home], used[0]):
-                break
+    split = Split.of(points[home], metrics) if n > BRUTE else None
     if split:
-        for goes, stays in split.sides(points, home, *used):
-            search(points[goes], stays[goes], masks, most, forest, names[goes])
+        for goes, stays in split.sides(points, home):
+            search(points[goes], stays[goes], metrics, most, forest, names[goes])
         return
     order = np.argsort(~home, kind="stable")
     points, names = points[order], names[order]
@@ -173,34 +192,98 @@ def search(points: np.ndarray, home: np.ndarray, masks: list[tuple[int, int]], m
         forest.unite(names[i + at], names[j + at])
 
 
-def links(reps: DataFrame, most: int = MOST, leaf: int = LEAF, sample: int = SAMPLE) -> DataFrame:
-    """reps: distinct fp. A spanning forest of the links: a, b."""
-    halves = (0xFFFFFFFF, 0xFFFFFFFF << 32)
-    reach, n = most // 2, reps.count()
-    depth = min(DEEPEST, max(0, int(np.ceil(np.log2(max(n, 1) / leaf)))))
+DEALT = "tree int, leaf long, home boolean, fp long"
+
+
+def dealt_table(tree: int, nodes: list, points: np.ndarray, home: np.ndarray, leaf: int = 1) -> pa.Table:
+    parts = list(dealt(nodes, points, home, leaf))
+    sizes = [len(p) for _, p, _ in parts]
+    join = lambda k, kind: np.concatenate([x[k] for x in parts]) if parts else np.zeros(0, kind)
+    leaves = np.repeat(np.array([k for k, _, _ in parts], np.int64), sizes)
+    return pa.table({"tree": pa.array(np.full(len(leaves), tree, np.int32)), "leaf": pa.array(leaves), "home": pa.array(join(2, bool)), "fp": pa.array(join(1, np.uint64).view(np.int64))})
+
+
+def levels_for(n: int, leaf: int) -> int:
+    return max(0, int(np.ceil(np.log2(max(n, 1) / leaf))))
+
+
+def leaves(reps: DataFrame, most: int, leaf: int, sample: int) -> list[DataFrame]:
+    """The rows of all leaves: tree, leaf, chunk, home, fp, by rounds of dealing."""
+    depth = levels_for(reps.count(), leaf)
     seen = np.array(sorted(r.fp for r in reps.orderBy(F.xxhash64("fp"), "fp").limit(sample).collect()) if depth else [], np.int64).view(np.uint64)
-    trees = [grown(seen, mask, depth) for mask in halves]
-    kind, schema = common.arrow_schema("tree int, leaf long, home boolean, fp long")
+    trees = [grown(seen, metrics_of(t, most), depth) for t in range(2)]
+    kind, _ = common.arrow_schema(DEALT)
 
     def deal(batches):
         for batch in batches:
             fps = batch.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
             for t, tree in enumerate(trees):
-                for k, points, home in dealt(tree, fps, np.ones(len(fps), bool), halves[t], reach):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(points), t, np.int32)), pa.array(np.full(len(points), k, np.int64)), pa.array(home), pa.array(points.view(np.int64))], schema=schema)
+                yield from dealt_table(t, tree, fps, np.ones(len(fps), bool)).to_batches()
+
+    rows, out, stuck = common.written(reps.select("fp").mapInArrow(deal, kind), "simhash-dealt"), [], None
+    while True:
+        sizes = rows.groupBy("tree", "leaf").agg(F.count("*").alias("n"), F.count_if("home").alias("at_home")).where(F.col("n") > FULL * leaf)
+        sizes = common.written(sizes, "simhash-sizes")
+        if sizes.isEmpty():
+            return [*out, rows.withColumn("chunk", F.lit(0).cast("long"))]
+        large = sizes.where((F.col("at_home") > FULL // 2 * leaf) & (F.col("leaf") < F.lit(1 << DEEPEST)))
+        if stuck is not None:  # leaves that a tree of their own left whole
+            large = large.join(stuck, ["tree", "leaf"], "left_anti")
+        crowded = sizes.join(large, ["tree", "leaf"], "left_anti").select("tree", "leaf", F.ceil(F.col("n") / (FULL * leaf)).cast("long").alias("chunks"))
+        out.append(chunked(rows.join(large, ["tree", "leaf"], "left_anti"), crowded))
+        if large.isEmpty():
+            return out
+        rows, stuck = common.written(dealt_again(rows, large, most, leaf, sample), "simhash-dealt"), large.select("tree", "leaf")
+
+
+def chunked(rows: DataFrame, crowded: DataFrame) -> DataFrame:
+    """Rows with a chunk: visitors of crowded leaves (tree, leaf, chunks) are dealt to chunks, those at home go to each."""
+    rows = rows.join(crowded, ["tree", "leaf"], "left").withColumn("chunks", F.coalesce("chunks", F.lit(1).cast("long")))
+    one = F.array(F.pmod(F.xxhash64("fp", F.lit(11)), F.col("chunks")))
+    return rows.select("tree", "leaf", "home", "fp", F.explode(F.when(F.col("home"), F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)).otherwise(one)).alias("chunk"))
+
+
+def dealt_again(rows: DataFrame, large: DataFrame, most: int, leaf: int, sample: int) -> DataFrame:
+    """The rows of large leaves (tree, leaf, n, at_home), dealt by a tree for each that is fitted to a sample of its rows."""
+    held = rows.join(large, ["tree", "leaf"])
+    some = held.where("home").where(F.pmod(F.xxhash64("fp"), F.lit(1 << 31)) * F.col("at_home") <= F.lit(float(sample)) * (1 << 31))
+
+    kind, schema = common.arrow_schema("tree int, leaf long, nodes binary")
+
+    def grow(key, table):
+        points = np.sort(table.column("fp").to_numpy()).view(np.uint64)
+        nodes = grown(points, metrics_of(key[0].as_py(), most), levels_for(table.column("at_home")[0].as_py(), leaf))
+        return pa.table({"tree": [key[0].as_py()], "leaf": [key[1].as_py()], "nodes": [pickle.dumps(nodes)]}, schema=schema)
+
+    grown_ = common.written(some.groupBy("tree", "leaf").applyInArrow(grow, kind), "simhash-trees")
+    chunks = F.ceil(F.col("n") / CHUNK).cast("long")
+    held = held.withColumn("chunk", F.pmod(F.xxhash64("fp", F.lit(7)), chunks))
+    copies = grown_.join(large, ["tree", "leaf"]).select("tree", "leaf", "nodes", F.explode(F.sequence(F.lit(0).cast("long"), chunks - 1)).alias("chunk"))
+
+    def deal(key, left, right):
+        nodes = pickle.loads(right.column("nodes")[0].as_py()) if right.num_rows else []
+        return dealt_table(key[0].as_py(), nodes, left.column("fp").to_numpy().view(np.uint64), left.column("home").to_numpy(), key[1].as_py())
+
+    by = ["tree", "leaf", "chunk"]
+    return held.select(*by, "home", "fp").groupBy(*by).cogroup(copies.groupBy(*by)).applyInArrow(deal, DEALT)
+
+
+def links(reps: DataFrame, most: int = MOST, leaf: int = LEAF, sample: int = SAMPLE) -> DataFrame:
+    """reps: distinct fp. A spanning forest of the links: a, b."""
+    common.importable(reps.sparkSession)
 
     def join(key, table):
         points = table.column("fp").to_numpy().view(np.uint64)
         home = table.column("home").to_numpy()
         order = np.lexsort((points, ~home))
         points, home, forest = points[order], home[order], Forest(len(points))
-        t = int(key[0].as_py())
-        search(points, home, [(halves[t], reach), ((1 << 64) - 1, most)], most, forest, np.arange(len(points)))
+        search(points, home, metrics_of(key[0].as_py(), most), most, forest, np.arange(len(points)))
         root = forest.root(np.arange(len(points)))
         linked = root != np.arange(len(points))
         return pa.table({"a": points[linked].view(np.int64), "b": points[root[linked]].view(np.int64)})
 
-    return reps.select("fp").mapInArrow(deal, kind).groupBy("tree", "leaf").applyInArrow(join, "a long, b long")
+    found = [rows.groupBy("tree", "leaf", "chunk").applyInArrow(join, "a long, b long") for rows in leaves(reps, most, leaf, sample)]
+    return reduce(DataFrame.unionByName, found)
 
 
 def groups(docs: DataFrame, words: int = WORDS, seed: int = SEED, most: int = MOST) -> DataFrame:
