@@ -14,7 +14,11 @@ What is found is verified: of the item's question (its first line, or half of it
 answer (the rest) the share of word shingles that the passage has must both reach `overlap`.
 
 The index is built from all items and sent to the executors; where their texts are above INDEX_BYTES it is built and
-queried in several waves of items, with word counts over all. Null texts are empty. Items or texts without words match
+queried in several waves of items, with word counts over all: the results of a wave are written and its index is
+released before the next one is built. A text is read as a stream of words, CHUNK passages at a time, and bounds are
+added up for CELLS passages times ranges of items at once, so neither a long text nor a long index needs memory for both.
+
+Null texts are empty. Items or texts without words match
 nothing. Repeated documents give repeated results; of items with one item_id each is an item of its own. Other columns
 are left out; an empty table gives an empty table.
 """
@@ -26,6 +30,7 @@ import math
 import re
 from dataclasses import dataclass
 from functools import reduce
+from itertools import islice
 
 import numpy as np
 import pandas as pd
@@ -36,7 +41,9 @@ from . import common
 
 K1, B = 1.2, 0.75
 THRESHOLD, OVERLAP, SHINGLE = 0.5, 0.6, 5
-BLOCK, INDEX_BYTES = 4, 32 << 20
+BLOCK, INDEX_BYTES = 4, 4 << 20
+#: Passages of a text handled at once; sums of bounds, and postings, held at once.
+CHUNK, CELLS = 256, 1 << 20
 WORD = re.compile(r"\w+")
 
 
@@ -44,6 +51,23 @@ def words_of(text: str) -> list[str]:
     return WORD.findall(text.lower())
 
 
+def chunks(text: str, step: int):
+    """The words of a text for CHUNK passages at a time, which are 2 * step words each, and the place of the first of them."""
+    most = (CHUNK + 1) * step
+    if len(text) <= most:  # it can't have more words
+        yield 0, words_of(text)
+        return
+    stream, at, held = (m[0] for m in WORD.finditer(text.lower())), 0, []
+    while True:
+        held += islice(stream, most + 1 - len(held))
+        if len(held) <= most:
+            yield at, held
+            return
+        yield at, held[:most]
+        at += CHUNK * step
+        held = held[CHUNK * step :]
+
+
 def shingles(words: list[str], n: int = SHINGLE) -> set[tuple[str, ...]]:
     n = min(n, len(words))
     return {tuple(words[i : i + n]) for i in range(len(words) - n + 1)} if n else set()
@@ -99,12 +123,24 @@ class Index:
         self.ranges = -(-len(items) // BLOCK)
 
     def within_reach(self, passage: np.ndarray, term: np.ndarray, n: int, threshold: float) -> np.ndarray:
-        """The passages (of n) with a range of items that may reach the threshold. passage, term: distinct pairs."""
+        """The passages (of n) with a range of items that may reach the threshold. passage, term: distinct pairs, by passage."""
         sizes = self.starts[term + 1] - self.starts[term]
-        ends = np.cumsum(sizes)
-        place = np.arange(int(ends[-1])) - np.repeat(ends - sizes - self.starts[term], sizes)
-        bounds = np.bincount(np.repeat(passage, sizes) * self.ranges + self.range[place], self.range_most[place], n * self.ranges)
-        return np.flatnonzero(bounds.reshape(n, self.ranges).max(1) >= threshold - 1e-9)
+        found, rows = [], max(1, CELLS // max(self.ranges, 1))
+        for first in range(0, n, rows):
+            count = min(rows, n - first)
+            low, high = np.searchsorted(passage, [first, first + count]).tolist()
+            bounds, ends = np.zeros(count * self.ranges), np.cumsum(sizes[low:high])
+            while low < high:
+                # as many pairs as have CELLS postings together, one at least
+                done = int(ends[-1] - sizes[low:high].sum())
+                end = low + max(1, int(np.searchsorted(ends[low - high :], done + CELLS, "right")))
+                some = sizes[low:end]
+                upto = np.cumsum(some)
+                place = np.arange(int(upto[-1])) - np.repeat(upto - some - self.starts[term[low:end]], some)
+                bounds += np.bincount(np.repeat(passage[low:end] - first, some) * self.ranges + self.range[place], self.range_most[place], count * self.ranges)
+                low = end
+            found.append(first + np.flatnonzero(bounds.reshape(count, self.ranges).max(1, initial=0.0) >= threshold - 1e-9))
+        return np.concatenate(found) if found else np.zeros(0, np.int64)
 
     def search(self, terms: list[int], threshold: float) -> list[tuple[int, float]]:
         """Items of at least the threshold with their scores. terms: distinct."""
@@ -151,27 +187,31 @@ class Index:
 
     def hits(self, text: str, threshold: float, overlap: float) -> list[tuple[int, int, int, float, float, float]]:
         """Place of the item, first word and number of words of the passage, score, and both overlaps; the best passage of each item."""
-        if not self.longest:
-            return []
-        words, step, get = words_of(text), self.longest, self.number.get
+        found: dict[int, tuple] = {}
+        if self.longest:
+            for first, words in chunks(text, self.longest):
+                self.look(first, words, threshold, overlap, found)
+        return [found[k] for k in sorted(found)]
+
+    def look(self, first: int, words: list[str], threshold: float, overlap: float, found: dict[int, tuple]) -> None:
+        """Adds the items that some words of a text give away. first: the place of the first of these in the text."""
+        step, get = self.longest, self.number.get
         ids = np.array([get(w, -1) for w in words], np.int64)
         where = np.flatnonzero(ids >= 0)
         if not len(where):
-            return []
+            return
         n, last = len(self.postings), max((len(words) - 1) // step, 1)
         # a word is in the passage that starts in its stretch of words and in the one before
         stretch = where // step
         pairs = np.unique(np.concatenate([np.minimum(stretch, last - 1) * n + ids[where], np.maximum(stretch - 1, 0) * n + ids[where]]))
         passages, term = pairs // n, pairs % n
-        found: dict[int, tuple] = {}
         for k in self.within_reach(passages, term, last, threshold).tolist():
             low, high = np.searchsorted(passages, [k, k + 1])
             for item, score in self.search(term[low:high].tolist(), threshold):
                 passage = words[k * step : (k + 2) * step]
                 share = [len(p & held) / len(p) if p else 1.0 for p in self.parts[item] for held in [self.held(passage, p)]]
                 if min(share) >= overlap and (item not in found or score > found[item][3]):
-                    found[item] = (item, k * step, len(passage), score, *share)
-        return [found[k] for k in sorted(found)]
+                    found[item] = (item, first + k * step, len(passage), score, *share)
 
     @staticmethod
     def held(passage: list[str], part: set) -> set:
@@ -179,9 +219,9 @@ class Index:
         return shingles(passage, n)
 
 
-def indexes(items: DataFrame, index_bytes: int = INDEX_BYTES) -> list:
-    """Broadcast indexes of the waves of items (item_id, text)."""
-    spark = items.sparkSession
+def indexes(items: DataFrame, index_bytes: int = INDEX_BYTES):
+    """The waves of items (item_id, text): for each how many there are and its index, broadcast."""
+    spark = common.importable(items.sparkSession)
     known = items.select("item_id", common.text_of().alias("text"))
     sizes = known.agg(F.sum(F.octet_length("text")).alias("b")).first()
     waves = max(1, math.ceil((sizes.b or 0) / index_bytes))
@@ -196,22 +236,20 @@ def indexes(items: DataFrame, index_bytes: int = INDEX_BYTES) -> list:
 
         return many
 
-    terms_of = common.flat_map_rows(known.select("wave", "text"), terms, "wave long, word string, n long")
+    terms_of = common.written(common.flat_map_rows(known.select("wave", "text"), terms, "wave long, word string, n long"), "benchmark-words")
     total = terms_of.where("word = ''").agg(F.count("*").alias("n"), F.avg("n").alias("mean")).first()
     df = terms_of.where("word <> ''").groupBy("word").agg(F.count("*").alias("df"))
-    out = []
     for wave in range(waves):
         rows = known.where(F.col("wave") == wave).select("item_id", "text").orderBy("item_id", "text").collect()
         counts = {r.word: r.df for r in df.join(terms_of.where((F.col("wave") == wave) & (F.col("word") != "")).select("word").distinct(), "word").collect()}
-        out.append(spark.sparkContext.broadcast(Index([(r.item_id, r.text) for r in rows], counts, total.n, total.mean or 1.0)))
-    return out
+        yield waves, spark.sparkContext.broadcast(Index([(r.item_id, r.text) for r in rows], counts, total.n, total.mean or 1.0))
 
 
 def contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, overlap: float = OVERLAP, index_bytes: int = INDEX_BYTES) -> DataFrame:
     """A row for each document and item that a passage of it gives away: doc_id, item_id, the passage's first word and
     number of words, score, question and answer (shares of their shingles)."""
     texts, out = docs.select("doc_id", common.text_of().alias("text")), []
-    for shared in indexes(items, index_bytes):
+    for waves, shared in indexes(items, index_bytes):
 
         def setup(shared=shared):
             index = shared.value
@@ -222,14 +260,21 @@ def contaminated(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD
 
             return many
 
-        out.append(common.flat_map_rows(texts, setup, "doc_id long, item_id long, passage_start long, passage_words long, score double, question double, answer double"))
+        found = common.flat_map_rows(texts, setup, "doc_id long, item_id long, passage_start long, passage_words long, score double, question double, answer double")
+        if waves > 1:
+            found = common.written(found, "benchmark-hits")
+            shared.destroy()
+        out.append(found)
     return reduce(DataFrame.unionByName, out)
 
 
 def clean(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, overlap: float = OVERLAP, index_bytes: int = INDEX_BYTES) -> DataFrame:
     """The rows of docs, whole, that give no item away. Nothing is shuffled."""
-    for shared in indexes(items, index_bytes):
+    for waves, shared in indexes(items, index_bytes):
         docs = docs.where(quotes_nothing(shared, threshold, overlap)(common.text_of()))
+        if waves > 1:
+            docs = common.written(docs, "benchmark-clean")
+            shared.destroy()
     return docs
 
 
