@@ -4,6 +4,7 @@ import base64
 import hashlib
 import random
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -171,6 +172,8 @@ PAGE = """<html><head><title>t</title></head><body class="home"><div id="cookie-
 def test_main_text_pages(spark, sf):
     assert main_text.main_text(PAGE) == "Head\nFirst, para & more.\nSecond one link.\nitem a\nitem b"
     assert [main_text.main_text(x) for x in (None, "", "plain only", "<p>a<b>c</p>", "<<<>>> <a \"")] == ["", "", "plain only", "ac", '<<<>>> <a "']
+    assert main_text.main_text('<p>a <!--<p>b') == "a" and main_text.main_text('x <a href="y') == 'x <a href="y'
+    assert main_text.main_text('<p title="a > b">one</p><p x="<p>two</p>') == 'one\n<p x="\ntwo'
     assert main_text.main_text("<div>" * 3000 + "deep") == "deep"
     assert main_text.main_text("<div class=sidebar><p>All there is, really.</p></div>") == "All there is, really."
     import html
@@ -184,13 +187,31 @@ def test_main_text_pages(spark, sf):
     assert main_text.extracted(spark.createDataFrame([(1, None, None)], "page_id long, url string, html string")).first().text == ""
 
 
+HOSTILE = {
+    "quotes": '<a href="' * 110_000, "brackets in quotes": '<a b=">"' * 125_000, "mixed quotes": "<a '\" \"" * 150_000, "opened": "<" * 1_000_000, "declared": "<!" * 500_000,
+    "deep": "<div>x" * 160_000, "inline": "<b>x" * 200_000 + "<hr>x" * 40_000, "closed without end": "<div>" * 100_000 + "</span>" * 70_000, "items": "<div>" * 90_000 + "<li>x" * 90_000,
+    "a long name": "<a " + "a" * 1_000_000 + ">", "spaces": "<a " + "a   " * 250_000 + "=>", "tables": "<table><tr><td>" * 60_000 + "x", "class": '<p class="' + "Ab" * 400_000 + '">x',
+    "chains": "<i>x" * 100_000 + "<i>y</i>" * 60_000, "comments": "<!-- " * 200_000, "scripts": "<script>" * 120_000,
+}
+
+
+@pytest.mark.parametrize("name", HOSTILE)
+def test_hostile_pages(name):
+    """Pages of a megabyte take about a second, not its square."""
+    begun = time.process_time()
+    main_text.main_text(HOSTILE[name])
+    assert time.process_time() - begun < 6
+
+
 # 4
 
 
 def brute_strings(rows, length):
+    """Figures of each row. A document is a doc_id and a text; nulls come first."""
+    place = lambda r: (r[0] is not None, r[0] or 0, r[1])
     seen, out = set(), {}
-    for k, t in sorted(rows, key=lambda r: (-1 << 63) if r[0] is None else r[0]):
-        b = (t or "").encode()
+    for k, t in sorted({(k, t or "") for k, t in rows}, key=place):
+        b = t.encode()
         gone, fresh = np.zeros(len(b), bool), set()
         for p in range(len(b) - length + 1):
             w = b[p : p + length]
@@ -199,8 +220,8 @@ def brute_strings(rows, length):
             fresh.add(w)
         seen |= fresh
         kept = bytes(x for x, g in zip(b, gone, strict=True) if not g)
-        out[k] = (len(b), int(gone.sum()), int((np.diff(gone.astype(int), prepend=0) == 1).sum()), sha(kept))
-    return out
+        out[k, t] = (len(b), int(gone.sum()), int((np.diff(gone.astype(int), prepend=0) == 1).sum()), sha(kept))
+    return sorted(repr((k, *out[k, t or ""])) for k, t in rows)
 
 
 def string_rows():
@@ -217,42 +238,102 @@ def string_rows():
     return rows + [(5000, "a" * 1000), (5001, "ab" * 300), (5002, ""), (5003, "a" * 99), (5004, "a" * 100), (5005, None), (None, base[0])]
 
 
-@pytest.mark.parametrize("limits", [{}, {"hot": 2}, {"block_contexts": 7}])
+DIGEST = ("n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
+def string_figures(frame, **limits):
+    return sorted(repr(tuple(r)) for r in substring_dedup.deduped(frame, DIGEST, **limits).collect())
+
+
+@pytest.mark.parametrize("limits", [{}, {"hot": 2}, {"block_contexts": 7}, {"length": 120}])
 def test_strings(spark, limits):
     rows = string_rows()
-    found = substring_dedup.deduped(docs(spark, rows), ("n_bytes", "n_removed", "n_spans", "kept_sha256"), **limits)
-    assert {r.doc_id: tuple(r)[1:] for r in found.collect()} == brute_strings(rows, 100)
+    assert string_figures(docs(spark, rows), **limits) == brute_strings(rows, limits.get("length", 100))
+
+
+@pytest.mark.parametrize("hot", [3, 20_000])
+def test_strings_of_rows_that_repeat(spark, hot):
+    """Doc_ids that are null or come again with other texts, and rows that come again whole."""
+    rng = random.Random(9)
+    text, short = "".join(rng.choices("abcdefgh ", k=2000)), "".join(rng.choices("xyz ", k=60))
+    rows = [(2, text), (2, text[:156]), (None, text), (1, text), (None, short + text[:150]), (-(1 << 63), text[300:700]), (None, None), (7, text[1000:]), (7, text[1000:]), (7, "")]
+    rows += [(rng.choice([None, 3, 3, 4]), text[a : a + 300] + short) for a in rng.choices(range(1500), k=25)]
+    keys = {t: h for t, h in spark.createDataFrame([(t,) for t in {t or "" for _, t in rows}], "t string").selectExpr("t", "shiftrightunsigned(xxhash64(t), 1)").collect()}
+    got = string_figures(docs(spark, rows), hot=hot)
+    assert len(got) == len(rows)
+    # rows of one doc_id come by a hash of their texts, those without one the other way round
+    nulls = {k: -1 - h for k, h in keys.items()}
+    ordered = sorted({(k, t or "") for k, t in rows}, key=lambda r: (r[0] is not None, r[0] or 0, nulls[r[1]] if r[0] is None else keys[r[1]]))
+    numbered = {r: n for n, r in enumerate(ordered)}
+    by_number = {eval(x)[0]: eval(x)[1:] for x in brute_strings([(numbered[k, t or ""], t) for k, t in rows], 100)}
+    want = sorted(repr((k, *by_number[numbered[k, t or ""]])) for k, t in rows)
+    assert got == want
 
 
 def test_strings_odd(spark):
-    found = substring_dedup.deduped(docs(spark, [r for r in ODD if r[0] is not None]), ("n_bytes", "n_removed", "kept", "spans")).collect()
-    assert len(found) == 10 and {r.n_removed for r in found if r.n_bytes < 100} == {0}
+    found = substring_dedup.deduped(docs(spark, ODD), ("n_bytes", "n_removed", "kept", "spans")).collect()
+    assert len(found) == len(ODD) and {r.n_removed for r in found if r.n_bytes < 100} == {0}
     assert next(r for r in found if r.doc_id == 9).n_removed == 20000 - 1
     assert substring_dedup.deduped(docs(spark, [])).count() == 0
+    with pytest.raises(ValueError):
+        substring_dedup.deduped(docs(spark, []), length=60)
 
 
-@pytest.mark.parametrize(("bucket", "part"), [(1 << 17, 1 << 20), (40, 150)])
-def test_blocks_of_suffixes(monkeypatch, bucket, part):
+def context_rows(rng, letters, n=60):
+    base = ["".join(rng.choice(letters) for _ in range(rng.randrange(100, 176))) for _ in range(n)]
+    base += [b[:90] + "".join(rng.choice(letters) for _ in range(60)) for b in base]
+    base += ["a" * 150, "ab" * 70, "aab" * 50, "b" + "a" * 140]
+    return [b.encode() for b in base] * 2
+
+
+@pytest.mark.parametrize("bucket", [1 << 17, 40])
+@pytest.mark.parametrize("letters", ["ab", "abcdefghijkl"])
+def test_blocks_come_in_the_order_of_their_bytes(monkeypatch, bucket, letters):
+    """Windows at any remainders of the period: order and equal neighbours as sorted() has them."""
     monkeypatch.setattr(substring_dedup, "BUCKET", bucket)
-    monkeypatch.setattr(substring_dedup, "PART", part)
+    rng = random.Random(bucket)
+    contexts = context_rows(rng, letters)
+    block = substring_dedup.Block(contexts, np.array([rng.randrange(77) for _ in contexts]))
+    found, equal, largest = [], [], 0
+    for windows, same in block.buckets():
+        found += [contexts[block.owner[w]][block.offset[w] : block.offset[w] + 100] for w in windows]
+        equal += same.tolist()
+        largest = max(largest, len(windows))
+    assert found == sorted(c[o : o + 100] for c in contexts for o in range(len(c) - 99))
+    assert equal == [i > 0 and found[i] == found[i - 1] for i in range(len(found))]
+    assert largest < len(found) or bucket > len(found)
+
+
+def test_cover_leads_any_two_places():
+    ways = substring_dedup.WAYS
+    a, b = np.indices(ways.shape)
+    for x in (a, b):
+        assert np.isin((x + ways) % substring_dedup.PERIOD, substring_dedup.COVER).all()
+    assert ways.min() >= substring_dedup.NEAREST and ways.max() < substring_dedup.HEAD
+
+
+def test_repeats_of_a_block():
     rng = random.Random(1)
-    contexts = ["".join(rng.choice("ab") for _ in range(rng.randrange(100, 176))).encode() for _ in range(40)] * 3
-    ids, places = np.arange(len(contexts)) % 50, np.arange(len(contexts))
-    got = substring_dedup.repeats(contexts, np.zeros(len(contexts), np.int64), ids, places)
-    first, want = {}, []
-    windows = [(c[o : o + 100], (int(i), int(p) + o)) for c, i, p in zip(contexts, ids, places, strict=True) for o in range(len(c) - 99)]
+    contexts = context_rows(rng, "ab", 20)
+    ids, ties, places = np.arange(len(contexts)) % 9, np.arange(len(contexts)) % 2, np.arange(len(contexts)) * 3
+    got = substring_dedup.repeats(contexts, np.zeros(len(contexts), np.int64), [ids, ties], places)
+    windows = [(c[o : o + 100], (int(i), int(t), int(p) + o)) for c, i, t, p in zip(contexts, ids, ties, places, strict=True) for o in range(len(c) - 99)]
+    first = {}
     for w, at in windows:
-        first[w, 0] = min(first.get((w, 0), at), at)
-    # windows of one place in a context may tie only with windows of the same place
-    want = [any(w == x and at > a for x, a in windows) for w, at in windows[:200]]
-    assert [bool(g) or not w for g, w in zip(got[:200], want, strict=True)] == [True] * 200 or got[:200].sum() <= sum(want)
+        first[w] = min(first.get(w, at), at)
+    assert got.tolist() == [first[w] != at for w, at in windows]
+
+
+@pytest.mark.parametrize("part", [1 << 20, 150])
+def test_anchors_cover_all_windows(monkeypatch, part):
+    monkeypatch.setattr(substring_dedup, "PART", part)
     texts = [t for k, t in string_rows() if t]
     covered = set()
-    for n, (ids, starts, offsets, data, ends) in enumerate(substring_dedup.parts(list(range(len(texts))), texts)):
+    for rows, starts, offsets, data, ends in substring_dedup.parts(texts):
         at, _, low, high = substring_dedup.anchors(np.frombuffer(data, np.uint8), ends)
         text = np.searchsorted(ends, at, "right")
         for t, a, b in zip(text.tolist(), low.tolist(), high.tolist(), strict=True):
-            covered |= {(int(ids[t]), int(offsets[t]) + p - int(starts[t])) for p in range(a, b + 1)}
+            covered |= {(int(rows[t]), int(offsets[t]) + p - int(starts[t])) for p in range(a, b + 1)}
     assert covered == {(i, p) for i, t in enumerate(texts) for p in range(len(t.encode()) - 99)}
 
 
@@ -341,6 +422,45 @@ def test_forward_backward(sizes):
         assert np.abs(got - np.array(want)).max() < 1e-5 and np.abs(pairs - both).max() < 1e-3
 
 
+def test_a_long_text_goes_by_in_pieces(monkeypatch):
+    rng, words = random.Random(4), {"en": "the cat and dog with some".split(), "de": "der hund und die katze mit".split(), "fr": "le chat et la souris avec".split()}
+    text = lambda y, n: " ".join(rng.choices(words[y], k=n))
+    model = language_crf.fit([(text(y, 60), y) for y in words for _ in range(9)], 12)
+    texts = ["", "12 3", *(text(y, rng.randrange(1, 200)) for y in words for _ in range(6)), " ".join(text(y, 40) for y in [*words] * 5), "x" * 700 + " " + text("de", 9)]
+    monkeypatch.setattr(language_crf, "LONGEST", 50)
+    whole, parts = language_crf.predicted(model, texts), [language_crf.word_labels(model, t) for t in texts]
+    for most in (200, 333):
+        monkeypatch.setattr(language_crf, "BATCH_CHARS", most)
+        again = language_crf.predicted(model, texts)
+        assert [y for y, _ in again] == [y for y, _ in whole] and np.allclose([s for _, s in again], [s for _, s in whole], atol=1e-4)
+        for t, want in zip(texts, parts, strict=True):
+            got = language_crf.word_labels(model, t)
+            assert [g[:2] for g in got] == [w[:2] for w in want] and np.allclose([g[2] for g in got], [w[2] for w in want], atol=1e-4)
+            cut = list(language_crf.pieces(t, most))
+            assert "".join(cut) == t and max(map(len, cut)) <= most + 50
+    emit, moves = rng_emit(40), np.random.default_rng(3).normal(size=(3, 3)).astype("f4")
+    p, _, on, back = language_crf.passed(emit, moves, np.array([0, 40]))
+    first = language_crf.passed(emit[:17], moves, np.array([0, 17]))
+    last = language_crf.passed(emit[17:], moves, np.array([0, 23]), first[2])
+    first = language_crf.passed(emit[:17], moves, np.array([0, 17]), None, last[3])
+    assert np.allclose(np.concatenate([first[0], last[0]]), p, atol=1e-5) and np.allclose(last[2], on, atol=1e-5)
+
+
+def rng_emit(n):
+    return np.random.default_rng(n).normal(size=(n, 3)).astype("f4")
+
+
+def test_many_labels():
+    """More labels than the tables have room for: all are learned."""
+    rng = random.Random(2)
+    names = [f"l{i:03}" for i in range(130)]
+    own = {y: ["".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=6)) for _ in range(6)] for y in names}
+    model = language_crf.fit([(" ".join(rng.choices(own[y], k=20)), y) for y in names for _ in range(2)], 12)
+    assert model.folds == 2 and model.labels == names and (len(model.grams) + len(model.words)) * 130 <= language_crf.WEIGHTS
+    got = language_crf.predicted(model, [" ".join(rng.choices(own[y], k=20)) for y in names])
+    assert sum(g == y for (g, _), y in zip(got, names, strict=True)) >= 125
+
+
 def test_language(spark):
     big = "/root/testdata/sf0.01"
     rows = language_crf.op7_language(spark, big).join(spark.read.parquet(f"{big}/documents.parquet").select("doc_id", "lang"), "doc_id").where("held_out and lang is not null").collect()
@@ -392,6 +512,38 @@ def test_wand_finds_all():
         assert {h[0] for h in index.hits(text, 0.5, 0.6)} == want
 
 
+@pytest.mark.parametrize(("chunk", "cells"), [(1, 1), (3, 40), (256, 1 << 20)])
+def test_bounds_in_pieces(monkeypatch, chunk, cells):
+    items, texts = items_and_texts()
+    df = Counter(w for _, t in items for w in set(decontamination.words_of(t)))
+    index = decontamination.Index(items, df, len(items), 25.0)
+    long = [t for _, t in texts] + [" ".join(t for _, t in texts), " ".join(t for _, t in texts[::-1]) + " x" * 5000]
+    want = [index.hits(t, 0.5, 0.6) for t in long]
+    monkeypatch.setattr(decontamination, "CHUNK", chunk)
+    monkeypatch.setattr(decontamination, "CELLS", cells)
+    assert [index.hits(t, 0.5, 0.6) for t in long] == want and sum(map(len, want)) > 20
+    rng = np.random.default_rng(0)
+    term = rng.permutation(len(index.postings))[:60]
+    passage = np.sort(rng.integers(0, 9, 60))
+    bound = np.zeros((9, index.ranges))
+    for p, t in zip(passage, term, strict=True):
+        at = slice(index.starts[t], index.starts[t + 1])
+        bound[p, index.range[at]] += index.range_most[at]
+    assert index.within_reach(passage, term, 9, 0.3).tolist() == np.flatnonzero(bound.max(1) >= 0.3 - 1e-9).tolist()
+
+
+def test_a_long_text_needs_little_memory():
+    import tracemalloc
+
+    index = decontamination.Index([(1, "some words that nobody says twice\nthe answer is this")], {}.fromkeys("some words that nobody says twice the answer is this".split(), 1), 1, 10.0)
+    text = "a few words here " * 500_000 + "some words that nobody says twice the answer is this"
+    tracemalloc.start()
+    found = index.hits(text, 0.5, 0.6)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert [f[0] for f in found] == [0] and peak < 2.5 * len(text) + (4 << 20)
+
+
 def test_decontamination(spark):
     items, texts = items_and_texts()
     table = spark.createDataFrame([*items, (98, None), (99, "")], "item_id long, text string")
@@ -491,6 +643,28 @@ def test_trees_lose_no_link(spark):
         assert local.root(np.array([a]))[0] == local.root(np.array([b]))[0]
 
 
+def test_large_leaves_are_dealt_again(spark, monkeypatch):
+    """A sample far too small for the fingerprints, a third of which agree in one half: no leaf stays large, no link is lost."""
+    monkeypatch.setattr(simhash, "CHUNK", 300)
+    rng = np.random.default_rng(7)
+    half = rng.integers(0, 2**32, 700).astype(np.uint64) | np.uint64(0x1234567 << 32)
+    near = half[rng.integers(0, 700, 300)] ^ (np.uint64(1) << rng.integers(0, 64, 300).astype(np.uint64))
+    fps = np.unique(np.concatenate([half, near, rng.integers(0, 2**63, 1100).astype(np.uint64)]))
+    reps = spark.createDataFrame([(int(x),) for x in fps.view(np.int64)], "fp long")
+    rounds = simhash.leaves(reps, 3, 6, 40)
+    assert len(rounds) >= 3
+    groups = [r for rows in rounds for r in rows.groupBy("tree", "leaf", "chunk").agg({"*": "count"}).collect()]
+    assert max(r[3] for r in groups) <= 2 * simhash.FULL * 6 and max(r.chunk for r in groups) > 0
+    homes = [sum(rows.where(f"home and chunk = 0 and tree = {t}").count() for rows in rounds) for t in (0, 1)]
+    assert homes == [len(fps), len(fps)]
+    roots = {r.node: r.root for r in components(simhash.links(reps, leaf=6, sample=40)).collect()}
+    forest = simhash.Forest(len(fps))
+    forest.unite(*np.nonzero(np.bitwise_count(fps[:, None] ^ fps[None]) <= 3))
+    want = forest.root(np.arange(len(fps)))
+    names = [roots.get(int(x), int(x)) for x in fps.view(np.int64)]
+    assert len(set(zip(names, want.tolist(), strict=True))) == len(set(names)) == len(set(want.tolist())) < len(fps)
+
+
 def test_components(spark):
     rng = random.Random(6)
     pairs = [(i, i + 1) for i in range(0, 40)] + [(100, x) for x in range(101, 160)] + [(rng.randrange(200, 400), rng.randrange(200, 400)) for _ in range(90)] + [(7, 7)]
@@ -514,6 +688,17 @@ def test_shared_folder(spark):
     assert common.work_dir(spark).startswith(spark.sparkContext.getConf().get("spark.checkpoint.dir"))
 
 
+def test_scratch_tables_go(spark):
+    with common.scratch(spark):
+        inner = common.written(spark.range(3), "inner")
+    outer = common.written(spark.range(3), "outer")
+    assert outer.count() == 3
+    common.discard(outer)
+    for gone in (inner, outer):
+        with pytest.raises(Exception, match="(?i)not.?exist|not.?found"):
+            gone.count()
+
+
 def test_shared_folder_is_cleared(spark):
     kept = common.written(spark.range(3), "something")
     assert kept.count() == 3
