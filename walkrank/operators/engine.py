@@ -8,7 +8,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..config import MAX_LEVELS
+from ..config import DRIVER_ROWS, MAX_LEVELS
 from ..functions import bounds as B
 from ..plans import layout
 from . import levels as L
@@ -32,6 +32,8 @@ class Report:
     frontier: list[int] = field(default_factory=list)
     seconds: float = 0.0
     winner: tuple[int, int] | None = None
+    #: floor and id of the k-th node at the end, where the criterion has a live set
+    bar: tuple[float, int] | None = None
 
 
 @dataclass
@@ -44,7 +46,10 @@ class RankResult:
     history: list[DataFrame] = field(default_factory=list)
 
     def ranking(self, k: int | None = None) -> DataFrame:
-        """rank, id, floor, ceiling in order of floor, then id. Ranks of all nodes come by ranges of the floor."""
+        """rank, id, floor, ceiling in order of floor, then id. Ranks of all nodes, or of more than the driver takes, come by
+        ranges of the floor."""
+        if k is not None and k > DRIVER_ROWS:
+            return ranked(self.frame.where("live")).where(F.col("rank") <= k).select("rank", "id", "floor", "ceiling")
         if k is not None:
             top = self.frame.where("live").orderBy(F.desc("floor"), "id").limit(k)
             from pyspark.sql import Window
@@ -125,7 +130,7 @@ def run(placed: layout.Placed, state: DataFrame, level: int, criterion, alpha: f
             frame = bounded(state, level, *known, ratio)
             verdict = criterion.check(frame, placed.stats.n)
             report.live.append(verdict.live)
-    report.levels, report.winner = level, verdict.winner
+    report.levels, report.winner, report.bar = level, verdict.winner, verdict.bar
     report.converged = verdict.done or isinstance(criterion, FixedLevels)
     if verdict.bar is not None:
         frame = frame.withColumn("live", F.col("live") & stays(verdict.bar, criterion.eps))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import cached_property
 
@@ -28,6 +29,8 @@ class Graph:
     nodes: DataFrame
     undirected: bool = False
     parts: int | None = field(default=None, compare=False)
+    #: lays the graph out, where that is other than from its edges
+    layout: Callable[[], layout.Placed] | None = field(default=None, compare=False)
 
     @staticmethod
     def from_edges(edges: DataFrame, nodes: DataFrame | None = None, undirected: bool = False, drop_loops: bool = False) -> Graph:
@@ -41,9 +44,14 @@ class Graph:
             ids = ids.unionByName(nodes.select(F.col("id").cast("long").alias("id")).dropna()).distinct()
         return Graph(clean, ids, undirected)
 
+    @staticmethod
+    def of_placed(placed: layout.Placed) -> Graph:
+        """A graph that is laid out, with edges that came and went since."""
+        return Graph(placed.current(), placed.nodes.select("id"), placed.undirected, placed.parts if placed.large else None, lambda: placed)
+
     @cached_property
     def placed(self) -> layout.Placed:
-        return layout.placed(self.edges, self.nodes, self.undirected, self.parts)
+        return self.layout() if self.layout else layout.placed(self.edges, self.nodes, self.undirected, self.parts)
 
     @property
     def stats(self) -> layout.Stats:

@@ -34,6 +34,11 @@ def spread(edges: Placed | DataFrame, values: DataFrame, value: str = "w") -> Da
     if edges.hubs is not None:
         known = side.join(F.broadcast(edges.hubs.select(F.col("id").alias("dst"))), "dst", "left_semi")
         brought = brought.unionByName(edges.hub_edges.join(F.broadcast(known), "dst").select("src", "_w"))
+    for arcs, sign in ((edges.fresh, 1), (edges.gone, -1)):  # what edges that came bring, and those that went don't
+        if arcs:
+            few = F.broadcast(edges.table_of(arcs))
+            kind = values.schema[value].dataType
+            brought = brought.unionByName(side.join(few, "dst").select("src", (F.col("_w") * sign).cast(kind).alias("_w")))
     return brought.groupBy(F.col("src").alias("id")).agg(F.sum("_w").alias("w"))
 
 

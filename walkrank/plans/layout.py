@@ -10,13 +10,14 @@ from __future__ import annotations
 
 import uuid
 from contextlib import contextmanager
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..config import PARTITION_ROWS, SMALL_ROWS, shared_folder
+from ..config import BROADCAST_ROWS, PARTITION_ROWS, SMALL_ROWS, shared_folder
 
 
 @contextmanager
@@ -83,6 +84,24 @@ class Placed:
     #: edges to hubs, dealt by source, and the hubs' ids; edges has the others
     hub_edges: DataFrame | None = None
     hubs: DataFrame | None = None
+    #: arcs that came, and laid-out ones that went, since: few enough for the driver
+    fresh: tuple[tuple[int, int], ...] = ()
+    gone: tuple[tuple[int, int], ...] = ()
+
+    def table_of(self, arcs) -> DataFrame:
+        columns = list(zip(*arcs, strict=True)) or [(), ()]
+        return self.nodes.sparkSession.createDataFrame(pa.table({name: pa.array(x, pa.int64()) for name, x in zip(("src", "dst"), columns, strict=True)}))
+
+    def laid_out(self) -> DataFrame:
+        """All arcs as they were laid out, by target."""
+        return self.edges if self.hub_edges is None else self.edges.unionByName(self.hub_edges)
+
+    def current(self) -> DataFrame:
+        """All arcs, src and dst."""
+        arcs = self.arcs
+        if self.gone:
+            arcs = arcs.join(F.broadcast(self.table_of(self.gone)), ["src", "dst"], "left_anti")
+        return arcs.unionByName(self.table_of(self.fresh)) if self.fresh else arcs
 
     def release(self) -> None:
         for kept_ in (self.edges, self.nodes, self.hub_edges, self.hubs):
@@ -90,6 +109,26 @@ class Placed:
                 kept_.unpersist()
 
 
+def changed(before: Placed, comes: list[tuple[int, int]], goes: list[tuple[int, int]]) -> Placed:
+    """With arcs added that aren't there and others taken away that are. Once these are many all is laid out anew; the
+    figures but d_max are those of the changed graph."""
+    fresh, gone = dict.fromkeys(before.fresh), dict.fromkeys(before.gone)
+    for arc in goes:
+        if arc in fresh:
+            del fresh[arc]
+        else:
+            gone[arc] = None
+    for arc in comes:
+        if arc in gone:
+            del gone[arc]
+        else:
+            fresh[arc] = None
+    after = replace(before, fresh=tuple(fresh), gone=tuple(gone), stats=replace(before.stats, m=before.stats.m + len(comes) - len(goes)))
+    if len(fresh) + len(gone) > min(BROADCAST_ROWS, max(1000, after.stats.m // 10)):
+        return placed(after.current(), after.nodes, after.undirected, after.parts if after.large else None)
+    return after
+
+
 def placed(edges: DataFrame, nodes: DataFrame, undirected: bool, parts: int | None = None) -> Placed:
     """edges (src, dst, distinct) and nodes (id, with all ends) as tables, with their figures, laid out for levels."""
     arcs, ids = written(edges.select("src", "dst"), "edges"), written(nodes.select("id"), "nodes")

@@ -1,7 +1,9 @@
-"""Results kept as tables: levels by level number, edges, nodes, bounds and one row of figures, by version.
+"""Results kept as tables, by version: counts of all levels, edges and nodes as they were laid out, what batches have
+changed since, and one row of figures.
 
-A version is complete once its figures are written, so a reader never sees half of one, and a batch that is written twice
-counts once. Each version is a full copy, also of levels that a batch did not touch; `compact` drops old versions."""
+A version that only adds changes writes these alone and names the version whose tables they are added to on reading; once
+the changes have become many, the state has a new base and the version is whole again. A version is complete once its
+figures are written, so a reader never sees half of one, and a batch that is written twice counts once."""
 
 from __future__ import annotations
 
@@ -11,30 +13,37 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import criteria
-from ..operators.dynamic import KatzState
+from ..operators.dynamic import DELTA, KatzState
 from ..operators.engine import Report
 from ..operators.graph import Graph
+from ..operators.levels import EXACT
+from ..plans import layout
 
-META = "version long, batch long, undirected boolean, depth int, alpha double, gamma double, d_max long, numeric string, cap double, criterion string, k long, first long, second long, levels int, eps double"
+META = "version long, base long, batch long, undirected boolean, depth int, alpha double, gamma double, n long, m long, d_max long, cap double, criterion string, k long, first long, second long, levels int, eps double, bar_floor double, bar_id long"
+WHOLE, CHANGES = ("base", "edges", "nodes"), ("delta", "arcs", "meta")
 
 
-def _paths(root: str, version: int) -> dict[str, str]:
-    return {name: f"{root}/{name}/version={version}" for name in ("levels", "edges", "nodes", "frame", "meta")}
+def _path(root: str, name: str, version: int) -> str:
+    return f"{root}/{name}/version={version}"
 
 
-def save(state: KatzState, root: str, batch: int = -1) -> None:
-    """Writes the state as its version; batch: what it comes from (for streams)."""
-    spark, c, to = state.frame.sparkSession, state.criterion, _paths(root, state.version)
-    levels = None
-    for i, level in enumerate(state.levels):
-        part = level.select(F.lit(i).alias("level"), "id", F.col("w"))
-        levels = part if levels is None else levels.unionByName(part)
-    levels.write.mode("overwrite").partitionBy("level").parquet(to["levels"])
-    state.graph.edges.select("src", "dst").sortWithinPartitions("dst").write.mode("overwrite").parquet(to["edges"])
-    state.graph.nodes.write.mode("overwrite").parquet(to["nodes"])
-    state.frame.select("id", "floor", "ceiling", "live").write.mode("overwrite").parquet(to["frame"])
-    row = (state.version, batch, state.graph.undirected, state.depth, state.alpha, state.report.gamma, state.report.d_max, state.numeric, state.cap, c.name, getattr(c, "k", None), getattr(c, "first", None), getattr(c, "second", None), getattr(c, "levels", None), float(c.eps))
-    spark.createDataFrame([row], META).write.mode("overwrite").parquet(to["meta"])
+def save(state: KatzState, root: str, batch: int = -1) -> KatzState:
+    """Writes the state as its version; batch: what it comes from (for streams). Returns the state as it is stored."""
+    spark, c, placed = state.base.sparkSession, state.criterion, state.graph.placed
+    to = lambda name: _path(root, name, state.version)
+    if not state.stored or state.stored[0] != root:
+        state.base.select("id", "ws").write.mode("overwrite").parquet(to("base"))
+        placed.laid_out().select("src", "dst").sortWithinPartitions("dst").write.mode("overwrite").parquet(to("edges"))
+        placed.nodes.select("id").write.mode("overwrite").parquet(to("nodes"))
+        state = replace(state, stored=(root, state.version))
+    delta = state.delta if state.delta is not None else DELTA.empty_table()
+    spark.createDataFrame(delta).write.mode("overwrite").parquet(to("delta"))
+    arcs = placed.table_of(placed.fresh).withColumn("op", F.lit("insert")).unionByName(placed.table_of(placed.gone).withColumn("op", F.lit("delete")))
+    arcs.write.mode("overwrite").parquet(to("arcs"))
+    bar, stats = state.bar or (None, None), placed.stats
+    row = (state.version, state.stored[1], batch, state.graph.undirected, state.depth, state.alpha, state.report.gamma, stats.n, stats.m, stats.d_max, state.cap, c.name, getattr(c, "k", None), getattr(c, "first", None), getattr(c, "second", None), getattr(c, "levels", None), float(c.eps), *bar)
+    spark.createDataFrame([row], META).write.mode("overwrite").parquet(to("meta"))
+    return state
 
 
 def _exists(spark: SparkSession, path: str) -> bool:
@@ -58,27 +67,46 @@ def load(spark: SparkSession, root: str, version: int | None = None) -> tuple[Ka
     row = known.where(F.col("version") == version).first() if version is not None else known.orderBy(F.desc("version")).first()
     if row is None:
         return None
-    at = _paths(root, row.version)
     kinds = {"ranking": lambda: criteria.RankingCriterion(row.eps), "top-k": lambda: criteria.TopKCriterion(row.k, row.eps), "score": lambda: criteria.ScoreCriterion(row.eps), "pair": lambda: criteria.PairCriterion(row.first, row.second, row.eps), "levels": lambda: criteria.FixedLevels(row.levels)}
-    graph = Graph(spark.read.parquet(at["edges"]).select("src", "dst"), spark.read.parquet(at["nodes"]).select("id"), row.undirected)
-    all_levels = spark.read.parquet(at["levels"])
-    levels = [all_levels.where(F.col("level") == i).select("id", "w") for i in range(row.depth + 1)]
+    whole = lambda name: spark.read.parquet(_path(root, name, row.base))
+    edges, nodes = whole("edges").select("src", "dst"), whole("nodes").select("id")
+    delta = spark.read.schema(f"id long, level int, d {EXACT}").parquet(_path(root, "delta", row.version)).toArrow().cast(DELTA)
+    arcs = spark.read.schema("src long, dst long, op string").parquet(_path(root, "arcs", row.version)).collect()
+    fresh, gone = (tuple((r.src, r.dst) for r in arcs if r.op == op) for op in ("insert", "delete"))
+
+    def lay_out() -> layout.Placed:
+        return replace(layout.placed(edges, nodes, row.undirected), fresh=fresh, gone=gone, stats=layout.Stats(row.n, row.m, row.d_max))
+
+    now = edges
+    if gone:
+        now = now.join(F.broadcast(spark.createDataFrame(list(gone), "src long, dst long")), ["src", "dst"], "left_anti")
+    if fresh:
+        now = now.unionByName(spark.createDataFrame(list(fresh), "src long, dst long"))
     report = Report(row.criterion, row.eps, row.alpha, row.gamma, row.d_max, row.depth, True)
-    frame = spark.read.parquet(at["frame"]).select("id", "floor", "ceiling", "live")
-    return KatzState(graph, levels, kinds[row.criterion](), row.alpha, frame, report, row.numeric, row.cap, row.version), row.batch
+    bar = None if row.bar_id is None else (row.bar_floor, row.bar_id)
+    graph = Graph(now, nodes, row.undirected, None, lay_out)
+    state = KatzState(graph, whole("base").select("id", "ws"), row.depth, kinds[row.criterion](), row.alpha, report, bar, row.cap, row.version, [], delta if delta.num_rows else None, (root, row.base))
+    return state, row.batch
 
 
 def compact(spark: SparkSession, root: str, keep: int = 2) -> list[int]:
-    """Drops all but the last versions; returns those dropped."""
+    """Drops all but the last versions, and whole tables that none of those needs; returns the versions dropped."""
     known = versions(spark, root)
-    old = sorted(r.version for r in known.select("version").collect())[:-keep] if known is not None else []
+    rows = sorted((r.version, r.base) for r in known.select("version", "base").collect()) if known is not None else []
+    old, needed = rows[:-keep], {b for _, b in rows[-keep:]}
     jvm = spark.sparkContext._jvm
-    for v in old:
-        paths = _paths(root, v)
-        for name in ("meta", "frame", "nodes", "edges", "levels"):
-            where = jvm.org.apache.hadoop.fs.Path(paths[name])
-            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-    return old
+
+    def drop(name: str, version: int) -> None:
+        where = jvm.org.apache.hadoop.fs.Path(_path(root, name, version))
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+    for version, _ in old:
+        for name in reversed(CHANGES):
+            drop(name, version)
+    for version in {v for pair in old for v in pair} - needed:
+        for name in WHOLE:
+            drop(name, version)
+    return [v for v, _ in old]
 
 
 def save_bucketed(df: DataFrame, name: str, key: str, buckets: int) -> None:

@@ -42,28 +42,37 @@ def changes_of(batch: DataFrame) -> EdgeBatch:
 
 
 class RankingStream:
-    """The state in a store, moved on by micro-batches. loads the latest version for each, so any driver may go on."""
+    """The state in a store, moved on by micro-batches. The driver that wrote the latest version has it still; any other
+    loads it."""
 
     def __init__(self, root: str, keep_versions: int = 3):
         self.root, self.keep = root, keep_versions
+        self._last: KatzState | None = None
 
     def initialise(self, state: KatzState) -> None:
-        store.save(state, self.root)
+        self._last = store.save(state, self.root)
 
-    def state(self, spark: SparkSession) -> KatzState:
-        found = store.load(spark, self.root)
-        if not found:
+    def _state(self, spark: SparkSession) -> tuple[KatzState, int]:
+        known = store.versions(spark, self.root)
+        row = known.orderBy(F.desc("version")).first() if known is not None else None
+        if row is None:
             raise ValueError("the store has no state")
-        return found[0]
+        if self._last is None or self._last.version != row.version:
+            self._last = store.load(spark, self.root, row.version)[0]
+        return self._last, row.batch
+
+    def state(self, spark: SparkSession) -> KatzState:
+        return self._state(spark)[0]
 
     def apply(self, batch: DataFrame, number: int) -> None:
         spark = batch.sparkSession
-        state, last = store.load(spark, self.root)
+        state, last = self._state(spark)
         if number <= last:
             return
-        after = apply_batch(state, changes_of(batch))
-        store.save(after, self.root, number)
-        after.graph.placed.release()
+        before = state.graph.placed
+        self._last = store.save(apply_batch(state, changes_of(batch)), self.root, number)
+        if self._last.graph.placed.edges is not before.edges:
+            before.release()
         if self.keep:
             store.compact(spark, self.root, self.keep)
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -406,7 +408,7 @@ def q_reactivated_nodes(spark, sf_dir):
     """Nodes that the new bounds bring back, before the next check rules them out again. The first run ends at level 9."""
     graph = build(HEAVY, spark, sf_dir)
     before = dynamic.start(graph, TopKCriterion(10, 1e-4), max_levels=9)
-    spare = dynamic.KatzState(before.graph, before.levels[:10], FixedLevels(before.depth), before.alpha, before.frame, before.report)
+    spare = replace(before, criterion=FixedLevels(before.depth), bar=None)
     after = dynamic.apply_batch(spare, dynamic.EdgeBatch.of(deletes=dynamic.chosen_edges(graph.edges, 100, True)))
     again, _ = dynamic.reactivated(before.frame, after.frame.drop("live").withColumn("live", F.lit(True)), 1e-4)
     return again.where("live").join(before.frame.where("live"), "id", "left_anti").select("id")
