@@ -380,11 +380,45 @@ def test_lexicon():
     assert lexicon.score("") < lexicon.score("an idiot") and lexicon.features("") == (0.0, 0.0)
 
 
+def test_terms_are_those_of_toxic_texts(spark):
+    """Terms by rates counted by hand, and phrases in which a term means no harm, all learned."""
+    rng = random.Random(3)
+    plain = ["".join(rng.choices("abcdefghijk", k=5)) for _ in range(300)]
+    say = lambda *more: " ".join([*rng.choices(plain, k=30), *more, *rng.choices(plain, k=5)])
+    bad = [say("you", rng.choice(["trash", "TR4SH", "trashes"])) for _ in range(40)] + [say("trash", "panda", "trash") for _ in range(3)]
+    good = [say("the", "trash", "can") for _ in range(15)] + [say("hello") for _ in range(150)]
+    rows = [(i, t) for i, t in enumerate(bad + good)]
+    labels = spark.createDataFrame([(i, int(i < len(bad))) for i, _ in rows], "doc_id long, toxic int")
+    lexicon = toxicity.learn(docs(spark, rows), labels)
+    assert {"trash", "tras*"} <= set(lexicon.weights) and not {"hello", "can"} & set(lexicon.weights)
+    assert "trash can" in lexicon.exceptions and "you trash" not in lexicon.exceptions
+    counts = Counter()
+    for kind, texts in ((1, bad), (0, good)):
+        for t in texts:
+            for w, n in toxicity.counted_terms(t).items():
+                counts[kind, w] += n
+    a, b, m, n = counts[1, "trash"], counts[0, "trash"], counts[1, ""] + 1, counts[0, ""] + 1
+    assert lexicon.weights["trash"] == pytest.approx(np.log((a + 0.5) / (m - a + 0.5)) - np.log((b + 0.5) / (n - b + 0.5)), abs=1e-5)
+    predicted = [lexicon.score(t) >= 0.7 for _, t in rows]
+    assert sum(predicted[: len(bad)]) >= 38 and not any(predicted[len(bad) :])
+    by_hand = toxicity.Lexicon({"mean": 2.0, "mea*": 1.0, "me*": 0.5}, ("so mean indeed", "mean machine"))
+    for text in ("mean", "so mean indeed", "so mean machine mean", "so mean, indeed", "meaning mean machines", "me"):
+        spans, words = [], [(m.start(), m[0]) for m in re.finditer(r"\w+", text)]
+        for at, w in words:
+            term = max((v for k, v in by_hand.weights.items() if (w == k or k.endswith("*") and w.startswith(k[:-1]) and len(w) >= len(k))), default=None)
+            inside = any(p.start() <= at < p.end() for x in by_hand.exceptions for p in re.finditer(rf"\b{x}\b", text))
+            spans += [(at, term)] if term and not (inside and w == "mean") else []
+        assert [(a, w) for a, _, w in by_hand.spans(text)] == spans, text
+
+
 def test_toxicity_held_out(spark):
+    """Few rows teach here (33 toxic ones); one held-out toxic text has no word that others have."""
     big = "/root/testdata/sf0.01"
     rows = toxicity.op6_toxicity(spark, big).join(spark.read.parquet(f"{big}/labels.parquet"), "doc_id").where("held_out").collect()
     right = sum(r.predicted == r.toxic for r in rows) / len(rows)
-    assert len(rows) > 80 and right > 0.95 and all(0 <= r.score <= 1 for r in rows)
+    caught = [r.predicted for r in rows if r.toxic]
+    assert len(rows) > 80 and right > 0.97 and sum(caught) >= 16 and len(caught) == 18 and all(0 <= r.score <= 1 for r in rows)
+    assert sum(r.predicted for r in rows if not r.toxic) <= 1
 
 
 def test_toxicity_odd(spark):

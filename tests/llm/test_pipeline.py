@@ -3,12 +3,13 @@
 import glob
 import os
 import random
+from collections import Counter
 
 import duckdb
 import pytest
 
 import corpus_pipeline
-from tests.llm.test_operators import brute_components, brute_fingerprint
+from tests.llm.test_near_copies import shingles
 from tests.test_queries import canon
 from walkrank.llm import common, decontamination, toxicity
 from walkrank.llm.registry import ORACLES, QUERIES
@@ -24,6 +25,29 @@ def stages(spark, docs, sf_dir):
     return out
 
 
+def near_roots(texts):
+    """For each text the first one reachable by similarities of 0.8 or more of five-word shingles."""
+    sets = [shingles(t) for t in texts]
+    up, held = list(range(len(texts))), {}
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for i, s in enumerate(sets):
+        shared = Counter(j for h in s for j in held.get(h, ()))
+        if not s:
+            shared = {j: 0 for j in range(i) if not sets[j]}
+        for j, n in shared.items():
+            if 5 * n >= 4 * (len(s) + len(sets[j]) - n):
+                a, b = sorted((root(i), root(j)))
+                up[b] = a
+        for h in s:
+            held.setdefault(h, []).append(i)
+    return [root(i) for i in range(len(texts))]
+
+
 def test_stages_by_brute_force(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     after = stages(spark, docs, SF)
@@ -44,8 +68,7 @@ def test_stages_by_brute_force(spark):
     lines = {k: "\n".join(x for x in (t or "").split("\n") if len(held.get(norm(x), ())) < 5 or max(held[norm(x)]) == k) for k, t in left.items()}
     assert got[1] == lines
     keys = sorted(lines)
-    roots = brute_components([brute_fingerprint(lines[k]) for k in keys])
-    single = {keys[i]: lines[keys[i]] for i, r in enumerate(roots) if r == i}
+    single = {keys[i]: lines[keys[i]] for i, r in enumerate(near_roots([lines[k] for k in keys])) if r == i}
     assert got[2] == single
     items = [(r.item_id, decontamination.words_of(r.text)) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
     quoted = {k for k, t in single.items() for _, w in items if " ".join(w) in " ".join(decontamination.words_of(t))}
@@ -56,6 +79,18 @@ def test_stages_by_brute_force(spark):
     assert all(len(r.token_ids) == r.n_tokens for r in after[4].limit(20).collect())
 
 
+def test_run_leaves_its_result_alone(spark):
+    small = "/root/testdata/sf0.001"
+    common.clear(spark)
+    done = corpus_pipeline.run(spark, small)
+    left = stages(spark, spark.read.parquet(f"{small}/documents.parquet"), small)[-1]
+    assert sorted(r.doc_id for r in done.collect()) == sorted(r.doc_id for r in left.collect())
+    common.clear(spark)
+    corpus_pipeline.run(spark, small)
+    folder = spark._jvm.org.apache.hadoop.fs.Path(common.work_dir(spark))
+    assert [f.getPath().getName()[:7] for f in folder.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(folder)] == ["stage-5"]
+
+
 def test_odd_documents(spark, tmp_path):
     schema = "doc_id long, text string, lang string, source string, n_chars long, doc string"
     rows = [(1, None), (2, ""), (None, None), (None, "words without an id"), (3, "a b c " * 30000), (4, "same text"), (4, "same text"), (5, "same text")]

@@ -59,7 +59,8 @@ def discard(*tables: DataFrame) -> None:
 
 @contextmanager
 def scratch(spark: SparkSession):
-    """Deletes at its end what operators have written inside: for results that have been computed by then."""
+    """Deletes at its end what operators have written inside, but for tables given to `keep`: for results that have been
+    computed by then."""
     _open.append([])
     try:
         yield
@@ -68,6 +69,15 @@ def scratch(spark: SparkSession):
             deleted(spark, path)
 
 
+def keep(df: DataFrame) -> DataFrame:
+    """A table made by `written`, which the scratch that is open leaves to the one around it."""
+    inner = _open[-1]
+    inner.remove(df._walkrank_path)
+    if len(_open) > 1:
+        _open[-2].append(df._walkrank_path)
+    return df
+
+
 def clear(spark: SparkSession) -> None:
     """Deletes all tables that operators have written to the shared folder; results not yet read are lost."""
     deleted(spark, work_dir(spark))

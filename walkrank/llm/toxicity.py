@@ -2,11 +2,15 @@
 
 Folding maps letters with marks, full-width letters and look-alikes of other scripts to plain lower-case letters, one
 character for one. A second folding also replaces digits and signs that stand for letters; both are searched, as a
-sign may also just follow a word. A term counts where it is a whole word, or the start of one if it ends in a star. A
-term inside an exception phrase doesn't count. The total weight, normalised by length in two ways, goes through a logistic curve.
+sign may also just follow a word. A term counts where it is a whole word, or the start of one if it ends in a star; of
+terms that start at one place the heaviest counts. A term inside an exception phrase doesn't count. The total weight,
+normalised by length in two ways, goes through a logistic curve.
 
-The lexicon's weights and the curve are fitted on a bounded sample of labelled rows: `sample` rows of each class (all
-where there are fewer), the same for the same rows, chosen by a hash of doc_id. Everything else covers all rows.
+Lexicon, exceptions and curve are learned from a bounded sample of labelled rows: `sample` rows of each class (all where
+there are fewer), the same for the same rows, chosen by a hash of doc_id. Words and starts of words are terms if toxic
+texts have them at a higher rate, by SIGNIFICANT standard errors of the log odds; their weight is that log odds ratio.
+Exceptions are pairs of neighbouring words, one a term, that several clean texts have and toxic texts have less often.
+Everything else covers all rows.
 
 Null and empty texts have no terms and get the curve's value at zero. Null labels teach nothing; of several labels of a
 document the highest holds. Texts that repeat in the sample count once. Without rows of both classes nothing is
@@ -19,8 +23,11 @@ from __future__ import annotations
 import math
 import re
 import unicodedata
+from bisect import bisect_right
+from collections import Counter
 from dataclasses import dataclass, field
 from functools import lru_cache
+from itertools import accumulate
 
 import numpy as np
 import pandas as pd
@@ -31,10 +38,10 @@ from . import common
 
 #: Labelled rows of each class that the lexicon is learned from.
 SAMPLE = 3000
-#: A term is in this share of the toxic sample at least, and in so many texts.
-LEAST_SHARE, LEAST_TEXTS = 0.01, 3
-#: Least log odds ratio of a term, and most terms.
-LEAST_WEIGHT, MOST_TERMS = 3.0, 2000
+#: A term is in so many toxic texts at least, an exception in so many clean ones; a text counts so many times for a term at most.
+LEAST_TEXTS, TIMES = 3, 2
+#: Least log odds ratio of a term, and how many of its standard errors that is.
+LEAST_WEIGHT, SIGNIFICANT = 1.0, 3.5
 #: Letters of the word starts that may be terms.
 STEMS = (4, 5, 6)
 THRESHOLD = 0.7
@@ -42,9 +49,6 @@ THRESHOLD = 0.7
 # Look-alikes of Latin letters, and digits and signs that stand for letters.
 LOOKALIKES = {"а": "a", "в": "b", "с": "c", "ԁ": "d", "е": "e", "һ": "h", "і": "i", "ј": "j", "к": "k", "ӏ": "l", "м": "m", "о": "o", "р": "p", "ԛ": "q", "ѕ": "s", "т": "t", "ѵ": "v", "ԝ": "w", "х": "x", "у": "y", "α": "a", "β": "b", "ε": "e", "ι": "i", "κ": "k", "ν": "v", "ο": "o", "ρ": "p", "τ": "t", "υ": "u", "χ": "x", "ɑ": "a", "ı": "i", "ł": "l", "ø": "o", "ß": "b"}
 SUBSTITUTES = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "l", "+": "t", "€": "e"}
-#: Phrases in which a term means no harm.
-EXCEPTIONS = ("trash can", "trash bin", "clown fish", "class clown", "pond scum", "white trash bag")
-
 WORD = re.compile(r"\w+")
 
 
@@ -79,7 +83,7 @@ def folded(text: str) -> list[str]:
 @dataclass
 class Lexicon:
     weights: dict[str, float]
-    exceptions: tuple[str, ...] = EXCEPTIONS
+    exceptions: tuple[str, ...] = ()
     curve: tuple[float, float, float] = (0.0, 0.0, 0.0)
     learned: bool = True
     _machine: object = field(default=None, repr=False)
@@ -109,7 +113,7 @@ class Lexicon:
         """Start, end and weight of the terms that count, in order."""
         if not self.weights or not text:
             return []
-        found: dict[tuple[int, int], float] = {}
+        found: dict[int, tuple[int, float]] = {}
         for view in folded(text):
             terms, excused = [], []
             for last, kinds in self.machine().iter(view):
@@ -118,11 +122,17 @@ class Lexicon:
                     inside = end < len(view) and view[end].isalnum()
                     if (start and view[start - 1].isalnum()) or inside != stem:
                         continue
-                    (excused if w is None else terms).append((start, end, w))
+                    if w is None:
+                        excused.append((start, end, 0))
+                    else:
+                        terms.append((start, end, w))
+            excused.sort()
+            reach = list(accumulate((b for _, b, _ in excused), max))
             for start, end, w in terms:
-                if not any(a <= start and end <= b for a, b, _ in excused):
-                    found[start, end] = w
-        return sorted((a, b, w) for (a, b), w in found.items())
+                k = bisect_right(excused, start, key=lambda x: x[0])
+                if w > found.get(start, (0, 0.0))[1] and not (k and reach[k - 1] >= end):
+                    found[start] = end, w
+        return sorted((a, b, w) for a, (b, w) in found.items())
 
     def features(self, text: str) -> tuple[float, float]:
         total = sum(w for _, _, w in self.spans(text))
@@ -153,36 +163,72 @@ def fitted_curve(rows: list[tuple[float, float, int]]) -> tuple[float, float, fl
     return tuple(float(x) for x in w)
 
 
-def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, exceptions: tuple[str, ...] = EXCEPTIONS) -> Lexicon:
-    """docs (doc_id, text) and labels (doc_id, toxic), of rows to learn from only."""
+def counted_terms(text: str) -> dict[str, int]:
+    """Words and starts of words of a text, with how often they come, TIMES at most. All words together under ''."""
+    words: dict[str, int] = {}
+    for view in folded(text):
+        for w, n in Counter(WORD.findall(view)).items():
+            if len(w) > 2 and not w.isdigit():
+                words[w] = max(n, words.get(w, 0))
+    out = Counter({w: min(n, TIMES) for w, n in words.items()})
+    total = out.total()
+    for w, n in words.items():
+        for k in STEMS:
+            if len(w) > k:
+                out[w[:k] + "*"] += n
+    return {w: min(n, TIMES) for w, n in out.items()} | {"": total}
+
+
+def phrases(lexicon: Lexicon, text: str) -> set[str]:
+    """Pairs of neighbouring words, in plain folding, that a term is in. Words are a space apart."""
+    out, plain = set(), text.translate(folding()[0])
+    words = [(m.start(), m.end()) for m in WORD.finditer(plain)]
+    starts = [a for a, _ in words]
+    for start, _, _ in lexicon.spans(text):
+        k = bisect_right(starts, start) - 1
+        for i in (k - 1, k):
+            if k >= 0 and i >= 0 and i + 1 < len(words) and plain[words[i][1] : words[i + 1][0]] == " ":
+                out.add(plain[words[i][0] : words[i + 1][1]])
+    return out
+
+
+def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, exceptions: tuple[str, ...] = ()) -> Lexicon:
+    """docs (doc_id, text) and labels (doc_id, toxic), of rows to learn from only. exceptions: phrases besides those learned."""
     known = labels.where("doc_id is not null and toxic in (0, 1)").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     pick = lambda t: known.where(F.col("toxic") == t).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
     chosen = pick(1).unionByName(pick(0))
     rows = docs.select("doc_id", common.text_of().alias("text")).join(F.broadcast(chosen), "doc_id").select("text", "toxic")
-    rows = common.written(rows, "toxicity-sample")
-
-    def words():
-        seen = set()
+    texts = common.written(rows.groupBy("text").agg(F.max("toxic").alias("toxic")), "toxicity-sample")
+    sizes = {r.toxic: r.n for r in texts.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    bad, good = sizes.get(1, 0), sizes.get(0, 0)
+    if not bad or not good:
+        return Lexicon({}, exceptions, learned=False)
 
+    def terms():
         def many(text, toxic):
-            if (text, toxic) not in seen:
-                seen.add((text, toxic))
-                words = {w for view in folded(text) for w in WORD.findall(view) if 2 < len(w) < 40 and not w.isdigit()}
-                for w in words | {w[:n] + "*" for w in words for n in STEMS if len(w) > n}:
-                    yield w, toxic
+            for w, n in counted_terms(text).items():
+                yield w, toxic, n
 
         return many
 
-    texts = rows.groupBy("text").agg(F.max("toxic").alias("toxic"))
-    sizes = {r.toxic: r.n for r in texts.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
-    bad, good = sizes.get(1, 0), sizes.get(0, 0)
-    if not bad or not good:
-        return Lexicon({}, exceptions, learned=False)
-    n, a = F.count("*"), F.sum("toxic")
-    counts = common.flat_map_rows(texts, words, "word string, toxic int").groupBy("word").agg(a.cast("int").alias("a"), (n - a).cast("int").alias("b"))
-    weight = F.log((F.col("a") + 0.5) / (bad - F.col("a") + 0.5)) - F.log((F.col("b") + 0.5) / (good - F.col("b") + 0.5))
-    terms = counts.where(F.col("a") >= max(LEAST_TEXTS, math.ceil(LEAST_SHARE * bad))).withColumn("w", F.round(weight, 6)).where(F.col("w") >= LEAST_WEIGHT).orderBy(F.desc("w"), "word").limit(MOST_TERMS).collect()
-    lexicon = Lexicon({r.word: r.w for r in terms}, exceptions)
+    when = lambda t, x: F.sum(F.when(F.col("toxic") == t, x).otherwise(0))
+    counts = common.flat_map_rows(texts, terms, "word string, toxic int, n long").groupBy("word").agg(when(1, F.col("n")).alias("a"), when(0, F.col("n")).alias("b"), when(1, 1).alias("texts"))
+    counts = common.written(counts.where((F.col("texts") >= LEAST_TEXTS) | (F.col("word") == "")), "toxicity-terms")
+    total = counts.where("word = ''").first()
+    odds = lambda x, n: F.log((F.col(x) + 0.5) / (n - F.col(x) + 0.5))
+    weight = odds("a", total.a + 1) - odds("b", total.b + 1)
+    error = F.sqrt(1 / (F.col("a") + 0.5) + 1 / (F.col("b") + 0.5))
+    found = counts.where("word <> ''").withColumn("w", F.round(weight, 6)).where((F.col("w") >= LEAST_WEIGHT) & (weight >= SIGNIFICANT * error)).collect()
+    lexicon = Lexicon({r.word: r.w for r in sorted(found, key=lambda r: r.word)}, exceptions)
+    if lexicon.weights:
+
+        def around():
+            return lambda text, toxic: ((p, toxic) for p in phrases(lexicon, text))
+
+        share = lambda x, n: (F.col(x) + 0.5) / (n + 1)
+        pairs = common.flat_map_rows(texts, around, "phrase string, toxic int").groupBy("phrase").agg(when(1, 1).alias("a"), when(0, 1).alias("b"))
+        harmless = pairs.where((F.col("b") >= LEAST_TEXTS) & (share("a", bad) < share("b", good))).select("phrase").collect()
+        lexicon = Lexicon(lexicon.weights, tuple(dict.fromkeys([*exceptions, *sorted(r.phrase for r in harmless)])))
     seen = common.map_rows(texts, lambda: lambda text, toxic: (*lexicon.features(text), toxic), "x double, y double, toxic int")
     lexicon.curve = fitted_curve(sorted((r.x, r.y, r.toxic) for r in seen.collect()))
     return lexicon
