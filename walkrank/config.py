@@ -10,14 +10,16 @@ from pyspark.sql import SparkSession
 
 #: Levels after which a run gives up and says so.
 MAX_LEVELS = 200
+#: Levels between two that go to the shared folder; those in between are persisted, and computed from the last if lost.
+CHECKPOINT_LEVELS = 4
 #: Edges (or nodes) up to which a graph is small, and those of one of its partitions.
-SMALL_ROWS, PARTITION_ROWS = 4_000_000, 250_000
+SMALL_ROWS, PARTITION_ROWS = 4_000_000, 64_000
 #: Rows of a change that are sent to all executors rather than shuffled.
 BROADCAST_ROWS = 100_000
 #: Rows of the top of a ranking that the driver looks at.
 DRIVER_ROWS = 100_000
-#: Share of the nodes beyond which a level is counted anew rather than changed.
-FRONTIER_CAP = 0.2
+#: Share of the nodes beyond which a level is counted anew rather than changed, and rows up to which it is changed anyway.
+FRONTIER_CAP, FRONTIER_ROWS = 0.2, 50_000
 #: Ids pack a kind and a key.
 KEY_BITS = 40
 

@@ -70,6 +70,20 @@ class TopKCriterion:
         return Verdict(count <= k and ordered.adjacent_failures(kept, self.eps, count) == 0, count, bar)
 
 
+def top_verdicts(frame: DataFrame, ks: list[int], eps: float, n: int) -> dict[int, Verdict]:
+    """Top-k for several k on one frame: the rows of the largest k and one count of those that may still be among them."""
+    out = {k: TopKCriterion(k, eps).check(frame, n) for k in ks if not 0 < k < n or k > DRIVER_ROWS}
+    few = [k for k in ks if k not in out]
+    if few:
+        top = frame.orderBy(F.desc("floor"), "id").limit(max(few)).select("id", "floor", "ceiling").collect()
+        bars = {k: (top[k - 1].floor, top[k - 1].id) for k in few}
+        counts = frame.agg(*[F.count_if(stays(bars[k], positive(eps))) for k in few]).first()
+        # how many of the first rows are apart, one after another
+        apart = next((i for i in range(1, len(top)) if not top[i - 1].floor > top[i].ceiling - eps), len(top))
+        out |= {k: Verdict(count <= k and apart >= k, count, bars[k]) for k, count in zip(few, counts, strict=True)}
+    return out
+
+
 def kth_largest(frame: DataFrame, value: str, k: int, n: int) -> tuple[float, int]:
     """The k-th largest value and how many are larger."""
     part = ordered.range_of(value, ordered.boundaries(frame, value, n))

@@ -10,10 +10,10 @@ from pyspark.sql import functions as F
 
 from ..config import DRIVER_ROWS, MAX_LEVELS
 from ..functions import bounds as B
-from ..plans import layout
+from ..plans import layout, ordered
 from . import levels as L
 from .attenuation import Attenuation
-from .criteria import FixedLevels, PairCriterion, RankingCriterion, ScoreCriterion, TopKCriterion, Verdict, stays
+from .criteria import FixedLevels, PairCriterion, RankingCriterion, ScoreCriterion, TopKCriterion, Verdict, stays, top_verdicts
 from .graph import Graph
 
 BOUNDS = ("standard", "tight", "ratio")
@@ -63,20 +63,8 @@ class RankResult:
 
 
 def ranked(frame: DataFrame, value: str = "floor", per_range: int | None = None) -> DataFrame:
-    """rank by value descending, then id: row numbers inside ranges of the value, behind the counts of those before."""
-    from pyspark.sql import Window
-
-    from ..plans import ordered
-
-    frame = layout.commit(frame)
-    cuts = ordered.boundaries(frame, value, frame.count(), per_range or ordered.ROWS_PER_RANGE)
-    dealt = frame.withColumn("_part", ordered.range_of(value, cuts))
-    before, ahead = {}, 0
-    for r in dealt.groupBy("_part").count().orderBy("_part").collect():
-        before[r._part], ahead = ahead, ahead + r["count"]
-    own = F.row_number().over(Window.partitionBy("_part").orderBy(F.desc(value), "id"))
-    shift = F.element_at(F.create_map(*[F.lit(x) for p in before.items() for x in p]), F.col("_part")) if before else F.lit(0)
-    return dealt.select((own + shift).cast("long").alias("rank"), *frame.columns)
+    """rank by value descending, then id."""
+    return ordered.numbered(frame, value, per_range or ordered.ROWS_PER_RANGE)
 
 
 def with_bounds(state: DataFrame, level: int, undirected: bool, alpha: float, gamma: float, numeric: str, kind: str = "standard", ratio: tuple[float, float] | None = None) -> DataFrame:
@@ -108,24 +96,20 @@ def growth(before: DataFrame, now: DataFrame, numeric: str, alpha: float) -> tup
 def run(placed: layout.Placed, state: DataFrame, level: int, criterion, alpha: float, gamma: float, numeric: str, kind: str, max_levels: int, history: list[DataFrame] | None, report: Report) -> tuple[DataFrame, DataFrame]:
     """Goes on from a state until the criterion holds or max_levels are done."""
     last = criterion.levels if isinstance(criterion, FixedLevels) else max_levels
-    known, ratio, persisted = (placed.undirected, alpha, gamma, numeric, kind), None, []
+    known, ratio = (placed.undirected, alpha, gamma, numeric, kind), None
     with layout.fixed(placed.edges.sparkSession, placed.parts):
         frame = bounded(state, level, *known)
         verdict = criterion.check(frame, placed.stats.n) if level else Verdict(False, placed.stats.n)
         while level < last and not verdict.done:
-            if numeric != "scaled":
+            if not L.surely_fits(numeric, placed.stats.d_max, level + 1):
                 L.check_room(numeric, state.agg(F.max("w")).first()[0], placed.stats.d_max)
             before = state
             if verdict.bar is not None:
                 state = with_bounds(state, level, *known, ratio).withColumn("live", F.col("live") & stays(verdict.bar, criterion.eps)).select("id", "w", "k", "live")
             level += 1
-            state = layout.kept(L.advance_level(placed, state, numeric, alpha, level), placed, level)
+            state = layout.kept(L.advance_level(placed, state, numeric, alpha, level), placed, level, history is not None)
             if history is not None:
                 history.append(state.select("id", "w"))
-            elif placed.large:
-                persisted.append(state)
-                if len(persisted) > 2:
-                    persisted.pop(0).unpersist()
             ratio = growth(before, state, numeric, alpha) if kind == "ratio" else None
             frame = bounded(state, level, *known, ratio)
             verdict = criterion.check(frame, placed.stats.n)
@@ -163,6 +147,27 @@ def ladder(graph: Graph, criteria: list, alpha: Attenuation | float | None = Non
         yield RankResult(state, frame, report)
 
 
+def top_k_sweep(graph: Graph, ks: list[int], eps: float, alpha: Attenuation | float | None = None, numeric: str = "scaled", bounds: str = "standard", max_levels: int = MAX_LEVELS) -> dict[int, Report]:
+    """The reports of top-k for several k, from one run of levels: on each level all k are looked at together."""
+    placed = graph.placed
+    factor = (alpha if isinstance(alpha, Attenuation) else Attenuation.fixed(alpha) if alpha is not None else Attenuation.default()).of(placed.stats.d_max)
+    gamma, state, level, begun = B.tail_factor(factor, placed.stats.d_max), L.init_state(placed, numeric), 0, time.monotonic()
+    found = {k: Report("top-k", eps, factor, gamma, placed.stats.d_max) for k in ks}
+    left = set(ks)
+    while left and level < max_levels:
+        level += 1
+        with layout.fixed(placed.edges.sparkSession, placed.parts):
+            state = layout.kept(L.advance_level(placed, state, numeric, factor, level), placed, level)
+            frame = bounded(state, level, placed.undirected, factor, gamma, numeric, bounds)
+            for k, verdict in top_verdicts(frame, sorted(left), eps, placed.stats.n).items():
+                found[k].live.append(verdict.live)
+                found[k].levels, found[k].bar, found[k].seconds = level, verdict.bar, time.monotonic() - begun
+                if verdict.done:
+                    found[k].converged = True
+                    left.remove(k)
+    return found
+
+
 def top_k(graph: Graph, k: int, eps: float, **kw) -> RankResult:
     return rank_nodes(graph, TopKCriterion(k, eps), **kw)
 

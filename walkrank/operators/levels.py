@@ -58,6 +58,12 @@ def term_of(numeric: str, alpha: float, level: int) -> Column:
     return F.col("w") if numeric == "scaled" else F.col("w").cast("double") * (alpha**level)
 
 
+def surely_fits(numeric: str, d_max: int, level: int) -> bool:
+    """Whether no count of a level can pass the range, as none grows by more than the largest degree."""
+    limit = {"exact": EXACT_LIMIT, "bigint": LONG_LIMIT}.get(numeric)
+    return limit is None or max(d_max, 1) ** level < limit
+
+
 def check_room(numeric: str, largest: int | None, d_max: int) -> None:
     """Raises if the next level's counts may not fit."""
     limit = {"exact": EXACT_LIMIT, "bigint": LONG_LIMIT}.get(numeric)

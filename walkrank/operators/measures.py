@@ -2,12 +2,10 @@
 
 from __future__ import annotations
 
-import numpy as np
-import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..plans import ordered
+from ..plans import layout, ordered
 
 
 def pairs_of(n: int) -> int:
@@ -28,10 +26,12 @@ def tied_pairs(scores: DataFrame, decimals: int = 12, value: str = "score") -> i
 
 
 def near_ties(scores: DataFrame, eps: float) -> DataFrame:
-    """Pairs of scores that differ by less than eps: low, high (ids). Buckets of width eps make this an equi-join."""
-    at = scores.select("id", "score", F.floor(F.col("score") / eps).alias("bucket"))
-    other = at.select(F.col("id").alias("id2"), F.col("score").alias("score2"), F.explode(F.array(F.col("bucket") - 1, F.col("bucket"), F.col("bucket") + 1)).alias("bucket"))
-    return at.join(other, "bucket").where((F.col("id") < F.col("id2")) & (F.abs(F.col("score") - F.col("score2")) < eps)).select(F.col("id").alias("low"), F.col("id2").alias("high"))
+    """Classes of equal scores that differ by less than eps: low, high (their least ids), low_nodes, high_nodes (how many
+    they have); a class of several nodes is a pair with itself. Buckets of width eps make this an equi-join."""
+    classes = scores.groupBy("score").agg(F.min("id").alias("id"), F.count("*").alias("nodes")).withColumn("bucket", F.floor(F.col("score") / eps))
+    other = classes.select(F.col("id").alias("id2"), F.col("score").alias("score2"), F.col("nodes").alias("nodes2"), F.explode(F.array(F.col("bucket") - 1, F.col("bucket"), F.col("bucket") + 1)).alias("bucket"))
+    near = classes.join(other, "bucket").where((F.col("id") <= F.col("id2")) & (F.abs(F.col("score") - F.col("score2")) < eps) & ((F.col("id") != F.col("id2")) | (F.col("nodes") > 1)))
+    return near.select(F.col("id").alias("low"), F.col("id2").alias("high"), F.col("nodes").alias("low_nodes"), F.col("nodes2").alias("high_nodes"))
 
 
 def topk_overlap(a: DataFrame, b: DataFrame) -> int:
@@ -62,66 +62,34 @@ def growth_violations(before: DataFrame, now: DataFrame, d_max: int) -> int:
     return both.where(F.col("n.w") > F.col("b.w") * d_max).count()
 
 
-def misranked_pairs(scores: DataFrame, exact: DataFrame, eps: float = 0.0, per_range: int = 100_000) -> int:
+def misranked_pairs(scores: DataFrame, exact: DataFrame, eps: float = 0.0, per_range: int = ordered.ROWS_PER_RANGE) -> int:
     """Pairs in the wrong order: x is ahead of y by eps or more (strictly if eps is 0) in exact, but behind in scores.
 
-    Both orders are cut into ranges. Pairs that differ in both ranges are counted cell by cell, those that share one
-    inside it, in tasks of about per_range rows."""
+    Both orders become whole numbers. Of two different numbers there is one bit, the highest in which they differ, that
+    tells which is larger: so for each bit of the one and each bit of the other the pairs that are told by these two are
+    counted in cells of the bits above, by sums alone. Equal rows are summed up before, and no cell is gathered."""
     both = scores.select("id", F.col("score").alias("b")).join(exact.select("id", F.col("score").alias("a")), "id")
-    lead = both.select(F.col("a"), "b", F.lit(True).alias("lead"))
-    lag = both.select((F.col("a") + eps).alias("a"), "b", F.lit(False).alias("lead"))
-    events = lead.unionByName(lag)
-    n = events.count()
-    cut = lambda v: ordered.range_of(v, ordered.boundaries(events, v, n, per_range))
-    events = events.select("a", "b", "lead", cut("a").alias("ra"), cut("b").alias("rb"))
-    strict = eps == 0.0
-
-    # ranges count downwards: a lead is ahead in a range of lower number
-    cells = events.groupBy("ra", "rb", "lead").count().collect()
-    rows, columns = max((c.ra for c in cells), default=0) + 1, max((c.rb for c in cells), default=0) + 1
-    lead_at, lag_at = np.zeros((rows, columns), object), np.zeros((rows, columns), object)
-    for c in cells:
-        (lead_at if c.lead else lag_at)[c.ra, c.rb] += c["count"]
-    total, ahead = 0, np.zeros(columns, object)
-    for r in range(rows):
-        behind = np.concatenate([np.cumsum(ahead[::-1])[::-1][1:], [0]])  # leads above in exact, in lower ranges of score
-        total += int((lag_at[r] * behind).sum())
-        ahead = ahead + lead_at[r]
-
-    def inside(other_too: bool):
-        def count(rows: pd.DataFrame) -> pd.DataFrame:
-            a, b, lead = rows.a.to_numpy(), rows.b.to_numpy(), rows.lead.to_numpy()
-            # by a descending; where equal, leads come first if that counts as ahead
-            order = np.lexsort([lead if strict else ~lead, -a])
-            found, seen = 0, []
-            import bisect
-
-            if other_too:  # same range of b: only pairs of different ranges of a
-                groups: dict[int, list[int]] = {}
-                for k in order:
-                    groups.setdefault(int(rows.ra.iloc[k]), []).append(k)
-                for r in sorted(groups):
-                    fresh = []
-                    for k in groups[r]:
-                        if lead[k]:
-                            fresh.append(b[k])
-                        else:
-                            found += bisect.bisect_left(seen, b[k])
-                    for x in fresh:
-                        bisect.insort(seen, x)
-            else:
-                for k in order:
-                    if lead[k]:
-                        bisect.insort(seen, b[k])
-                    else:
-                        found += bisect.bisect_left(seen, b[k])
-            return pd.DataFrame({"found": [found]})
-
-        return count
-
-    for key, other_too in (("ra", False), ("rb", True)):
-        total += events.groupBy(key).applyInPandas(inside(other_too), "found long").agg(F.coalesce(F.sum("found"), F.lit(0))).first()[0]
-    return total
+    lead = both.select("a", "b", F.lit(1).alias("lead"))
+    lag = both.select((F.col("a") + eps).alias("a"), "b", F.lit(0).alias("lead"))
+    events = layout.commit(lead.unionByName(lag).groupBy("a", "b", "lead").agg(F.count("*").alias("n")))
+    for v in ("a", "b"):
+        places = ordered.numbered(events.select(v).distinct(), v, per_range, None, f"_{v}")
+        events = events.join(places, v)
+    # numbers rise as values fall, from 1; a lead of an equal value is ahead if eps is not 0
+    a = 2 * F.col("_a") - (F.col("lead") if eps else F.lit(0))
+    events = layout.commit(events.select(a.cast("long").alias("a"), F.col("_b").alias("b"), "lead", "n"))
+    most = events.agg(F.max("a"), F.max("b")).first()
+    if most[0] is None:
+        return 0
+    bits = [F.sequence(F.lit(0), F.lit(int(m).bit_length() - 1)) for m in most]
+    each = events.select("a", "b", "lead", "n", F.explode(bits[0]).alias("i")).select("*", F.explode(bits[1]).alias("j"))
+    bit = lambda v, k: F.expr(f"shiftright({v}, {k}) & 1")
+    above = lambda v, k: F.expr(f"shiftright({v}, {k} + 1)")
+    ahead = (F.col("lead") == 1) & (bit("a", "i") == 0) & (bit("b", "j") == 1)
+    behind = (F.col("lead") == 0) & (bit("a", "i") == 1) & (bit("b", "j") == 0)
+    whole = lambda x: F.sum(F.when(x, F.col("n")).otherwise(0)).cast("decimal(19,0)")
+    cells = each.where(ahead | behind).groupBy("i", "j", above("a", "i").alias("p"), above("b", "j").alias("q")).agg(whole(ahead).alias("x"), whole(behind).alias("y"))
+    return int(cells.agg(F.coalesce(F.sum(F.col("x") * F.col("y")), F.lit(0))).first()[0])
 
 
 def geo_mean(value: str | Column) -> Column:

@@ -1,23 +1,22 @@
 """Where rows lie: edges by target, states by node, both in the same number of partitions.
 
-The join of a level then needs no exchange, and the only rows shuffled are partial sums by source. Each state goes to
-the shared folder, which ends its lineage, so a lost executor costs one level at most. Levels are planned without adaptive
-changes: their partitions are fixed, and a checkpoint keeps the partitioning of such a plan. The states of large graphs are
-persisted as well, as a level reads them twice and the second reading of a bare checkpoint loses its partitioning; those of
-small graphs are sent to the edges."""
+The join of a level then needs no exchange, and the only rows shuffled are partial sums by source. States are persisted,
+and each CHECKPOINT_LEVELS-th goes to the shared folder, which ends its lineage, so a lost executor costs that many levels
+at most. Levels are planned without adaptive changes: their partitions are fixed, and what is persisted keeps them. States
+of small graphs are sent to the edges."""
 
 from __future__ import annotations
 
 import uuid
 from contextlib import contextmanager
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..config import BROADCAST_ROWS, PARTITION_ROWS, SMALL_ROWS, shared_folder
+from ..config import BROADCAST_ROWS, CHECKPOINT_LEVELS, PARTITION_ROWS, SMALL_ROWS, shared_folder
 
 
 @contextmanager
@@ -34,11 +33,20 @@ def fixed(spark: SparkSession, parts: int):
             spark.conf.set(k, v)
 
 
-def kept(df: DataFrame, placed: Placed, level: int) -> DataFrame:
-    """A state as its level leaves it."""
+def kept(df: DataFrame, placed: Placed, level: int, hold: bool = False) -> DataFrame:
+    """A state as its level leaves it: persisted, which its first use does, or in the shared folder. Those of two levels
+    before are let go, unless they are to be held (in placed.held)."""
     with fixed(df.sparkSession, placed.parts):
-        df = commit(df)
-    return settled(df, placed.parts) if placed.large else df
+        df = df.persist(StorageLevel.MEMORY_AND_DISK)
+        if level % CHECKPOINT_LEVELS == 0:
+            before, df = df, commit(df)
+            if placed.large:
+                df = settled(df, placed.parts)
+            before.unpersist()
+        placed.held.append(df)
+        while not hold and len(placed.held) > 2:
+            placed.held.pop(0).unpersist()
+    return df
 
 
 def settled(df: DataFrame, parts: int) -> DataFrame:
@@ -87,6 +95,8 @@ class Placed:
     #: arcs that came, and laid-out ones that went, since: few enough for the driver
     fresh: tuple[tuple[int, int], ...] = ()
     gone: tuple[tuple[int, int], ...] = ()
+    #: states that are persisted
+    held: list[DataFrame] = field(default_factory=list, repr=False)
 
     def table_of(self, arcs) -> DataFrame:
         columns = list(zip(*arcs, strict=True)) or [(), ()]
@@ -104,9 +114,10 @@ class Placed:
         return arcs.unionByName(self.table_of(self.fresh)) if self.fresh else arcs
 
     def release(self) -> None:
-        for kept_ in (self.edges, self.nodes, self.hub_edges, self.hubs):
+        for kept_ in (self.edges, self.nodes, self.hub_edges, self.hubs, *self.held):
             if kept_ is not None:
                 kept_.unpersist()
+        self.held.clear()
 
 
 def changed(before: Placed, comes: list[tuple[int, int]], goes: list[tuple[int, int]]) -> Placed:

@@ -2,69 +2,102 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import baselines, dynamic, measures
 from ..operators.criteria import RankingCriterion, TopKCriterion
-from ..operators.engine import rank_nodes
+from ..operators.engine import ladder, rank_nodes
 from ..operators.graph import Graph
+from ..plans import layout
 from .graphs import build
 
 EPS = tuple(10.0**-i for i in range(1, 13))
 TPS_TOL, CG_TIGHT, CG_LOOSE = 1e-9, 1e-15, 1e-4
 
 
+#: Ten graphs of the tables, made undirected for the linear solve.
+TEN = ("part_supplier", "part_supplier_heavy", "customer_supplier", "part_copurchase", "order_tree", "user_hour_event", "document_line", "user_follow", "conversation_token", "page_link")
+
+
+def undirected(spark: SparkSession, sf_dir: str, graph: str) -> Graph:
+    g = build(graph, spark, sf_dir)
+    g = g if g.undirected else g.as_undirected()
+    g.stats  # noqa: B018  the graph is laid out before any clock starts
+    return g
+
+
 def epsilon_sweep(spark: SparkSession, sf_dir: str, graph: str = "part_supplier_heavy", grid: tuple[float, ...] = EPS, max_levels: int = 200) -> DataFrame:
     """The ranking criterion for each eps against a partial sum to a tolerance and a tight solve: levels, seconds, share of
-    strictly separated pairs, seconds relative to the loosest eps."""
-    g = build(graph, spark, sf_dir).as_undirected()
-    out, _ = [], g.stats
-    for eps in grid:
-        r = rank_nodes(g, RankingCriterion(eps), max_levels=max_levels)
-        out.append((graph, f"eps {eps:g}", r.report.levels, r.report.converged, r.report.seconds, measures.separated_fraction(r.frame, g.stats.n)[2]))
+    strictly separated pairs, seconds relative to the loosest eps. One run goes from eps to eps; the seconds of one are
+    those up to where it held."""
+    g, out, spent = undirected(spark, sf_dir, graph), [], 0.0
+    for eps, r in zip(grid, ladder(g, [RankingCriterion(eps) for eps in grid], max_levels=max_levels), strict=True):
+        spent += r.report.seconds
+        out.append((graph, f"eps {eps:g}", r.report.levels, r.report.converged, spent, measures.separated_fraction(r.frame, g.stats.n)[2]))
     for name, r in ((f"partial sum {TPS_TOL:g}", baselines.tolerance_partial_sum(g, TPS_TOL)), (f"linear solve {CG_TIGHT:g}", baselines.solve_cg(g, CG_TIGHT))):
         out.append((graph, name, r.levels, r.converged, r.seconds, None))
+    g.placed.release()
     table = spark.createDataFrame(out, "graph string, method string, levels int, converged boolean, seconds double, separated double")
     return measures.relative_to(table, ["graph"], "seconds", F.col("method") == f"eps {grid[0]:g}")
 
 
-def topk_sweep(spark: SparkSession, sf_dir: str, graph: str = "part_supplier_heavy", ks: tuple[int, ...] = (1, 10, 100, 1000, 10000), eps: float = 1e-6) -> DataFrame:
-    """Top-k for each k against the full ranking, and a loose solve for the best hundred."""
-    g = build(graph, spark, sf_dir).as_undirected()
-    full = rank_nodes(g, RankingCriterion(eps)).report
-    out = [(graph, "full", full.levels, full.seconds, 1.0)]
-    for k in ks:
-        r = rank_nodes(g, TopKCriterion(k, eps)).report
-        out.append((graph, f"top {k}", r.levels, r.seconds, full.seconds / max(r.seconds, 1e-9)))
-    loose = baselines.solve_cg(g, CG_LOOSE)
-    out.append((graph, f"linear solve {CG_LOOSE:g}", loose.levels, loose.seconds, full.seconds / max(loose.seconds, 1e-9)))
-    return spark.createDataFrame(out, "graph string, method string, levels int, seconds double, speedup double")
-
-
-def batch_sweep(spark: SparkSession, sf_dir: str, graph: str = "part_supplier_heavy", sizes: tuple[int, ...] = (1, 10, 100, 1000), k: int = 1000, eps: float = 1e-4, inserts: bool = False) -> DataFrame:
-    """Batches of deletions (or of insertions of edges held out before) against computing anew."""
-    import time
-
-    g = build(graph, spark, sf_dir).as_undirected()
+def topk_sweep(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("part_supplier", "customer_supplier", "part_copurchase", "order_tree"), ks: tuple[int, ...] = (1, 10, 100, 1000, 10000), eps: float = 1e-6) -> DataFrame:
+    """Top-k for each k against the full ranking, and a loose solve for the best hundred; the geometric mean of the
+    speed-ups over the graphs is beside each."""
+    out = []
+    for graph in graphs:
+        g = undirected(spark, sf_dir, graph)
+        full = rank_nodes(g, RankingCriterion(eps)).report
+        out.append((graph, "full", full.levels, full.seconds, 1.0))
+        for k in ks:
+            r = rank_nodes(g, TopKCriterion(k, eps)).report
+            out.append((graph, f"top {k}", r.levels, r.seconds, full.seconds / max(r.seconds, 1e-9)))
+        loose = baselines.solve_cg(g, CG_LOOSE)
+        out.append((graph, f"linear solve {CG_LOOSE:g}", loose.levels, loose.seconds, full.seconds / max(loose.seconds, 1e-9)))
+        g.placed.release()
+    table = spark.createDataFrame(out, "graph string, method string, levels int, seconds double, speedup double")
+    return table.join(table.groupBy("method").agg(measures.geo_mean("speedup").alias("mean_speedup")), "method")
+
+
+def batch_sweep(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("part_supplier_heavy",), sizes: tuple[int, ...] = (1, 10, 100, 1000, 10000), k: int = 1000, eps: float = 1e-4, inserts: bool = False, seed: int | None = 1) -> DataFrame:
+    """Batches of random deletions (or of insertions of edges held out before) against the static algorithm on the changed
+    graph, whose layout isn't counted (relative), and against a new state, with layout and exact counts (to_new_state). A
+    batch of more than half of the edges is left out. restored: whether the levels
+    of inserted edges are those of the graph that had them. mean_relative: the geometric mean over graphs."""
     criterion, out = TopKCriterion(k, eps), []
-    base = dynamic.start(g, criterion)
-    for size in sizes:
-        some = dynamic.chosen_edges(g.edges, size, True)
-        state, batch = base, dynamic.EdgeBatch.of(deletes=some)
-        if inserts:
-            state, batch = dynamic.apply_batch(base, batch), dynamic.EdgeBatch.of(inserts=some)
-        begun = time.monotonic()
-        after = dynamic.apply_batch(state, batch)
-        spent = time.monotonic() - begun
-        begun = time.monotonic()
-        rank_nodes(Graph(after.graph.edges, after.graph.nodes, True), criterion, numeric="exact", keep_levels=True)
-        anew = time.monotonic() - begun
-        out.append((graph, size, after.depth, sum(after.frontier), spent, anew, spent / anew))
-    return spark.createDataFrame(out, "graph string, batch int, levels int, touched long, seconds double, recompute_seconds double, relative double")
-
-
-def instances(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("part_supplier", "part_supplier_heavy", "customer_supplier", "order_tree", "user_hour_event"), grid: tuple[float, ...] = (1e-1, 1e-3, 1e-5)) -> DataFrame:
+    for graph in graphs:
+        g = undirected(spark, sf_dir, graph)
+        base = dynamic.start(g, criterion)
+        for size in sizes:
+            if 4 * size > g.stats.m:
+                continue
+            some = layout.commit(dynamic.chosen_edges(g.edges, size, True, seed))
+            state, batch = base, dynamic.EdgeBatch.of(deletes=some)
+            if inserts:
+                state, batch = dynamic.apply_batch(base, batch), dynamic.EdgeBatch.of(inserts=some)
+            begun = time.monotonic()
+            after = dynamic.apply_batch(state, batch)
+            spent = time.monotonic() - begun
+            fresh = Graph(after.graph.edges, after.graph.nodes, True)
+            begun = time.monotonic()
+            dynamic.start(fresh, criterion)
+            state_anew = time.monotonic() - begun
+            anew = rank_nodes(fresh, criterion).report
+            restored = None
+            if inserts:
+                both = after.levels[base.depth].join(base.levels[base.depth].withColumnRenamed("w", "_w"), "id")
+                restored = both.where("w <> _w").isEmpty()
+            out.append((graph, size, after.depth, sum(after.frontier), anew.levels, spent, anew.seconds, spent / anew.seconds, spent / state_anew, restored))
+            fresh.placed.release()
+        g.placed.release()
+    table = spark.createDataFrame(out, "graph string, batch int, levels int, touched long, static_levels int, seconds double, static_seconds double, relative double, to_new_state double, restored boolean")
+    return table.join(table.groupBy("batch").agg(measures.geo_mean("relative").alias("mean_relative")), "batch")
+
+
+def instances(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = TEN, grid: tuple[float, ...] = (1e-1, 1e-3, 1e-5)) -> DataFrame:
     """The epsilon sweep on several graphs: levels and seconds relative to the loosest eps of each."""
     out = None
     for graph in graphs:
@@ -78,11 +111,22 @@ def summary(table: DataFrame) -> DataFrame:
     return table.groupBy("method").agg(F.avg("levels").alias("levels"), F.avg("seconds").alias("seconds"), measures.geo_mean(F.nullif("separated", F.lit(0.0))).alias("separated"), measures.geo_mean("relative").alias("relative"))
 
 
-def scaling(spark: SparkSession, sf_dir: str, graph: str = "part_supplier", k: int = 10000, eps: float = 1e-6) -> float:
-    """Seconds of one top-k run on the session's cores. Nothing calls it: the table by cores is left out."""
-    g = build(graph, spark, sf_dir).as_undirected()
-    g.stats  # noqa: B018  the graph is laid out before the clock starts
-    return rank_nodes(g, TopKCriterion(k, eps)).report.seconds
+def scaling(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("part_supplier", "part_copurchase"), parts: tuple[int, ...] = (1, 2, 4, 8), k: int = 10000, eps: float = 1e-6) -> DataFrame:
+    """One top-k run for each number of partitions, which is the number of tasks that a level runs at once: levels, seconds,
+    seconds relative to one partition, and the geometric mean of these over graphs. The graphs are laid out as large ones
+    are. `bench.py --cores` does the same for sessions of so many cores."""
+    out = []
+    for graph in graphs:
+        g = build(graph, spark, sf_dir).as_undirected()
+        for n in parts:
+            one = Graph(g.edges, g.nodes, True, n)
+            one.stats  # noqa: B018
+            report = rank_nodes(one, TopKCriterion(k, eps)).report
+            out.append((graph, n, report.levels, report.seconds))
+            one.placed.release()
+    table = spark.createDataFrame(out, "graph string, partitions int, levels int, seconds double")
+    table = measures.relative_to(table, ["graph"], "seconds", F.col("partitions") == parts[0])
+    return table.join(table.groupBy("partitions").agg(measures.geo_mean("relative").alias("mean_relative")), "partitions")
 
 
 def webs(spark: SparkSession, sf_dir: str, k: int = 20, eps: float = 1e-6) -> DataFrame:

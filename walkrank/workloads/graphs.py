@@ -7,11 +7,14 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.ids import pack, sql_pack, sql_text_id, text_id
 from ..operators.graph import Graph
+from ..plans import layout, ordered
 from ..sources.tables import table
 
 HEAVY = 45
@@ -70,45 +73,52 @@ def user_hour_event(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph.from_edges(rows.select(*pairs(pack("user", "user_id"), pack("hour_event", hour * 8 + kind))).distinct(), undirected=True)
 
 
-def embedding_sim(spark: SparkSession, sf_dir: str, tau: float = TAU) -> Graph:
-    """Vectors of a cosine of at least tau. Vectors within that angle have angles to a fixed axis that differ by no more:
-    so a band join of buckets of that width finds all pairs."""
-    rows = table(spark, sf_dir, "embeddings", ["vec_id", "embedding"])
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    unit = rows.select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e")).withColumn("norm", F.sqrt(dot(F.col("e"), F.col("e")))).where("norm > 0")
-    angle = F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), F.element_at("e", 1) / F.col("norm"))))
-    unit = unit.withColumn("bucket", F.floor(angle / F.acos(F.lit(tau))))
-    near = unit.select(F.explode(F.array(F.col("bucket") - 1, F.col("bucket"), F.col("bucket") + 1)).alias("bucket"), F.col("vec_id").alias("other"), F.col("e").alias("f"), F.col("norm").alias("g"))
-    rows = unit.join(near, "bucket").where("vec_id < other").where(dot(F.col("e"), F.col("f")) >= F.lit(tau) * F.col("norm") * F.col("g"))
-    return Graph.from_edges(rows.select(*pairs(pack("vector", "vec_id"), pack("vector", "other"))), undirected=True)
+#: Vectors of a block; two blocks make one task.
+BLOCK_VECTORS = 2000
+
+
+def embedding_sim(spark: SparkSession, sf_dir: str, tau: float = TAU, block: int = BLOCK_VECTORS) -> Graph:
+    """Vectors of a cosine of at least tau. An angle that wide parts no buckets, so all pairs are looked at: vectors are
+    dealt to blocks, and each two blocks are one task with a matrix product, whatever the number of blocks."""
+    rows = table(spark, sf_dir, "embeddings", ["vec_id", "embedding"]).select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
+    blocks = max(1, -(-rows.count() // block))
+    own = rows.withColumn("own", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)))
+    other = own.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("_k"))
+    dealt = other.select("vec_id", "e", "own", F.least("own", "_k").alias("first"), F.greatest("own", "_k").alias("second"))
+
+    def near(key, rows):
+        ids, own = rows.column("vec_id").to_numpy(), rows.column("own").to_numpy()
+        e = np.stack(rows.column("e").to_pylist()) if len(ids) else np.zeros((0, 1))
+        norm = np.sqrt((e * e).sum(1))
+        left, right = own == key[0].as_py(), own == key[1].as_py()
+        i, j = np.nonzero(e[left] @ e[right].T >= tau * np.outer(norm[left], norm[right]))
+        i, j = np.flatnonzero(left)[i], np.flatnonzero(right)[j]
+        keep = (ids[i] != ids[j]) & (norm[i] > 0) & (norm[j] > 0) & ((key[0] != key[1]) | (ids[i] < ids[j]))
+        a, b = ids[i][keep], ids[j][keep]
+        return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+
+    found = dealt.groupBy("first", "second").applyInArrow(near, "a long, b long")
+    return Graph.from_edges(found.select(*pairs(pack("vector", "a"), pack("vector", "b"))), undirected=True)
 
 
 def document_line(spark: SparkSession, sf_dir: str) -> Graph:
     """Documents and the lines that at least two of them share; documents without one are isolated."""
     docs = table(spark, sf_dir, "documents", ["doc_id", "text"])
     lines = docs.select("doc_id", F.explode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("line")).select("doc_id", text_id(F.col("line")).alias("line")).distinct()
+    lines = layout.commit(lines)  # a line of very many documents is then split by the join
     shared = lines.groupBy("line").agg(F.count("*").alias("n")).where("n > 1").select("line")
     return Graph.from_edges(lines.join(shared, "line").select(*pairs(pack("document", "doc_id"), F.col("line"))), docs.select(pack("document", "doc_id").alias("id")), undirected=True)
 
 
 def user_follow(spark: SparkSession, sf_dir: str) -> Graph:
-    """The user of an event to the user of the next one, without loops. Next events come by hours, each hour's last event
-    followed by the first of the next hour that has any."""
+    """The user of an event to the user of the next one, without loops."""
     rows = follow_rows(table(spark, sf_dir, "events", ["event_id", "ts", "user_id"]))
     return Graph.from_edges(rows.where("user_id <> next_user").select(*pairs(pack("user", "user_id"), pack("user", "next_user"))))
 
 
 def follow_rows(events: DataFrame) -> DataFrame:
     """Each event with the user of the next in order of ts, event_id."""
-    dealt = events.withColumn("_hour", F.date_trunc("hour", F.col("ts")))
-    order = [F.col("ts"), F.col("event_id")]
-    inside = dealt.withColumn("next_user", F.lead("user_id").over(Window.partitionBy("_hour").orderBy(*order)))
-    # one row an hour
-    heads = dealt.groupBy("_hour").agg(F.min_by("user_id", F.struct("ts", "event_id")).alias("_head"), F.max(F.struct("ts", "event_id")).alias("_last"))
-    heads = heads.withColumn("_follower", F.lead("_head").over(Window.orderBy("_hour"))).select("_hour", "_last", "_follower")
-    joined = inside.join(heads, "_hour")
-    last = F.struct("ts", "event_id") == F.col("_last")
-    return joined.withColumn("next_user", F.when(last, F.col("_follower")).otherwise(F.col("next_user"))).select(*events.columns, "next_user").where("next_user is not null")
+    return ordered.followed(events, ["ts", "event_id"], "user_id", "next_user").where("next_user is not null")
 
 
 HREF = 'href="([^"]*)"'

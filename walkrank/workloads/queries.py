@@ -11,12 +11,12 @@ from ..functions.ids import pack, sql_pack
 from ..operators import baselines, dynamic, measures
 from ..operators.attenuation import sigma_max
 from ..operators.criteria import FixedLevels, RankingCriterion, TopKCriterion
-from ..operators.engine import compare, full_ranking, ladder, level_bounds, rank_nodes, ranked, scores, top_k
+from ..operators.engine import compare, full_ranking, ladder, level_bounds, rank_nodes, ranked, scores, top_k, top_k_sweep
 from ..operators.graph import Graph, is_complete, out_degrees
 from ..plans import ordered
 from ..sources.tables import table
 from . import oracle as O
-from .graphs import DIRECTED, EDGES_SQL, NODES_SQL, build, follow_rows, part_supplier_heavy
+from .graphs import EDGES_SQL, NODES_SQL, build, follow_rows, part_supplier_heavy
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -138,7 +138,9 @@ def q_bounds_ratio_l4(spark, sf_dir):
     return rounded(level_bounds(build("part_copurchase", spark, sf_dir), 4, bounds="ratio").frame)
 
 
-@query("select 'levels' as check_name, 0::bigint as violations union all select 'growth', 0")
+@query(f"""with recursive {O.graph_ctes(HEAVY)}, {O.scaled(5)}, {O.bounds(True)}, {O.exact(5)}
+select 'levels' as check_name, (select count(*) from f a join f b on a.id = b.id and b.i = a.i + 1 where a.i >= 2 and (b.floor < a.floor - 1e-12 or b.ceiling > a.ceiling + 1e-12))::bigint as violations
+union all select 'growth', (select count(*) from x a join x b on a.id = b.id and b.i = a.i + 1, p where a.i >= 1 and b.w > a.w * p.d_max)::bigint""")
 def q_level_invariants(spark, sf_dir):
     """Floors never fall, ceilings never rise; counts never grow by more than the largest degree."""
     graph = build(HEAVY, spark, sf_dir)
@@ -203,10 +205,10 @@ def q_separated_pairs_bruteforce(spark, sf_dir):
     return rows(spark, [(some, n * (n - 1) // 2)], "separated long, pairs long")
 
 
-EPS_GRID = tuple(10.0**-i for i in range(1, 10))
+EPS_GRID = tuple(10.0**-i for i in range(1, 13))
 
 
-@query(f"{O.frames(HEAVY, 20)}, grid as (select unnest({list(EPS_GRID)}) as eps), bad as (select i, ceiling, lag(floor) over (partition by i order by floor desc, ceiling desc, id) as prev from f), v as (select eps, i from bad, grid group by eps, i having count(*) filter (where prev <= ceiling - eps) = 0), l as (select eps, min(i) as i from v group by eps), sep as (select a.i, count(*) as c from f a join f b on a.i = b.i and a.floor > b.ceiling where a.i in (select i from l) group by a.i) select eps, l.i::int as level, round(coalesce(c, 0) / (select count(*) * (count(*) - 1) // 2 from nd), 8) as fraction from l left join sep on sep.i = l.i")
+@query(f"{O.frames(HEAVY, 26)}, grid as (select unnest({list(EPS_GRID)}) as eps), bad as (select i, ceiling, lag(floor) over (partition by i order by floor desc, ceiling desc, id) as prev from f), v as (select eps, i from bad, grid group by eps, i having count(*) filter (where prev <= ceiling - eps) = 0), l as (select eps, min(i) as i from v group by eps), sep as (select a.i, count(*) as c from f a join f b on a.i = b.i and a.floor > b.ceiling where a.i in (select i from l) group by a.i) select eps, l.i::int as level, round(coalesce(c, 0) / (select count(*) * (count(*) - 1) // 2 from nd), 8) as fraction from l left join sep on sep.i = l.i")
 def q_epsilon_sweep(spark, sf_dir):
     graph, found = build(HEAVY, spark, sf_dir), []
     for eps, r in zip(EPS_GRID, ladder(graph, [RankingCriterion(eps) for eps in EPS_GRID]), strict=True):
@@ -224,19 +226,58 @@ def _sweep_sql() -> str:
 
 @query(_sweep_sql())
 def q_topk_sweep(spark, sf_dir):
-    graph = build(HEAVY, spark, sf_dir)
-    return rows(spark, [(k, top_k(graph, k, 1e-4).report.levels) for k in K_GRID], "k long, level int")
+    found = top_k_sweep(build(HEAVY, spark, sf_dir), list(K_GRID), 1e-4)
+    return rows(spark, [(k, r.levels) for k, r in found.items()], "k long, level int")
 
 
-@query()
+@query(f"{O.frames(HEAVY, 12)}, {O.topk(500, 1e-3)} select live::bigint as live, done from v where i = 12")
 def q_topk_beyond_driver(spark, sf_dir):
     """The top-k criterion as it runs where k is too large for the driver."""
     graph = build(HEAVY, spark, sf_dir)
     frame = level_bounds(graph, 12).frame
-    verdict = TopKCriterion(500, 1e-3).check_large(frame, graph.stats.n, 500)
+    verdict = TopKCriterion(500, 1e-3).check_large(frame, graph.stats.n, min(500, graph.stats.n))
     return rows(spark, [(verdict.live, verdict.done)], "live long, done boolean")
 
 
+INSTANCES = ("part_supplier", "part_supplier_heavy", "customer_supplier", "order_tree", "user_hour_event")
+INSTANCE_EPS = (1e-1, 1e-3, 1e-5)
+
+
+def _instances_sql() -> str:
+    one = "select '{name}' as graph, {eps!r}::double as eps, (select min(i) from (with {criterion} select * from v) where done)::int as level from p"
+    graphs = []
+    for name in INSTANCES:
+        each = [one.format(name=name, eps=eps, criterion=O.ranking(eps)) for eps in INSTANCE_EPS]
+        each.append(f"select '{name}', 0.0::double, (select min(i) from (select i, max(s) as s from g group by i) where s < 1e-9)::int from p")
+        graphs.append(f"select * from ({O.frames(name, 30)} {' union all '.join(each)})")
+    return " union all ".join(graphs)
+
+
+@query(_instances_sql())
+def q_instance_levels(spark, sf_dir):
+    """Levels of the ranking for each graph and eps, and of the partial sum to 1e-9 (as eps 0)."""
+    found = []
+    for name in INSTANCES:
+        graph = build(name, spark, sf_dir)
+        found += [(name, eps, r.report.levels) for eps, r in zip(INSTANCE_EPS, ladder(graph, [RankingCriterion(eps) for eps in INSTANCE_EPS]), strict=True)]
+        found.append((name, 0.0, baselines.tolerance_partial_sum(graph, 1e-9).levels))
+        graph.placed.release()
+    return rows(spark, found, "graph string, eps double, level int")
+
+
+@query(f"{O.frames(HEAVY, 6)} select id, round(floor, 8) as floor, round(ceiling, 8) as ceiling from f where i = 6")
+def q_bounds_large_layout(spark, sf_dir):
+    """Bounds from the layout of large graphs: edges and states dealt alike, edges to hubs apart."""
+    graph = build(HEAVY, spark, sf_dir)
+    return rounded(level_bounds(Graph(graph.edges, graph.nodes, True, 6), 6).frame)
+
+
+@query(f"{O.frames(HEAVY, 16)}, {O.topk(50, 1e-5)} select rn::bigint as rank, id from t where i = {O.LAST}")
+def q_topk_large_layout(spark, sf_dir):
+    graph = build(HEAVY, spark, sf_dir)
+    return top_k(Graph(graph.edges, graph.nodes, True, 6), 50, 1e-5).ranking(50).select("rank", "id")
+
+
 # baselines
 
 
@@ -251,7 +292,18 @@ def q_cg_scores(spark, sf_dir):
     return baselines.solve_cg(build(HEAVY, spark, sf_dir)).scores.select("id", F.round("score", 8).alias("score"))
 
 
-@query("select 100::bigint as k, true as mostly_right")
+#: The loose solve in SQL: conjugate gradients, a step a round, until the residual is below 1e-4 of the right side.
+_LOOSE = """cg as (select 0 as i, id, 0.0::double as x, 1.0::double as r, 1.0::double as d, count(*) over ()::double as rr, count(*) over ()::double as n from nd union all
+  select i + 1, id, x + a * d, r - a * q, (r - a * q) + next / rr * d, next, n from (select *, sum((r - a * q) * (r - a * q)) over () as next from (
+    select *, rr / sum(d * q) over () as a from (select c.*, c.d - p.alpha * coalesce(s.w, 0) as q from cg c join p on true left join (select e.src, sum(t.d) as w from cg t join e on e.dst = t.id group by e.src) s on s.src = c.id
+      where c.rr / c.n >= 1e-8 and c.i < 60)))),
+sol as (select id, x from cg where i = (select max(i) from cg)),
+score as (select nd.id, p.alpha * coalesce(sum(sol.x), 0) as score from nd join p on true left join e on e.src = nd.id left join sol on sol.id = e.dst group by nd.id, p.alpha)"""
+
+
+@query(f"""with recursive {O.graph_ctes(HEAVY)}, {O.scaled(80)}, {_LOOSE},
+loose as (select id from score order by score desc, id limit 100), tight as (select id from g where i = 80 order by k desc, id limit 100)
+select 100::bigint as k, count(*) >= 90 as mostly_right from loose join tight using (id)""")
 def q_cg_loose_top100(spark, sf_dir):
     """The hundred best of a loose solve against those of a tight one: nine in ten at least are the same."""
     graph = build(HEAVY, spark, sf_dir)
@@ -269,7 +321,7 @@ def q_degree_rank(spark, sf_dir):
     return baselines.degree_rank(build(HEAVY, spark, sf_dir))
 
 
-@query()
+@query(f"with recursive {O.graph_ctes('nation_trade')}, {O.scaled(700)} select id, round(k, 6) as score from g where i = 700")
 def q_dense_exact(spark, sf_dir):
     found = baselines.dense_exact(build("nation_trade", spark, sf_dir))
     return rows(spark, [(k, round(v, 6)) for k, v in sorted(found.items())], "id long, score double")
@@ -293,7 +345,8 @@ def q_misranked_pairs(spark, sf_dir):
     return rows(spark, [(measures.misranked_pairs(early, exact, 1e-9),)], "misranked long")
 
 
-@query(f"with recursive {O.graph_ctes(HEAVY)}, {O.scaled(80)}, z as (select id, round(k, 8) as s from g where i = 80) select a.id as low, b.id as high from z a join z b on a.id < b.id and abs(a.s - b.s) < 1e-5")
+@query(f"""with recursive {O.graph_ctes(HEAVY)}, {O.scaled(80)}, z as (select min(id) as id, count(*) as c, s from (select id, round(k, 8) as s from g where i = 80) group by s)
+select a.id as low, b.id as high, a.c::bigint as low_nodes, b.c::bigint as high_nodes from z a join z b on a.id <= b.id and abs(a.s - b.s) < 1e-5 and (a.id <> b.id or a.c > 1)""")
 def q_near_tie_pairs(spark, sf_dir):
     solved = baselines.solve_cg(build(HEAVY, spark, sf_dir)).scores
     return measures.near_ties(solved.select("id", F.round("score", 8).alias("score")), 1e-5)
@@ -606,54 +659,65 @@ def q_user_profile(spark, sf_dir):
     return events.groupBy("user_id").agg(F.count_if(F.col("event_type") == "error").alias("errors"), F.count_distinct("event_type").alias("kinds"), F.min("event_id").alias("first_event"))
 
 
-@query()
+@query(f"with e as ({EDGES_SQL['nation_trade']}), nd as ({NODES_SQL['nation_trade']}) select (select count(*) from e where src <> dst) = (select count(*) * (count(*) - 1) from nd) as complete")
 def q_is_complete(spark, sf_dir):
     return rows(spark, [(is_complete(build("nation_trade", spark, sf_dir)),)], "complete boolean")
 
 
-# experiments: figures of runs, without SQL
+# experiments: figures of runs; their levels have SQL above, their seconds can't
 
 
 @query()
 def w1_epsilon_sweep(spark, sf_dir):
     from . import experiments
 
-    return experiments.epsilon_sweep(spark, sf_dir, grid=(1e-1, 1e-3, 1e-6, 1e-9))
+    return experiments.epsilon_sweep(spark, sf_dir)
 
 
 @query()
 def w2_instances(spark, sf_dir):
     from . import experiments
 
-    return experiments.summary(experiments.instances(spark, sf_dir, ("part_supplier_heavy", "order_tree"), (1e-1, 1e-3)))
+    return experiments.summary(experiments.instances(spark, sf_dir))
 
 
 @query()
 def w3_topk_sweep(spark, sf_dir):
     from . import experiments
 
-    return experiments.topk_sweep(spark, sf_dir, ks=(1, 100, 1000))
+    return experiments.topk_sweep(spark, sf_dir)
 
 
 @query()
 def w4_batch_deletions(spark, sf_dir):
     from . import experiments
 
-    return experiments.batch_sweep(spark, sf_dir, "order_tree", (1, 100), k=100)
+    return experiments.batch_sweep(spark, sf_dir, ("order_tree", "part_supplier"))
 
 
 @query()
 def w5_batch_insertions(spark, sf_dir):
     from . import experiments
 
-    return experiments.batch_sweep(spark, sf_dir, "order_tree", (10,), k=100, inserts=True)
+    return experiments.batch_sweep(spark, sf_dir, ("order_tree", "part_supplier_heavy"), (1, 100, 1000), inserts=True)
 
 
 @query()
+def w6_scaling(spark, sf_dir):
+    from . import experiments
+
+    return experiments.scaling(spark, sf_dir)
+
+
+_BOTH_WAYS = "select src, dst from e0 union select dst, src from e0"
+
+
+@query(f"""select a.id, a.score as undirected, b.score as directed from (with recursive {O.graph_ctes('user_follow', edges=_BOTH_WAYS)}, {O.scaled(2600)} select id, round(k, 6) as score from g where i = 2600) a
+join (with recursive {O.graph_ctes('user_follow')}, {O.scaled(2600)} select id, round(k, 6) as score from g where i = 2600) b on a.id = b.id""")
 def w7_directed_as_undirected(spark, sf_dir):
     """A directed graph made undirected for the linear solve, beside its own fixed point."""
     graph = build("user_follow", spark, sf_dir)
-    solved, own = baselines.solve_cg(graph.as_undirected()), baselines.solve_fixed_point(graph, 1e-9)
+    solved, own = baselines.solve_cg(graph.as_undirected()), baselines.solve_fixed_point(graph, 1e-10)
     both = solved.scores.withColumnRenamed("score", "undirected").join(own.scores.withColumnRenamed("score", "directed"), "id")
     return both.select("id", F.round("undirected", 6).alias("undirected"), F.round("directed", 6).alias("directed"))
 
@@ -675,7 +739,7 @@ def w9_event_replay(spark, sf_dir):
     return dynamic.apply_batch(state, dynamic.EdgeBatch(last)).graph.edges.select("src", "dst")
 
 
-@query()
+@query(f"{O.frames('page_link', 6, inbound=True)}, {O.topk(20, 1e-6)} select rn::bigint as rank, id, round(floor, 8) as floor, round(ceiling, 8) as ceiling from t where i = {O.LAST}")
 def w8_inbound_pages(spark, sf_dir):
     from . import experiments
 
