@@ -7,9 +7,11 @@ the predictor, cross-colour, subtract-green and palette transforms. Where an ima
 cache it finds the code words of all bit places of a window at once and then follows the chain of pixels; else it goes
 pixel by pixel.
 
-The encoder writes one prefix code for green and lengths and one for the other channels, runs as back-references of
-distance one, and a palette where an image has at most 256 colours. The other transforms and the colour cache are
-written on demand.
+The encoder writes back-references to the nearest place where the next three pixels were before (runs are those of
+distance one), one prefix code for green and lengths, one for the other channels and one for distances. It takes a
+palette where an image has at most 256 colours, else the one of some transforms (none, green taken away, left pixel as
+the prediction, or both) that leaves a sample of pixels with the least entropy. Cross-colour, other modes of the predictor
+and the colour cache are written on demand.
 
 Texts as media: UTF-8 bytes, padded, are the samples of images of WIDTH pixels a row and at most ROWS rows, stored one
 after another. Null texts are empty ones. Repeated rows give equal results, other columns are left out, an empty table
@@ -609,35 +611,95 @@ def write_image(out: Out, image: np.ndarray, main: bool, cache_bits: int = 0) ->
         out.put(0, 1)
     if cache_bits:
         return write_cached(out, flat, pixels, cache_bits)
-    # a run of one colour at the end is a back-reference of distance one
-    run = 0
-    if len(pixels) > 4 and pixels[-1] == pixels[-2]:
-        other = np.flatnonzero(pixels[:-1] != pixels[-1])
-        run = len(pixels) - 1 - (int(other[-1]) + 1 if len(other) else 0)
-        run = run if run >= 4 else 0
-    literal = flat[: len(flat) - run]
-    steps = []
-    while run:
-        n = min(run, 4096)
-        steps.append(extra_of(n))
-        run -= n
-    green = np.bincount(literal[:, 1], minlength=280)
-    for s, _, _ in steps:
+    places = matches(pixels)
+    literal, begins = np.ones(len(pixels), bool), np.zeros(len(pixels), bool)
+    for at, n, _ in places:
+        literal[at : at + n] = False
+        begins[at] = True
+    steps = [(*extra_of(n), *extra_of(near_code(image.shape[1]).get(back, back + len(NEAR)))) for _, n, back in places]
+    kept = flat if not places else flat[literal]
+    green, back = np.bincount(kept[:, 1], minlength=280), np.zeros(40, np.int64)
+    for s, _, _, d, _, _ in steps:
         green[256 + s] += 1
-    rest = code_lengths(np.bincount(literal[:, [2, 0, 3]].ravel(), minlength=256))
-    first = code_lengths(green)
-    # distance symbol 1 stands for the pixel before: (1, 0)
-    write_codes(out, [first, rest, rest, rest, np.eye(1, 40, 1, dtype=np.uint8)[0]])
-    bits_of = lambda x: x if np.count_nonzero(x) > 1 else np.zeros_like(x)
-    first_bits, rest_bits = bits_of(first), bits_of(rest)
-    word_g, word_r = code_words(first), code_words(rest)
-    ordered = literal[:, [1, 2, 0, 3]]
-    values, sizes = word_r[ordered], rest_bits[ordered].astype(np.int64)
+        back[d] += 1
+    rest = code_lengths(np.bincount(kept[:, [2, 0, 3]].ravel(), minlength=256)) if len(kept) else np.zeros(256, np.uint8)
+    first, far = code_lengths(green), code_lengths(back) if places else np.zeros(40, np.uint8)
+    write_codes(out, [first, rest, rest, rest, far])
+    bits_of = lambda x: (x if np.count_nonzero(x) > 1 else np.zeros_like(x)).astype(np.int64)
+    first_bits, rest_bits, far_bits = bits_of(first), bits_of(rest), bits_of(far)
+    word_g, word_r, word_d = code_words(first), code_words(rest), code_words(far)
+    ordered = kept[:, [1, 2, 0, 3]]
+    values, sizes = word_r[ordered], rest_bits[ordered]
     values[:, 0], sizes[:, 0] = word_g[ordered[:, 0]], first_bits[ordered[:, 0]]
+    if places:  # four values for a pixel, and for a reference: length, its extra bits, distance, its extra bits
+        token = np.flatnonzero(literal | begins)
+        all_values, all_sizes = np.zeros((2, len(token), 4), np.int64)
+        all_values[literal[token]], all_sizes[literal[token]] = values, sizes
+        s, length_extra, length_bits, d, distance_extra, distance_bits = np.array(steps).T
+        all_values[begins[token]] = np.stack([word_g[256 + s], length_extra, word_d[d], distance_extra], 1)
+        all_sizes[begins[token]] = np.stack([first_bits[256 + s], length_bits, far_bits[d], distance_bits], 1)
+        values, sizes = all_values, all_sizes
     out.words(values.ravel(), sizes.ravel())
-    for s, extra, n in steps:
-        out.put(int(word_g[256 + s]), int(first_bits[256 + s]))
-        out.put(extra, n)
+
+
+#: Pixels of a back-reference at least and at most, and the fewest of all of an image; with fewer only one at its end is written.
+SHORTEST, LONGEST, WORTH = 3, 4096, 16
+PLACE = np.uint64((1 << 20) - 1)
+
+
+def matches(pixels: np.ndarray) -> list[tuple[int, int, int]]:
+    """Back-references in order: place, number of pixels, how far back."""
+    if len(pixels) <= SHORTEST:
+        return []
+    p = pixels.astype(np.uint64)
+    key = (p[:-2] * np.uint64(0x9E3779B97F4A7C15)) ^ (p[1:-1] * np.uint64(0xC2B2AE3D27D4EB4F)) ^ (p[2:] * np.uint64(0x165667B19E3779F9))
+    # in one number a hash of three pixels and their place
+    ordered = np.sort((key & ~PLACE) | np.arange(len(key), dtype=np.uint64))
+    places, hashes = (ordered & PLACE).astype(np.int64), ordered & ~PLACE
+    same = np.flatnonzero(hashes[1:] == hashes[:-1])
+    if not len(same):
+        return []
+    found, end, total = [], 0, 0
+    later = places[same + 1]
+    again = np.argsort(later)
+    for at, back in zip(later[again].tolist(), places[same][again].tolist(), strict=True):
+        if at >= end:
+            differ = pixels[at : at + LONGEST] != pixels[back : back + min(LONGEST, len(pixels) - at)]
+            n = int(differ.argmax()) if differ.any() else len(differ)
+            if n >= SHORTEST:
+                found.append((at, n, at - back))
+                end, total = at + n, total + n
+    last = found[-1:] if found and end == len(pixels) else []
+    return found if total - sum(n for _, n, _ in last) >= WORTH else last
+
+
+@lru_cache(64)
+def near_code(width: int) -> dict[int, int]:
+    """The least code of each distance that the table of near ones has."""
+    return {distance(code, width): code for code in range(len(NEAR), 0, -1)}
+
+
+#: Pixels that the choice of transforms looks at, and by how much one must be better than none.
+SAMPLE, GAIN = 256, 0.95
+
+
+def best_transforms(image: np.ndarray) -> tuple[int, ...]:
+    """By the entropy of the samples that they leave of some pixels."""
+    flat = image.reshape(-1, 4)[:SAMPLE]
+    # most samples far from their left and other channels: nothing to gain
+    if ((np.diff(flat, axis=0) + np.uint8(8)) > 16).mean() > 0.4 and (flat[:, 1] != flat[:, 2]).mean() > 0.5:
+        return ()
+
+    def entropy(x: np.ndarray) -> float:
+        counts = np.bincount(x.ravel(), minlength=256)
+        counts = counts[counts > 0]
+        return float(x.size * np.log2(x.size) - (counts * np.log2(counts)).sum())
+
+    moved = green_moved(flat, -1)
+    sizes = {(): entropy(flat) * GAIN, (SUBTRACT,): entropy(moved)}
+    for kinds, x in (((PREDICT,), flat), ((SUBTRACT, PREDICT), moved)):
+        sizes[kinds] = entropy(np.diff(x, axis=0, prepend=np.zeros((1, 4), np.uint8)))
+    return min(sizes, key=sizes.get)
 
 
 def write_cached(out: Out, flat: np.ndarray, pixels: np.ndarray, cache_bits: int) -> None:
@@ -657,7 +719,7 @@ def write_cached(out: Out, flat: np.ndarray, pixels: np.ndarray, cache_bits: int
 
 
 def encode(samples: np.ndarray, transforms: tuple[int, ...] | None = None, cache_bits: int = 0, tile: int = 3, modes: np.ndarray | None = None, factors: np.ndarray | None = None) -> bytes:
-    """A file. transforms: in the order they are applied; None: a palette where it fits."""
+    """A file. transforms: in the order they are applied; None: a palette where it fits, else those that look best."""
     height, width, _ = samples.shape
     image = np.ascontiguousarray(samples[..., [2, 1, 0, 3]])
     out = Out()
@@ -670,7 +732,7 @@ def encode(samples: np.ndarray, transforms: tuple[int, ...] | None = None, cache
         colours = image.view("<u4").ravel()
         # the first pixels mostly tell already that there are too many colours
         few = len(set(colours[:400].tolist())) <= 256 and len(np.unique(colours)) <= 256
-        transforms = (PALETTE,) if few else ()
+        transforms = (PALETTE,) if few else best_transforms(image)
     for kind in transforms:
         out.put(1, 1)
         out.put(kind, 2)
