@@ -35,10 +35,11 @@ def work_dir(spark: SparkSession) -> str:
 _open: list[list[str]] = []
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """df as a table written to the shared folder and read again: lineage ends, and a lost executor costs nothing."""
+def written(df: DataFrame, name: str, by: str | None = None) -> DataFrame:
+    """df as a table written to the shared folder and read again: lineage ends, and a lost executor costs nothing. by: a
+    column that has a folder for each value."""
     path = f"{work_dir(importable(df.sparkSession))}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     if _open:
         _open[-1].append(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)

@@ -4,7 +4,10 @@ The index has three tables in the shared folder: which document holds which line
 count of documents for each key with the largest doc_id that holds it, and for each shard of keys a cuckoo filter of
 those with `least` documents or more. Inserting documents or deleting them adds or takes away occurrences, recounts
 the keys that are concerned alone, and inserts into or deletes from the filters the keys that cross the limit, so
-deleting what was inserted gives the index back. A filter that overflows is built anew from the exact table.
+deleting what was inserted gives the index back. From the first change on all three tables lie by shard, and a change
+reads and writes the shards that it concerns alone, as a piece that stands for these; many pieces become one. A filter
+that overflows is built anew from the exact table, and once the shards hold twice the keys they are made for, each is
+split in two.
 
 To dedup, the lines' keys are probed in the filters (those sent to the executors at once stay under WAVE_BYTES; more
 shards take more waves over their own occurrences). What passes is looked up in the exact table, so a filter's false
@@ -19,18 +22,20 @@ an empty table.
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
 
 SHORTEST, LEAST = 40, 5
 SHARD_KEYS, WAVE_BYTES = 40_000, 64 << 20
+#: Pieces of a table from which on they become one, and files of a shard in a piece.
+PIECES, FILES = 16, 8
 SPACE = b" \t\n\x0b\x0c\r"
 SLOTS, KICKS, WIDEST = 4, 500, 64
 
@@ -111,6 +116,7 @@ class Cuckoo:
 
 def occurrences(docs: DataFrame, shortest: int = SHORTEST) -> DataFrame:
     """A row for each document and distinct key in it: doc_id, h1, h2."""
+    common.importable(docs.sparkSession)
     kind, schema = common.arrow_schema("doc_id long, h1 long, h2 long")
 
     def run(batches):
@@ -128,78 +134,146 @@ def occurrences(docs: DataFrame, shortest: int = SHORTEST) -> DataFrame:
     return docs.where("doc_id is not null").select("doc_id", common.text_of().alias("text")).mapInArrow(run, kind)
 
 
+def shard_of(shards: int) -> Column:
+    return F.pmod(F.shiftrightunsigned("h1", 20), F.lit(shards)).cast("int")
+
+
+def refiltered(filters: DataFrame, keys: DataFrame) -> DataFrame:
+    """New filters (shard, marks). keys: shard, h1, h2 and change: 1 comes, -1 goes, 0 is and stays. Keys of a shard are
+    about SHARD_KEYS, twice that at most."""
+
+    def update(old: pd.DataFrame, new: pd.DataFrame) -> pd.DataFrame:
+        if not len(new):
+            return old[["shard", "marks"]]
+        pick = lambda sign: (new.h1[new.change == sign].to_numpy(np.int64), new.h2[new.change == sign].to_numpy(np.int64))
+        filter_ = Cuckoo(table=old.marks[0]) if len(old) and old.marks[0] is not None else None
+        if filter_:
+            filter_.delete(*pick(-1))
+        if not filter_ or not filter_.insert(*pick(1)):
+            now = new[new.change >= 0]
+            filter_ = Cuckoo.of(now.h1.to_numpy(np.int64), now.h2.to_numpy(np.int64))
+        return pd.DataFrame({"shard": [int(new["shard"].iloc[0])], "marks": [filter_.table.tobytes() if filter_ else None]})
+
+    return filters.groupBy("shard").cogroup(keys.groupBy("shard")).applyInPandas(update, "shard int, marks binary")
+
+
 def counted(found: DataFrame) -> DataFrame:
     return found.groupBy("h1", "h2").agg(F.count_distinct("doc_id").alias("n_docs"), F.max("doc_id").alias("last_doc"))
 
 
+@dataclass
+class Sharded:
+    """A table with the column shard, in pieces: each with the shards for which a later piece stands."""
+
+    pieces: list[tuple[DataFrame, frozenset[int]]]
+
+    def of(self, shards: set[int] | None = None) -> DataFrame:
+        """The rows of some shards, or of all."""
+        out = None
+        for df, gone in self.pieces:
+            if shards is not None:
+                df = df.where(F.col("shard").isin(sorted(shards - gone)))
+            elif gone:
+                df = df.where(~F.col("shard").isin(sorted(gone)))
+            out = df if out is None else out.unionByName(df)
+        return out
+
+    def added(self, df: DataFrame) -> Sharded:
+        return Sharded([*self.pieces, (df, frozenset())]).joined()
+
+    def replaced(self, shards: set[int], df: DataFrame) -> Sharded:
+        """With df in place of some shards."""
+        return Sharded([*((old, gone | shards) for old, gone in self.pieces), (df, frozenset())]).joined()
+
+    def joined(self) -> Sharded:
+        return self if len(self.pieces) <= PIECES else Sharded([(by_shard(self.of(), "line-table"), frozenset())])
+
+
+def by_shard(df: DataFrame, name: str) -> DataFrame:
+    """df as a table with a folder for each shard, of FILES files at most."""
+    spread = F.pmod(F.xxhash64(*[c for c in df.columns if c != "shard"]), F.lit(FILES))
+    return common.written(df.repartition("shard", spread), name, "shard")
+
+
+KEY = ["h1", "h2"]
+
+
 @dataclass
 class LineIndex:
-    held: DataFrame
-    counts: DataFrame
-    filters: DataFrame
+    """held: doc_id, h1, h2; counts: h1, h2, n_docs, last_doc; filters: marks; all with shard. repeated: keys in the filters."""
+
+    held: Sharded
+    counts: Sharded
+    filters: Sharded
     shards: int
+    repeated: int
     least: int
     shortest: int
+    #: whether the tables lie by shard
+    laid_out: bool = False
 
     @staticmethod
     def build(docs: DataFrame, least: int = LEAST, shortest: int = SHORTEST) -> LineIndex:
         held = common.written(occurrences(docs, shortest), "line-occurrences")
-        counts = common.written(counted(held), "line-counts")
-        shards = max(1, math.ceil(counts.where(F.col("n_docs") >= least).count() / SHARD_KEYS))
-        index = LineIndex(held, counts, counts.sparkSession.createDataFrame([], "shard int, marks binary"), shards, least, shortest)
-        index.filters = common.written(index.refiltered(index.repeated().withColumn("change", F.lit(1))), "line-filters")
-        return index
-
-    def repeated(self) -> DataFrame:
-        return self.counts.where(F.col("n_docs") >= self.least).select("h1", "h2")
-
-    def shard(self):
-        return F.pmod(F.shiftrightunsigned("h1", 20), F.lit(self.shards)).cast("int")
-
-    def refiltered(self, keys: DataFrame) -> DataFrame:
-        """New filters. keys: h1, h2 and change: 1 comes, -1 goes, 0 is and stays. Keys of a shard are about SHARD_KEYS."""
-
-        def update(old: pd.DataFrame, new: pd.DataFrame) -> pd.DataFrame:
-            if not len(new):
-                return old[["shard", "marks"]]
-            pick = lambda sign: (new.h1[new.change == sign].to_numpy(np.int64), new.h2[new.change == sign].to_numpy(np.int64))
-            filter_ = Cuckoo(table=old.marks[0]) if len(old) and old.marks[0] is not None else None
-            if filter_:
-                filter_.delete(*pick(-1))
-            if not filter_ or not filter_.insert(*pick(1)):
-                now = new[new.change >= 0]
-                filter_ = Cuckoo.of(now.h1.to_numpy(np.int64), now.h2.to_numpy(np.int64))
-            return pd.DataFrame({"shard": [int(new["shard"].iloc[0])], "marks": [filter_.table.tobytes() if filter_ else None]})
-
-        keyed = keys.select(self.shard().alias("shard"), "h1", "h2", "change")
-        return self.filters.groupBy("shard").cogroup(keyed.groupBy("shard")).applyInPandas(update, "shard int, marks binary")
-
-    def changed(self, held: DataFrame, concerned: DataFrame) -> LineIndex:
-        """The index with other occurrences; only the concerned keys (h1, h2) are counted anew."""
-        again = counted(held.join(concerned, ["h1", "h2"], "left_semi"))
-        counts = common.written(self.counts.join(concerned, ["h1", "h2"], "left_anti").unionByName(again), "line-counts")
-        now = LineIndex(held, counts, self.filters, self.shards, self.least, self.shortest)
-        both = self.repeated().withColumn("was", F.lit(1)).join(now.repeated().withColumn("now", F.lit(1)), ["h1", "h2"], "full")
-        now.filters = common.written(self.refiltered(both.select("h1", "h2", (F.coalesce("now", F.lit(0)) - F.coalesce("was", F.lit(0))).alias("change"))), "line-filters")
+        return LineIndex.of(held, common.written(counted(held), "line-counts"), least, shortest)
+
+    @staticmethod
+    def of(held: DataFrame, counts: DataFrame, least: int, shortest: int) -> LineIndex:
+        """An index with filters made anew; its tables are as they are until the first change."""
+        some = counts.where(F.col("n_docs") >= least)
+        repeated = some.count()
+        shards = 1 << max(0, math.ceil(math.log2(max(1, repeated) / SHARD_KEYS)))
+        whole = lambda df: Sharded([(df.withColumn("shard", shard_of(shards)), frozenset())])
+        none = counts.sparkSession.createDataFrame([], "shard int, marks binary")
+        filters = refiltered(none, some.select(shard_of(shards).alias("shard"), *KEY, F.lit(1).alias("change")))
+        return LineIndex(whole(held), whole(counts), Sharded([(common.written(filters, "line-filters"), frozenset())]), shards, repeated, least, shortest)
+
+    def by_shard(self) -> LineIndex:
+        if self.laid_out:
+            return self
+        lay = lambda table, name: Sharded([(by_shard(table.of(), name), frozenset())])
+        return replace(self, held=lay(self.held, "line-occurrences"), counts=lay(self.counts, "line-counts"), laid_out=True)
+
+    def changed(self, held: Sharded, concerned: DataFrame, touched: set[int]) -> LineIndex:
+        """The index with other occurrences; only the concerned keys (h1, h2), all in the touched shards, are counted anew."""
+        again = counted(held.of(touched).join(concerned, KEY, "left_semi")).withColumn("shard", shard_of(self.shards))
+        before = self.counts.of(touched)
+        after = by_shard(before.join(concerned, KEY, "left_anti").unionByName(again), "line-counts")
+        some = lambda df, name: df.where(F.col("n_docs") >= self.least).select(*KEY, F.lit(1).alias(name))
+        both = some(before, "was").join(some(after, "now"), KEY, "full")
+        change = (F.coalesce("now", F.lit(0)) - F.coalesce("was", F.lit(0))).alias("change")
+        change = common.written(both.select(shard_of(self.shards).alias("shard"), *KEY, change), "line-changes")
+        filters = common.written(refiltered(self.filters.of(touched), change), "line-filters")
+        repeated = self.repeated + (change.agg(F.sum("change")).first()[0] or 0)
+        now = replace(self, held=held, counts=self.counts.replaced(touched, after), filters=self.filters.replaced(touched, filters), repeated=repeated)
+        if repeated > 2 * SHARD_KEYS * self.shards:
+            return LineIndex.of(held.of().drop("shard"), now.counts.of().drop("shard"), self.least, self.shortest).by_shard()
         return now
 
     def insert(self, docs: DataFrame) -> LineIndex:
-        fresh = common.written(occurrences(docs, self.shortest), "line-occurrences")
-        return self.changed(common.written(self.held.unionByName(fresh), "line-occurrences"), fresh.select("h1", "h2").distinct())
+        base = self.by_shard()
+        fresh = by_shard(occurrences(docs, self.shortest).withColumn("shard", shard_of(base.shards)), "line-occurrences")
+        touched = {r.shard for r in fresh.select("shard").distinct().collect()}
+        return base.changed(base.held.added(fresh), fresh.select(*KEY).distinct(), touched) if touched else base
 
     def delete(self, doc_ids: DataFrame) -> LineIndex:
-        """doc_ids: the column doc_id."""
-        ids = doc_ids.select("doc_id").distinct()
-        gone = self.held.join(ids, "doc_id", "left_semi")
-        return self.changed(common.written(self.held.join(ids, "doc_id", "left_anti"), "line-occurrences"), gone.select("h1", "h2").distinct())
+        """doc_ids: the column doc_id. What the documents hold is looked for in all shards; those that have it are written."""
+        base, ids = self.by_shard(), common.written(doc_ids.select("doc_id").distinct(), "line-ids")
+        gone = common.written(base.held.of().join(ids, "doc_id", "left_semi"), "line-gone")
+        touched = {r.shard for r in gone.select("shard").distinct().collect()}
+        if not touched:
+            return base
+        left = by_shard(base.held.of(touched).join(ids, "doc_id", "left_anti"), "line-occurrences")
+        return base.changed(base.held.replaced(touched, left), gone.select(*KEY).distinct(), touched)
 
     def passing(self) -> DataFrame:
         """The occurrences that the filters let pass."""
-        total = self.filters.agg(F.sum(F.length("marks"))).first()[0] or 0
+        filters = self.filters.of()
+        total = filters.agg(F.sum(F.length("marks"))).first()[0] or 0
         waves, out = max(1, math.ceil(total / WAVE_BYTES)), []
         kind, schema = common.arrow_schema("doc_id long, h1 long, h2 long")
         for wave in range(waves):
-            shared = self.filters.sparkSession.sparkContext.broadcast({r.shard: r.marks for r in self.filters.where(F.col("shard") % waves == wave).collect()})
+            shared = filters.sparkSession.sparkContext.broadcast({r.shard: r.marks for r in filters.where(F.col("shard") % waves == wave).collect()})
 
             def run(batches, shared=shared):
                 tables = {k: v is not None and Cuckoo(table=v) for k, v in shared.value.items()}
@@ -212,7 +286,7 @@ class LineIndex:
                             keep[at] = tables[k].has(h1[at], h2[at]) if tables[k] else True
                     yield pa.RecordBatch.from_arrays([batch.column(k).filter(pa.array(keep)) for k in (1, 2, 3)], schema=schema)
 
-            out.append(self.held.withColumn("shard", self.shard()).where(F.col("shard") % waves == wave).select("shard", "doc_id", "h1", "h2").mapInArrow(run, kind))
+            out.append(self.held.of().where(F.col("shard") % waves == wave).select("shard", "doc_id", "h1", "h2").mapInArrow(run, kind))
         found = out[0]
         for x in out[1:]:
             found = found.unionByName(x)
@@ -220,7 +294,7 @@ class LineIndex:
 
     def dropped(self) -> DataFrame:
         """doc_id and the digests of the keys that it loses."""
-        exact = self.counts.where(F.col("n_docs") >= self.least).select("h1", "h2", "last_doc")
+        exact = self.counts.of().where(F.col("n_docs") >= self.least).select("h1", "h2", "last_doc")
         lost = self.passing().join(exact, ["h1", "h2"]).where("doc_id <> last_doc")
         return lost.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("lost"))
 
