@@ -1,7 +1,8 @@
 """Byte-level BPE as a monoid: halves are encoded apart and joined at their boundary.
 
 An encoded text is a list of pieces (the matches of the split pattern) with the packed ids of each. Two of them
-join as follows. The pattern looks at most two characters past a match, so all pieces of the left half but those
+join as follows. The pattern (public_tokenizers.PATTERN; another one is not halved, as it may look further) looks at most
+two characters past a match, so all pieces of the left half but those
 that end within SLACK characters of its end are final. The characters of the rest, with some first pieces of the
 right half, form a window that is split anew. A match depends only on the text after its start: as soon as a
 stable match of the window starts where a piece of the right half starts, all that follow are the same, so those of
@@ -31,7 +32,7 @@ from . import common
 #: Characters of a leaf; longer texts are halved.
 TEXT_LEAF = 1024
 #: Bytes of a piece that is encoded without halving.
-PIECE_LEAF = 64
+PIECE_LEAF = 8
 #: Ids decoded at once.
 DECODE_LEAF = 4096
 #: The split pattern looks at less than so many characters behind the end of a match.
@@ -70,6 +71,7 @@ class Codec:
             self.bytes_of[rank] = token
         self._leaf = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})._core_bpe.encode_single_piece
         self.split = regex.compile(pattern.replace(r"(?!\S)", rf"(?![^{SPACE}])").replace(r"[^\s", rf"[^{SPACE}").replace(r"\s", f"[{SPACE}]")).findall
+        self.text_leaf = TEXT_LEAF if pattern == default_pattern() else None
         self.memo: dict[str, bytes] = {}
         self.agree = lru_cache(200_000)(lambda a, b: self._leaf(self.bytes_of[a] + self.bytes_of[b]) == [a, b])
 
@@ -115,7 +117,7 @@ class Codec:
 
     def encoded(self, text: str) -> tuple[list[str], list[bytes]]:
         """Pieces and their packed ids."""
-        if len(text) <= TEXT_LEAF:
+        if self.text_leaf is None or len(text) <= self.text_leaf:
             pieces = self.split(text)
             return pieces, self.packed(pieces)
         half = len(text) // 2
