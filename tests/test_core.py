@@ -197,3 +197,47 @@ def test_misranked_pairs_by_brute_force(spark):
     for eps in (0.0, 0.25):
         want = sum((a[i] - a[j] >= eps if eps else a[i] > a[j]) and b[i] < b[j] for i in a for j in a)
         assert measures.misranked_pairs(y, x, eps) == measures.misranked_pairs(y, x, eps, 9) == want
+
+
+def test_several_k_at_once(spark):
+    """Each k stops where a run of its own stops, with the same live sets."""
+    from walkrank.operators.engine import top_k, top_k_sweep
+
+    g = graph(spark, [(a, b) for a in range(12) for b in range(a) if (a * b) % 4 != 1])
+    found = top_k_sweep(g, [1, 3, 7, 50], 1e-4)
+    for k, report in found.items():
+        own = top_k(g, k, 1e-4).report
+        assert (report.levels, report.live, report.converged) == (own.levels, own.live, own.converged), k
+
+
+def test_orders_by_ranges(spark):
+    """Numbers, next rows and wrongly ordered pairs in ranges of a few rows against plain sorting."""
+    import random
+
+    from pyspark.sql import functions as F
+
+    from walkrank.operators import measures
+    from walkrank.plans import ordered
+
+    rng = random.Random(1)
+    rows = [(i, round(rng.choice([rng.random(), 0.5, 0.25]), 2), round(rng.random(), 1)) for i in range(150)]
+    df = spark.createDataFrame(rows, "id long, score double, other double")
+    got = {r.id: r.rank for r in ordered.numbered(df, "score", 7).collect()}
+    assert [got[i] for i, _, _ in sorted(rows, key=lambda r: (-r[1], r[0]))] == list(range(1, 151))
+    after = {r.id: r.next for r in ordered.followed(df, ["score", "id"], "id", "next", 11).collect()}
+    line = [i for i, _, _ in sorted(rows, key=lambda r: (r[1], r[0]))]
+    assert after == dict(zip(line, [*line[1:], None], strict=True))
+    cuts = sorted({r[1] for r in rows})[::3]
+    parts = {r.id: r.p for r in df.select("id", ordered.range_of("score", cuts).alias("p")).collect()}
+    assert parts == {i: sum(c >= s for c in cuts) for i, s, _ in rows}
+    exact = df.select("id", F.col("other").alias("score"))
+    for eps in (0.0, 0.2):
+        ahead = lambda x, y: x - y > 1e-9 if not eps else x >= y + eps
+        want = sum(ahead(a[2], b[2]) and a[1] < b[1] for a in rows for b in rows)
+        assert measures.misranked_pairs(df.select("id", "score"), exact, eps, 9) == want
+    ties = measures.near_ties(df.select("id", "score"), 0.011).collect()
+    classes = {}
+    for i, s, _ in rows:
+        classes.setdefault(s, []).append(i)
+    want = {(*sorted((min(x), min(y))),) for a, x in classes.items() for b, y in classes.items() if abs(a - b) < 0.011 and (a != b or len(x) > 1)}
+    assert {(r.low, r.high) for r in ties} == want

@@ -25,10 +25,12 @@ KEY_BITS = 40
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all executors share: what spark.checkpoint.dir says, or a temporary one where it is unset."""
+    """The folder that all executors share: what spark.checkpoint.dir says, or a temporary one where it is unset and all run here."""
     sc = spark.sparkContext
     top = sc.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not top:
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         top = "file://" + tempfile.mkdtemp(prefix="walkrank-")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(top)

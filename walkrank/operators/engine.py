@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import DRIVER_ROWS, MAX_LEVELS
@@ -36,6 +36,14 @@ class Report:
     bar: tuple[float, int] | None = None
 
 
+def report_metrics(spark: SparkSession, report: Report) -> DataFrame:
+    """The figures of a run as a map of those that are not zero, and as JSON."""
+    named = {"eps": report.eps, "alpha": report.alpha, "gamma": report.gamma, "d_max": report.d_max, "levels": report.levels, "live": report.live[-1] if report.live else 0, "touched": sum(report.frontier)}
+    entries = F.array(*[F.struct(F.lit(k).alias("key"), F.lit(float(v)).alias("value")) for k, v in named.items()])
+    found = spark.range(1).select(F.lit(report.criterion).alias("criterion"), F.map_filter(F.map_from_entries(entries), lambda _, v: v != 0).alias("metrics"))
+    return found.withColumn("json", F.to_json(F.struct("criterion", "metrics")))
+
+
 @dataclass
 class RankResult:
     """state: id, w, k, live. frame: id, floor, ceiling, live."""

@@ -37,6 +37,14 @@ def session_edges(changes: DataFrame, gap: str = "1 hour", late: str = "1 hour")
     return changes.withWatermark("ts", late).groupBy("src", F.session_window("ts", gap)).agg(F.count("*").alias("changes"))
 
 
+def split_late(changes: DataFrame, late: str = "1 hour") -> tuple[DataFrame, DataFrame]:
+    """Of a micro-batch the changes on time and those that come later than `late` behind the newest of their batch."""
+    newest = changes.agg(F.max("ts").alias("_newest"))
+    both = changes.crossJoin(F.broadcast(newest)).withColumn("_late", F.col("ts") < F.col("_newest") - F.expr(f"interval {late}"))
+    pick = lambda c: both.where(c).drop("_newest", "_late")
+    return pick(~F.coalesce("_late", F.lit(False))), pick(F.col("_late"))
+
+
 def changes_of(batch: DataFrame) -> EdgeBatch:
     return EdgeBatch(batch.where("src is not null and dst is not null and op in ('insert', 'delete')").select("src", "dst", "op", F.coalesce("seq", F.lit(0).cast("long")).alias("seq")))
 
@@ -45,8 +53,9 @@ class RankingStream:
     """The state in a store, moved on by micro-batches. The driver that wrote the latest version has it still; any other
     loads it."""
 
-    def __init__(self, root: str, keep_versions: int = 3):
-        self.root, self.keep = root, keep_versions
+    def __init__(self, root: str, keep_versions: int = 3, late: str | None = None):
+        """late: changes that come later than that behind their micro-batch go to the folder late of the store instead."""
+        self.root, self.keep, self.late = root, keep_versions, late
         self._last: KatzState | None = None
 
     def initialise(self, state: KatzState) -> None:
@@ -69,6 +78,9 @@ class RankingStream:
         state, last = self._state(spark)
         if number <= last:
             return
+        if self.late:
+            batch, behind = split_late(batch, self.late)
+            behind.write.mode("overwrite").parquet(f"{self.root}/late/batch={number}")
         before = state.graph.placed
         self._last = store.save(apply_batch(state, changes_of(batch)), self.root, number)
         if self._last.graph.placed.edges is not before.edges:

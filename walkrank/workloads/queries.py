@@ -11,7 +11,7 @@ from ..functions.ids import pack, sql_pack
 from ..operators import baselines, dynamic, measures
 from ..operators.attenuation import sigma_max
 from ..operators.criteria import FixedLevels, RankingCriterion, TopKCriterion
-from ..operators.engine import compare, full_ranking, ladder, level_bounds, rank_nodes, ranked, scores, top_k, top_k_sweep
+from ..operators.engine import compare, full_ranking, ladder, level_bounds, rank_nodes, ranked, report_metrics, scores, top_k, top_k_sweep
 from ..operators.graph import Graph, is_complete, out_degrees
 from ..plans import ordered
 from ..sources.tables import table
@@ -186,6 +186,15 @@ def q_live_set_by_level(spark, sf_dir):
     return rows(spark, list(enumerate(live, 1)), "level int, live long")
 
 
+@query(f"""{O.frames(HEAVY, 12)}, {O.topk(10, 1e-4)}, m as (select 'd_max' as name, max(d_max)::double as value from p union all select 'levels', {O.LAST} union all select 'live', (select live from v where i = {O.LAST}))
+select name, value::double as value from m""")
+def q_run_metrics(spark, sf_dir):
+    """The figures of a run as a map, without those that are zero or not whole."""
+    metrics = report_metrics(spark, top_k(build(HEAVY, spark, sf_dir), 10, 1e-4).report)
+    whole = metrics.select(F.explode(F.map_filter("metrics", lambda _, v: v == F.floor(v))).alias("name", "value"))
+    return whole
+
+
 SEPARATED = "(select count(*) from f a join f b on a.i = b.i and a.floor > b.ceiling where a.i = {level})"
 
 
