@@ -11,6 +11,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pytest
 
+from tests.llm.pages import planted_page
 from walkrank.llm import byte_bpe, chat_rotation, common, decontamination, language_crf, line_dedup, main_text, simhash, substring_dedup, toxicity, webp
 from walkrank.llm.components import components
 
@@ -235,6 +236,14 @@ def test_main_text_pages(spark, sf):
     assert main_text.extracted(spark.createDataFrame([(1, None, None)], "page_id long, url string, html string")).first().text == ""
 
 
+def test_articles_of_planted_pages():
+    """Pages whose article is known by how they were made, among menus, notices, adverts, forms, scripts and replies."""
+    rng = random.Random(11)
+    for _ in range(200):
+        page, text = planted_page(rng)
+        assert main_text.main_text(page) == text
+
+
 HOSTILE = {
     "quotes": '<a href="' * 110_000, "brackets in quotes": '<a b=">"' * 125_000, "mixed quotes": "<a '\" \"" * 150_000, "opened": "<" * 1_000_000, "declared": "<!" * 500_000,
     "deep": "<div>x" * 160_000, "inline": "<b>x" * 200_000 + "<hr>x" * 40_000, "closed without end": "<div>" * 100_000 + "</span>" * 70_000, "items": "<div>" * 90_000 + "<li>x" * 90_000,
