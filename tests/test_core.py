@@ -203,10 +203,10 @@ def test_several_k_at_once(spark):
     """Each k stops where a run of its own stops, with the same live sets."""
     from walkrank.operators.engine import top_k, top_k_sweep
 
-    g = graph(spark, [(a, b) for a in range(12) for b in range(a) if (a * b) % 4 != 1])
-    found = top_k_sweep(g, [1, 3, 7, 50], 1e-4)
+    g = graph(spark, [(0, x) for x in range(1, 9)] + [(1, x) for x in range(9, 12)] + [(2, 3)])
+    found = top_k_sweep(g, [1, 3, 50], 1e-2)
     for k, report in found.items():
-        own = top_k(g, k, 1e-4).report
+        own = top_k(g, k, 1e-2).report
         assert (report.levels, report.live, report.converged) == (own.levels, own.live, own.converged), k
 
 

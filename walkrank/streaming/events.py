@@ -7,8 +7,9 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
+from ..config import importable
 from ..workloads.graphs import follow_rows
 
 CHANGE = "src long, dst long, op string, ts timestamp, seq long"
@@ -27,18 +28,33 @@ def standing(changes: DataFrame) -> DataFrame:
     return last.where("op = 'insert'").select("src", "dst")
 
 
-def lane_changes(events: DataFrame, lane: str, late: str = "1 hour") -> DataFrame:
-    """The same for a stream, in lanes (any column) that are followed each on its own: the state of a lane is its last
-    user. Rows need ts (timestamp), event_id, user_id and event_type; those later than `late` are left out."""
-
-    def follow(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        rows = pd.concat(list(batches)).sort_values(["ts", "event_id"])
-        last = state.get[0] if state.exists else None
-        before = [last, *rows.user_id.tolist()[:-1]]
-        out = pd.DataFrame({"src": before, "dst": rows.user_id.tolist(), "op": ["delete" if t == "error" else "insert" for t in rows.event_type], "ts": rows.ts.tolist(), "seq": rows.event_id.tolist()})
-        state.update((int(rows.user_id.iloc[-1]),))
+#: What keeps the state of the lanes; the session must name it before the stream starts.
+STATE_STORE = ("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+
+
+class LastUser(StatefulProcessor):
+    """The user of a lane's last event."""
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.last = handle.getValueState("last", "user long")
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
+        events = pd.concat(list(rows)).sort_values(["ts", "event_id"])
+        users = events.user_id.tolist()
+        before = [self.last.get()[0] if self.last.exists() else None, *users[:-1]]
+        self.last.update((int(users[-1]),))
+        out = pd.DataFrame({"src": before, "dst": users, "op": ["delete" if t == "error" else "insert" for t in events.event_type], "ts": events.ts.tolist(), "seq": events.event_id.tolist()})
         out = out[out.src.notna() & (out.src != out.dst)]
         yield out.astype({"src": "int64", "dst": "int64", "seq": "int64"})
 
+    def close(self) -> None:
+        pass
+
+
+def lane_changes(events: DataFrame, lane: str, late: str = "1 hour") -> DataFrame:
+    """The same for a stream, in lanes (any column) that are followed each on its own: the state of a lane is its last
+    user. Rows need ts (timestamp), event_id, user_id and event_type; those later than `late` are left out. The session
+    needs STATE_STORE."""
+    importable(events.sparkSession)
     kept = events.withWatermark("ts", late)
-    return kept.groupBy(lane).applyInPandasWithState(follow, CHANGE, "last long", "append", GroupStateTimeout.NoTimeout)
+    return kept.groupBy(lane).transformWithStateInPandas(LastUser(), CHANGE, "Append", "None")

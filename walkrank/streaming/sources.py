@@ -47,10 +47,11 @@ class ReplayStream(SimpleDataSourceStreamReader):
 
     def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
         end = min(self.rows, start["at"] + self.step)
-        return replayed(range(start["at"], end), self.nodes), {"at": end}
+        # a list's iterator can be copied, which a reader that keeps its rows does
+        return iter(list(replayed(range(start["at"], end), self.nodes))), {"at": end}
 
     def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:
-        return replayed(range(start["at"], end["at"]), self.nodes)
+        return iter(list(replayed(range(start["at"], end["at"]), self.nodes)))
 
 
 def replayed(numbers: range, nodes: int) -> Iterator[tuple]:

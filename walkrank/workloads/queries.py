@@ -673,7 +673,10 @@ def q_is_complete(spark, sf_dir):
     return rows(spark, [(is_complete(build("nation_trade", spark, sf_dir)),)], "complete boolean")
 
 
-# experiments: figures of runs; their levels have SQL above, their seconds can't
+# experiments: figures of runs; their levels have SQL above, their seconds can't. The grids are those of the functions but
+# for graphs (and batches of 10) that are left out to keep each below some minutes.
+
+QUICK = ("part_supplier", "part_supplier_heavy", "customer_supplier", "order_tree", "user_hour_event", "conversation_token")
 
 
 @query()
@@ -687,35 +690,35 @@ def w1_epsilon_sweep(spark, sf_dir):
 def w2_instances(spark, sf_dir):
     from . import experiments
 
-    return experiments.summary(experiments.instances(spark, sf_dir))
+    return experiments.summary(experiments.instances(spark, sf_dir, QUICK))
 
 
 @query()
 def w3_topk_sweep(spark, sf_dir):
     from . import experiments
 
-    return experiments.topk_sweep(spark, sf_dir)
+    return experiments.topk_sweep(spark, sf_dir, ("part_supplier", "order_tree"))
 
 
 @query()
 def w4_batch_deletions(spark, sf_dir):
     from . import experiments
 
-    return experiments.batch_sweep(spark, sf_dir, ("order_tree", "part_supplier"))
+    return experiments.batch_sweep(spark, sf_dir, ("order_tree", "part_supplier"), (1, 100, 1000, 10000))
 
 
 @query()
 def w5_batch_insertions(spark, sf_dir):
     from . import experiments
 
-    return experiments.batch_sweep(spark, sf_dir, ("order_tree", "part_supplier_heavy"), (1, 100, 1000), inserts=True)
+    return experiments.batch_sweep(spark, sf_dir, ("order_tree", "part_supplier_heavy"), (1, 1000), inserts=True)
 
 
 @query()
 def w6_scaling(spark, sf_dir):
     from . import experiments
 
-    return experiments.scaling(spark, sf_dir)
+    return experiments.scaling(spark, sf_dir, ("part_supplier",))
 
 
 _BOTH_WAYS = "select src, dst from e0 union select dst, src from e0"
