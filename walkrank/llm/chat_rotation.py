@@ -42,16 +42,19 @@ def header(speaker: Column, view: Column) -> Column:
     return F.concat(F.lit(BEGIN), who, F.lit("\n"))
 
 
-def chunked(once: DataFrame, part_turns: int, most: int) -> DataFrame:
-    """Distinct turns and how often they come (times), with the sub of their part; 0 where the part is not crowded."""
-    key = lambda other, *names: [F.col(n).eqNullSafe(F.col(f"_{n}")) for n in names]
-    sized = once.groupBy("conv_id", "part").agg(F.sum("times").alias("rows")).where(F.col("rows") > most)
-    sized = sized.select(F.col("conv_id").alias("_conv_id"), F.col("part").alias("_part"))
-    crowded = once.join(sized, key(sized, "conv_id", "part"), "left_semi")
-    quiet = once.join(sized, key(sized, "conv_id", "part"), "left_anti").select("*", F.lit(0).cast("long").alias("sub"))
+def chunked(said: DataFrame, part_turns: int, most: int) -> DataFrame:
+    """Turns, how often they come (times), and the sub of their part; 0 where the part is not crowded."""
+    key = lambda *names: [F.col(n).eqNullSafe(F.col(f"_{n}")) for n in names]
+    sized = said.groupBy("conv_id", "part").count().where(F.col("count") > most)
+    sized = common.written(sized.select(F.col("conv_id").alias("_conv_id"), F.col("part").alias("_part")), "chat-crowded")
+    whole = lambda df: df.select("*", F.lit(1).cast("long").alias("times"), F.lit(0).cast("long").alias("sub"))
+    if sized.isEmpty():  # the usual case: nothing but the counts was read twice
+        return whole(said)
+    crowded = said.join(sized, key("conv_id", "part"), "left_semi").groupBy(*said.columns).agg(F.count("*").alias("times"))
+    quiet = whole(said.join(sized, key("conv_id", "part"), "left_anti"))
     turns = crowded.groupBy("conv_id", "turn").agg(F.ceil(F.sum("times") / most).cast("long").alias("chunks"))
     turns = turns.select(F.col("conv_id").alias("_conv_id"), F.col("turn").alias("_turn"), "chunks")
-    dealt = crowded.join(turns, key(turns, "conv_id", "turn"))
+    dealt = crowded.join(turns, key("conv_id", "turn"))
     last = F.ceil(F.col("times") / most).cast("long") - 1
     dealt = dealt.select("conv_id", "part", "turn", "role", "text", "times", "chunks", F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("copy"))
     spread = F.conv(F.substring(F.md5(F.concat("role", F.lit("\n"), "text")), 1, 7), 16, 10).cast("long")
@@ -64,8 +67,7 @@ def rotated(turns: DataFrame, part_turns: int = PART_TURNS, most: int = MOST) ->
     role = F.replace(plain(F.coalesce("role", F.lit(UNKNOWN))), F.lit("\n"), F.lit(" "))
     said = turns.select("conv_id", F.floor(F.col("turn") / part_turns).cast("long").alias("part"), F.col("turn").cast("long").alias("turn"), role.alias("role"), plain(common.text_of()).alias("text"))
     views = said.where(F.col("role") != SYSTEM).select(F.col("conv_id").alias("_conv"), F.col("role").alias("view")).distinct()
-    once = said.groupBy("conv_id", "part", "turn", "role", "text").agg(F.count("*").alias("times"))
-    parts = chunked(once, part_turns, most).groupBy("conv_id", "part", "sub").agg(F.sort_array(F.collect_list(F.struct("turn", "role", "text", "times"))).alias("turns"))
+    parts = chunked(said, part_turns, most).groupBy("conv_id", "part", "sub").agg(F.sort_array(F.collect_list(F.struct("turn", "role", "text", "times"))).alias("turns"))
     parts = parts.withColumn("turns", F.flatten(F.transform("turns", lambda t: F.array_repeat(t, t.times.cast("int")))))
     rows = parts.join(views, F.col("conv_id").eqNullSafe(F.col("_conv")))
     view, tail = F.col("view"), F.lit(END + "\n")
