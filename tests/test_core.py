@@ -241,3 +241,23 @@ def test_orders_by_ranges(spark):
         classes.setdefault(s, []).append(i)
     want = {(*sorted((min(x), min(y))),) for a, x in classes.items() for b, y in classes.items() if abs(a - b) < 0.011 and (a != b or len(x) > 1)}
     assert {(r.low, r.high) for r in ties} == want
+
+
+def test_layout_is_shared(spark, sf, monkeypatch):
+    """Edges are told apart once, loops and both ways, and other partitions come from the tables that are there."""
+    from walkrank.operators.graph import Graph
+    from walkrank.plans import layout
+
+    pairs = [(1, 2), (2, 1), (3, 3), (3, 3), (2, 3)]
+    g = Graph.from_edges(spark.createDataFrame(pairs, "src long, dst long"), spark.createDataFrame([(9,), (1,)], "id long"), undirected=True)
+    assert sorted(map(tuple, g.edges.collect())) == [(1, 2), (2, 1), (2, 3), (3, 2), (3, 3)]
+    assert sorted(r.id for r in g.nodes.collect()) == sorted(r.id for r in g.placed.nodes.collect()) == [1, 2, 3, 9]
+    assert g.as_undirected() is g
+    fresh = Graph(g.edges, g.nodes, True)
+    fresh.dealt(2)
+    assert "placed" not in vars(fresh)  # not laid out itself
+    monkeypatch.setattr(layout, "written", None)  # nothing more is written
+    for parts in (1, 3):
+        other = g.dealt(parts)
+        assert (other.placed.parts, other.placed.large) == (parts, True) and other.stats == g.stats
+        assert rank_nodes(other, FixedLevels(3)).frame.orderBy("id").collect() == rank_nodes(g, FixedLevels(3)).frame.orderBy("id").collect()
