@@ -261,3 +261,20 @@ def test_layout_is_shared(spark, sf, monkeypatch):
         other = g.dealt(parts)
         assert (other.placed.parts, other.placed.large) == (parts, True) and other.stats == g.stats
         assert rank_nodes(other, FixedLevels(3)).frame.orderBy("id").collect() == rank_nodes(g, FixedLevels(3)).frame.orderBy("id").collect()
+
+
+def test_ladder_of_several_criteria(spark):
+    """One run gives each k, the ranking and the partial sum the levels of runs of their own, and the same live sets at the end."""
+    from walkrank.operators.baselines import tolerance_partial_sum
+    from walkrank.operators.criteria import TopKCriterion
+    from walkrank.operators.engine import LastTerm
+
+    g = graph(spark, [(0, x) for x in range(1, 9)] + [(1, x) for x in range(9, 12)] + [(2, 3), (3, 4)])
+    for eps, tol in ((1e-2, 1e-9), (1e-6, 1e-1)):
+        steps, term = [*(TopKCriterion(k, eps) for k in (1, 3, 5, 50)), RankingCriterion(eps)], LastTerm(tol)
+        for step, r in zip(steps, ladder(g, steps, term=term), strict=True):
+            own = rank_nodes(g, step)
+            assert (r.report.levels, r.report.converged, r.report.bar) == (own.report.levels, own.report.converged, own.report.bar)
+            assert r.frame.where("live").count() == own.frame.where("live").count()
+        alone = tolerance_partial_sum(g, tol)
+        assert (term.levels, term.converged) == (alone.levels, alone.converged) and 0 < term.own <= term.seconds
