@@ -278,3 +278,18 @@ def test_ladder_of_several_criteria(spark):
             assert r.frame.where("live").count() == own.frame.where("live").count()
         alone = tolerance_partial_sum(g, tol)
         assert (term.levels, term.converged) == (alone.levels, alone.converged) and 0 < term.own <= term.seconds
+
+
+def test_sweep_runs_its_levels_once(spark, sf, monkeypatch):
+    """Five k and the full ranking of one graph: as many levels as the strictest needs, and those of the solve."""
+    from walkrank.operators import levels
+    from walkrank.workloads import experiments
+
+    made, one = [], levels.advance_level
+    monkeypatch.setattr(levels, "advance_level", lambda *a: made.append(1) or one(*a))
+    rows = {r.method: r for r in experiments.topk_sweep(spark, sf, ("part_supplier_heavy",), (10, 1, 5), 1e-3).collect()}
+    assert set(rows) == {"top 1", "top 5", "top 10", "full", "linear solve 0.0001"}
+    assert len(made) == rows["full"].levels and rows["top 1"].levels <= rows["top 5"].levels <= rows["top 10"].levels <= rows["full"].levels
+    made.clear()
+    rows = {r.method: r for r in experiments.epsilon_sweep(spark, sf, grid=(1e-1, 1e-3)).collect()}
+    assert len(made) == max(rows["eps 0.001"].levels, rows["partial sum 1e-09"].levels)
