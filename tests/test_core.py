@@ -293,3 +293,18 @@ def test_sweep_runs_its_levels_once(spark, sf, monkeypatch):
     made.clear()
     rows = {r.method: r for r in experiments.epsilon_sweep(spark, sf, grid=(1e-1, 1e-3)).collect()}
     assert len(made) == max(rows["eps 0.001"].levels, rows["partial sum 1e-09"].levels)
+
+
+def test_insertions_measure_their_graph_once(spark, sf, monkeypatch):
+    """All batches of insertions lead to one graph: one new state and one static run for all sizes, and one for each size of deletions."""
+    from walkrank.workloads import experiments
+
+    begun, static = [], []
+    start, rank = experiments.dynamic.start, experiments.rank_nodes
+    monkeypatch.setattr(experiments.dynamic, "start", lambda *a: begun.append(1) or start(*a))
+    monkeypatch.setattr(experiments, "rank_nodes", lambda *a: static.append(1) or rank(*a))
+    for inserts, starts, runs in ((True, 1, 1), (False, 3, 2)):
+        begun.clear(), static.clear()
+        rows = experiments.batch_sweep(spark, sf, ("part_supplier_heavy",), (1, 4), 3, 1e-1, inserts).collect()
+        assert sorted(r.batch for r in rows) == [1, 4] and (len(begun), len(static)) == (starts, runs)
+        assert all(r.restored is (True if inserts else None) for r in rows)
