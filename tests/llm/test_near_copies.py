@@ -78,3 +78,12 @@ def test_shared_pairs_across_batches(spark, rows):
     names = sorted(whole)
     want = {(a, b) for i, a in enumerate(names) for b in names[i + 1 :] if whole[a] and 5 * len(whole[a] & whole[b]) >= 4 * len(whole[a] | whole[b])}
     assert len(want) > 100 and want <= got
+
+
+@pytest.mark.parametrize("counted", [0, 10**9])
+def test_counting_a_share_changes_no_row(spark, rows, monkeypatch, counted):
+    """Frequent shingles counted on an eighth of the texts and on all: other orders, the same groups."""
+    monkeypatch.setattr(near_copies, "COUNTED", counted)
+    monkeypatch.setattr(near_copies, "FREQUENT", 4)
+    docs = spark.createDataFrame([(k, t, None, None, len(t)) for k, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r.doc_id for r in corpus_pipeline.without_near_copies(spark, docs, "").collect()) == kept(rows)
