@@ -1,7 +1,9 @@
 """Near copies of the pipeline's stage against all pairs."""
 
 import random
+from collections import Counter
 
+import numpy as np
 import pytest
 
 import corpus_pipeline
@@ -87,3 +89,15 @@ def test_counting_a_share_changes_no_row(spark, rows, monkeypatch, counted):
     monkeypatch.setattr(near_copies, "FREQUENT", 4)
     docs = spark.createDataFrame([(k, t, None, None, len(t)) for k, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
     assert sorted(r.doc_id for r in corpus_pipeline.without_near_copies(spark, docs, "").collect()) == kept(rows)
+
+
+@pytest.mark.parametrize("counted", [0, 10**9])
+def test_all_shingles_are_counted(spark, rows, monkeypatch, counted):
+    """Each shingle of each text, however many texts there are and however they lie."""
+    monkeypatch.setattr(near_copies, "COUNTED", counted)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("doc_id", "text", "xxhash64(text) as key").repartition(5)
+    want = Counter(int(h) for _, t in rows for h in near_copies.shingle_set(t))
+    got = near_copies.frequent_shingles(docs)
+    assert int(got.sum()) == sum(want.values())
+    assert (got[near_copies.counter_of(np.array(list(want), np.uint64))] >= np.array(list(want.values()), np.uint64)).all()
+    assert max(want.values()) >= 40  # the crowd's shingles are frequent
