@@ -100,3 +100,31 @@ def test_grouped_graphs(spark, sf):
     edges.createOrReplaceTempView("grouped_edges")
     found = spark.sql("select * from katz_rank(table(grouped_edges) partition by (grp), 2, 1e-6D)").collect()
     assert sorted(r.id for r in found) == sorted(got.values())
+
+
+def test_edges_lie_in_packs(spark, sf, monkeypatch):
+    """A level reads a row for each few edges of a target, made once for all numbers of partitions."""
+    monkeypatch.setattr(layout, "PACK_BITS", 3)
+    whole = part_supplier_heavy(spark, sf)
+    arcs = sorted(map(tuple, whole.edges.select("src", "dst").collect()))
+    made = []
+    written = layout.written
+    monkeypatch.setattr(layout, "written", lambda df, name: made.append(name) or written(df, name))
+    for n in (1, 3):
+        g = whole.dealt(n).placed
+        rows = g.packs.collect()
+        assert max(len(r.srcs) for r in rows) <= 8 and len(rows) < len(arcs)
+        assert g.packs.rdd.getNumPartitions() == n
+        assert sorted(map(tuple, g.laid_out().select("src", "dst").collect())) == arcs
+    assert made.count("packs") == 1
+
+
+def test_sums_find_room(spark):
+    """The map of a task's sums grows with the nodes, and the session is as it was afterwards."""
+    key = "spark.sql.codegen.aggregate.fastHashMap.capacityBit"
+    before = spark.conf.get(key, None)
+    with layout.fixed(spark, 2, 300_000):
+        assert spark.conf.get(key) == "19"
+    with layout.fixed(spark, 2, 10**9):
+        assert spark.conf.get(key) == "21"
+    assert spark.conf.get(key, None) == before
